@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, mixing, quality, sharding, token_counts
+from . import bpe, mixing, neardup, quality, sharding, token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,8 +16,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_token_counts": token_counts.op5,
         "op8_bpe": bpe.op8,
         "op9_quality": quality.op9,
+        "op10_near_duplicates": neardup.op10,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_mix_sources": mixing.OP1_SQL, "op9_quality": quality.OP9_SQL}
+    return {"op1_mix_sources": mixing.OP1_SQL, "op9_quality": quality.OP9_SQL, "op10_near_duplicates": neardup.OP10_SQL}
