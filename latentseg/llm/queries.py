@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, media, mixing, neardup, quality, sharding, token_counts, url_graph
+from . import bpe, media, mixing, neardup, quality, sharding, token_counts, url_graph, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_mix_sources": mixing.op1,
         "op2_stratified_shards": sharding.op2,
+        "op3_warc": warc.op3,
         "op4_media_avi": media.op4,
         "op5_token_counts": token_counts.op5,
         "op7_url_graph": url_graph.op7,
