@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import xxhash
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -48,3 +50,22 @@ def buckets_for(rows: int, least: int = 256, per_bucket: int = 50_000) -> int:
     while n * per_bucket < rows:
         n *= 2
     return n
+
+
+#: Words whose hashes a worker remembers; a memory that is full is emptied.
+MEMORY = 1_000_000
+
+
+class _Hashes(dict):
+    def __missing__(self, word: bytes) -> int:
+        h = self[word] = xxhash.xxh3_64_intdigest(word)
+        return h
+
+
+_hashes = _Hashes()
+
+
+def word_hashes(words: list[bytes]) -> np.ndarray:
+    if len(_hashes) > MEMORY:
+        _hashes.clear()
+    return np.fromiter(map(_hashes.__getitem__, words), np.uint64, len(words))

@@ -27,25 +27,15 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..io import read_table, spread, stash
-from .common import whole
+from .common import whole, word_hashes
 
 WIDTH = 5
 SEED = 20_240_601
 LEFT, RIGHT, K1, K2 = 10, 10, 2, 2
-MEMORY = 1_000_000
 #: Candidate documents whose ids may be broadcast to fetch their texts: 8 bytes each.
 BROADCAST_IDS = 2_000_000
 
 
-class _Hashes(dict):
-    def __missing__(self, word: bytes) -> int:
-        h = self[word] = xxhash.xxh3_64_intdigest(word)
-        return h
-
-
-_hashes = _Hashes()
-
-
 def shingles(text: str, width: int = WIDTH) -> np.ndarray:
     """Distinct hashed shingles of the whole text, sorted. Splitting and folding bytes touches ASCII alone."""
     words = text.encode("utf-8", "replace").lower().split()
@@ -53,9 +43,7 @@ def shingles(text: str, width: int = WIDTH) -> np.ndarray:
         return np.empty(0, np.uint64)
     if len(words) < width:
         return np.array([xxhash.xxh3_64_intdigest(b" ".join(words), seed=len(words))], np.uint64)
-    if len(_hashes) > MEMORY:
-        _hashes.clear()
-    h = np.fromiter(map(_hashes.__getitem__, words), np.uint64, len(words))
+    h = word_hashes(words)
     out = np.zeros(len(h) - width + 1, np.uint64)
     for k in range(width):
         out = out * np.uint64(0x9E3779B97F4A7C15) + h[k : len(h) - width + 1 + k]

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, media, mixing, neardup, quality, sharding, token_counts, url_graph, warc
+from . import bpe, lm_bloom, media, mixing, neardup, quality, sharding, token_counts, url_graph, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,6 +16,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_warc": warc.op3,
         "op4_media_avi": media.op4,
         "op5_token_counts": token_counts.op5,
+        "op6_lm_scores": lm_bloom.op6,
         "op7_url_graph": url_graph.op7,
         "op8_bpe": bpe.op8,
         "op9_quality": quality.op9,
