@@ -110,6 +110,16 @@ def cipher(text: Column, k: int, alphabet: str = LETTERS) -> Column:
     return F.translate(F.lower(text), LETTERS, permutation(k, alphabet))
 
 
+def _respeller(v: int, rules: list[tuple[str, str]]):
+    def respell(word: Column) -> Column:
+        out = word
+        for a, b in rules:
+            out = F.replace(out, F.lit(a), F.lit(b))
+        return F.when(F.pmod(hash8(F.concat(F.lit(f"{v}:"), word)), F.lit(100)) < SHARE, out).otherwise(word)
+
+    return respell
+
+
 def dialects(line_df: DataFrame) -> DataFrame:
     """(..., label such as fr-2, family): a line's digest picks its variety; each variety respells a hashed share of the words."""
     counts = {k: len(v) for k, v in VARIETIES.items()}
@@ -121,13 +131,7 @@ def dialects(line_df: DataFrame) -> DataFrame:
             if not rules:
                 continue
 
-            def respell(word: Column, v: int = v, rules: list = rules) -> Column:
-                out = word
-                for a, b in rules:
-                    out = F.replace(out, F.lit(a), F.lit(b))
-                return F.when(F.pmod(hash8(F.concat(F.lit(f"{v}:"), word)), F.lit(100)) < SHARE, out).otherwise(word)
-
-            text = F.when((F.col("label") == lang) & (F.col("variety") == v), F.array_join(F.transform(F.split("text", " "), respell), " ")).otherwise(text)
+            text = F.when((F.col("label") == lang) & (F.col("variety") == v), F.array_join(F.transform(F.split("text", " "), _respeller(v, rules)), " ")).otherwise(text)
     return df.withColumn("new", text).select(*[c for c in line_df.columns if c not in ("text", "label")], F.col("new").alias("text"), F.col("label").alias("family"), F.concat_ws("-", "label", "variety").alias("label"))
 
 
