@@ -108,12 +108,12 @@ def _(s, d):
     return e.groupBy("user_id", F.session_window("ts", "30 minutes").alias("w")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("w.start").alias("start_ts"), "n")
 
 
-@query("events_asof_document", "select event_id, last_value(case when event_type = 'purchase' then event_id end ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding) as last_purchase from events")
+@query("events_asof_document", "select event_id, coalesce(last_value(case when event_type = 'purchase' then event_id end ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding), -1) as last_purchase from events")
 def _(s, d):
     """As-of join inside one table: a running last value needs one sort by user, no range join."""
     e = read_table(s, d, "events", ["event_id", "user_id", "ts", "event_type"])
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
-    return e.select("event_id", F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), True).over(w).alias("last_purchase"))
+    return e.select("event_id", F.coalesce(F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), True).over(w), F.lit(-1).cast("long")).alias("last_purchase"))
 
 
 @query("events_interval_join", "select a.event_id as a, b.event_id as b from events a join events b on a.user_id = b.user_id and b.event_id <> a.event_id and b.ts >= a.ts and b.ts <= a.ts + interval 5 minute")
@@ -146,10 +146,10 @@ def _(s, d):
     return count("left_semi", "labelled").unionByName(count("left_anti", "open"))
 
 
-@query("orders_month_trend", "select date_trunc('month', o_orderdate)::date as month, count(*) as orders, round(sum(o_totalprice), 2) as total, count(distinct o_custkey) as customers from orders group by 1")
+@query("orders_month_trend", "select strftime(o_orderdate, '%Y-%m') as month, count(*) as orders, round(sum(o_totalprice), 2) as total, count(distinct o_custkey) as customers from orders group by 1")
 def _(s, d):
     o = read_table(s, d, "orders", ["o_orderdate", "o_totalprice", "o_custkey"])
-    return o.groupBy(F.to_date(F.date_trunc("month", "o_orderdate")).alias("month")).agg(F.count(F.lit(1)).alias("orders"), F.round(F.sum("o_totalprice"), 2).alias("total"), F.count_distinct("o_custkey").alias("customers"))
+    return o.groupBy(F.date_format("o_orderdate", "yyyy-MM").alias("month")).agg(F.count(F.lit(1)).alias("orders"), F.round(F.sum("o_totalprice"), 2).alias("total"), F.count_distinct("o_custkey").alias("customers"))
 
 
 @query("far_domain_words", r"select w as token, count(*) as n from (select unnest(regexp_extract_all(lower(p_name), '\p{L}+')) as w from part) group by w")

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -163,8 +164,6 @@ def page_lang(html: Column) -> Column:
 
 def normalize(form: str = "NFC"):
     """Unicode normal form; Spark has no built-in for it."""
-    import pandas as pd
-
     @F.pandas_udf("string")
     def norm(s: pd.Series) -> pd.Series:
         return s.str.normalize(form)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -138,8 +139,6 @@ def pair_counts(words: DataFrame) -> DataFrame:
 
 
 def _merged(batch: list[tuple[str, str]]):
-    import pandas as pd
-
     pairs = set(batch)
 
     @F.pandas_udf("array<string>")
