@@ -6,8 +6,9 @@ k1 + k2 minhashes a key need only left * k1 + right * k2 minhashes. A pair of te
 
 Equal texts are first folded into one, known by its digest. A text that meets nobody in the left or nobody in the right groups cannot meet anybody in a
 table, so it drops out before the tables are formed. In every table bucket the members are held against the bucket's first, and
-verified candidates are linked. Then components are taken, and only members of a bucket that lie in different components are paired: pairs inside
-a component could not change it, all others are tested. So no link that joins components is lost, and a bucket of alike texts is not expanded into
+verified candidates are linked. Then components are taken; where a bucket holds several, members of the others are held against one of the largest, in a few
+rounds; and texts of buckets that are still mixed are paired where the rarest of their shingles meet, an exact condition for the similarity: pairs inside a
+component could not change it, all others that can be similar enough are tested. So no link that joins components is lost, and a bucket of alike texts is not expanded into
 all its pairs. Verification compares whole shingle sets.
 
 Defined cases: a null, empty or all-space text has an empty set, is linked with nothing and kept; fewer than five words form one shingle; every row goes by its own
@@ -34,6 +35,10 @@ SEED = 20_240_601
 LEFT, RIGHT, K1, K2 = 10, 10, 2, 2
 #: Candidate documents whose ids may be broadcast to fetch their texts: 8 bytes each.
 BROADCAST_IDS = 2_000_000
+#: Rounds in which members of mixed buckets meet one of the bucket's largest component before all that is left is paired.
+HEAD_ROUNDS = 1
+#: Most shingles whose frequency is broadcast: 16 bytes each, twice that as a dictionary entry.
+FREQUENT = 1_000_000
 
 
 def shingles(text: str, width: int = WIDTH) -> np.ndarray:
@@ -137,13 +142,19 @@ def verify(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     both = with_b.join(texts.select(F.col("v").alias("a"), F.col("text").alias("text_a")), "a").select("a", "b", "text_a", "text_b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last, sets = None, np.empty(0, np.uint64)
+        known: dict[str, np.ndarray] = {}  # sets of texts seen lately
+
+        def set_of(text: str) -> np.ndarray:
+            if (s := known.get(text)) is None:
+                if len(known) >= 2048:
+                    known.clear()
+                s = known[text] = shingles(text)
+            return s
+
         for batch in batches:
             keep = []
             for ta, tb in zip(batch.column("text_a").to_pylist(), batch.column("text_b").to_pylist(), strict=True):
-                if ta != last:
-                    last, sets = ta, shingles(ta)
-                other = shingles(tb)
+                sets, other = set_of(ta), set_of(tb)
                 common = len(np.intersect1d(sets, other, assume_unique=True))
                 keep.append(common > 0 and 100 * common >= percent * (len(sets) + len(other) - common))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
@@ -166,6 +177,55 @@ def components(edges: DataFrame) -> DataFrame:
             return labels
 
 
+def prefix_pairs(texts: DataFrame, percent: int) -> DataFrame:
+    """(a, b): every pair of texts (v, text, comp) of different components that can be similar enough, and few others. Two such sets of n and m shingles
+    share one within the first n - ceil(percent n / 100) + 1 of one and the like of the other, in any common order of all shingles. The order
+    is by frequency, rare ones first, so a passage that many texts share brings none of them together unless it makes up most of them. Frequent shingles, fewer than
+    FREQUENT by their threshold, are broadcast with their counts."""
+    split = texts.mapInArrow(_explode_shingles, "v binary, comp binary, hs array<long>")
+    split = stash(split, "shingles")
+    counts = split.select(F.explode("hs").alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("f"))
+    total = split.agg(F.coalesce(F.sum(F.size("hs")), F.lit(0))).first()[0]
+    often = counts.where(F.col("f") >= max(16, total // FREQUENT + 1)).toPandas()
+    sent = texts.sparkSession.sparkContext.broadcast(dict(zip(often["h"].tolist(), often["f"].tolist(), strict=True)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        freq = sent.value
+        for b in batches:
+            take, hs, ns, places = [], [], [], []
+            for k, own in enumerate(b.column("hs").to_pylist()):
+                n = len(own)
+                first = sorted(own, key=lambda h: (freq.get(h, 0), h))[: n - -(-percent * n // 100) + 1]
+                take += [k] * len(first)
+                hs += first
+                ns += [n] * len(first)
+                places += range(len(first))
+            at = pa.array(take, pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column("v").take(at), b.column("comp").take(at), pa.array(hs, pa.int64()), pa.array(ns, pa.int64()), pa.array(places, pa.int64())], names=["v", "comp", "h", "n", "i"])
+
+    rows = stash(split.mapInArrow(run, "v binary, comp binary, h long, n long, i long"), "prefixes")
+    shared = rows.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("h")
+    rows = stash(rows.join(shared, "h", "left_semi"), "prefixes")
+    x, y = rows.alias("x"), rows.alias("y")
+    # the first shingle that two sets share has all that they share at or behind its places
+    fits = (100 + percent) * F.least(F.col("x.n") - F.col("x.i"), F.col("y.n") - F.col("y.i")) >= percent * (F.col("x.n") + F.col("y.n"))
+    cross = x.join(y, (F.col("x.h") == F.col("y.h")) & (F.col("x.comp") < F.col("y.comp")) & fits)
+    return cross.select(F.least("x.v", "y.v").alias("a"), F.greatest("x.v", "y.v").alias("b")).distinct()
+
+
+def _explode_shingles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        hs = [shingles(t).view(np.int64) for t in b.column("text").to_pylist()]
+        yield pa.RecordBatch.from_arrays([b.column("v"), b.column("comp"), pa.array(hs, pa.list_(pa.int64()))], names=["v", "comp", "hs"])
+
+
+def _mixed(buckets: DataFrame, comp: DataFrame) -> DataFrame:
+    """(key, v, n, comp) of the buckets that hold different components."""
+    own = buckets.join(comp, "v", "left").select("key", "v", "n", F.coalesce("comp", "v").alias("comp"))
+    mixed = own.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
+    return stash(own.join(mixed, "key", "left_semi"), "mixed")
+
+
 def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75, **params) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row of docs."""
     sig = stash(signatures(docs, id_col, text_col, **params), "signatures")
@@ -180,16 +240,25 @@ def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percen
     edges = stash(verify(tested, sources, percent), "links")
     comp = components(edges)
 
-    own = buckets.join(comp, "v", "left").select("key", "v", "n", F.coalesce("comp", "v").alias("comp"))
-    mixed = own.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-    rest = stash(own.join(mixed, "key", "left_semi"), "mixed")
-    l, r = rest.alias("l"), rest.alias("r")
-    cross = l.join(r, (F.col("l.key") == F.col("r.key")) & (F.col("l.comp") < F.col("r.comp")))
-    cross = cross.select(F.col("l.v").alias("a"), F.col("r.v").alias("b"), F.col("l.n").alias("n_a"), F.col("r.n").alias("n_b"))
-    new = stash(_candidates(cross, percent).join(tested, ["a", "b"], "left_anti"), "cross")
-    found = stash(verify(new, sources, percent), "links")
+    for r in range(HEAD_ROUNDS):
+        # in a bucket that holds several components, a member of the largest is held against all members of the others
+        own = _mixed(buckets, comp)
+        per = own.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct(F.xxhash64("v", "key", F.lit(r)).alias("h"), "v", "n")).alias("head"))
+        lead = per.groupBy("key").agg(F.max(F.struct("c", "comp", "head")).alias("lead"))
+        pairs = own.join(lead, "key").where("comp <> lead.comp").select(F.col("lead.head.v").alias("a"), F.col("v").alias("b"), F.col("lead.head.n").alias("n_a"), F.col("n").alias("n_b"))
+        new = stash(_candidates(pairs, percent).join(tested, ["a", "b"], "left_anti"), "tested")
+        found = stash(verify(new, sources, percent), "links")
+        tested = tested.unionByName(new)
+        if not found.limit(1).count():
+            break
+        edges = edges.unionByName(found)
+        comp = components(edges)
+
+    left_over = _mixed(buckets, comp).select("v", "comp").distinct()
+    cross = prefix_pairs(sources.join(left_over, "v"), percent)
+    found = stash(verify(stash(cross.join(tested, ["a", "b"], "left_anti"), "cross"), sources, percent), "links")
     if found.limit(1).count():
-        comp = components(edges.union(found))
+        comp = components(edges.unionByName(found))
 
     labelled = texts.select("v", "rep").join(comp, "v", "left").select("v", "rep", F.coalesce("comp", "v").alias("comp"))
     smallest = labelled.groupBy("comp").agg(F.min("rep").alias("component_id"))
