@@ -57,7 +57,7 @@ def slice_of(h: np.ndarray, n: int) -> np.ndarray:
 
 
 def bit_places(h: np.ndarray, level: int) -> list[np.ndarray]:
-    g = mixed(h + np.uint64(level) * np.uint64(0xD1342543DE82EF95))
+    g = mixed(h + np.uint64(level * 0xD1342543DE82EF95 % 2**64))
     return [((g >> np.uint64(16 * i)) & np.uint64(BLOCK_BITS - 1)).astype(np.int64) for i in range(PROBES)]
 
 

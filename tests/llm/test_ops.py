@@ -189,11 +189,11 @@ def test_lm_base_is_exact_for_any_head_and_shards(spark, docs, none):
 
 def test_filter_never_forgets_and_seldom_invents():
     rng = np.random.default_rng(1)
-    h = rng.integers(0, 2**63, 5000, dtype=np.uint64)
+    h = rng.integers(0, 2**64 - 1, 5000, dtype=np.uint64)
     c = rng.integers(1, 40, 5000)
-    f = lm_bloom.Filter(lm_bloom.fill(h, c, 2, 0, 2).ravel())
+    f = lm_bloom.Filter(lm_bloom.fill(h, c, 4, 0, 4).ravel())
     assert (f.levels(np.sort(h)) >= lm_bloom.levels_of(c[np.argsort(h)])).all()
-    other = rng.integers(0, 2**63, 5000, dtype=np.uint64)
+    other = rng.integers(0, 2**64 - 1, 5000, dtype=np.uint64)
     assert (f.levels(other) > 0).mean() < 0.1
     assert all(lm_bloom.count_of(lm_bloom.levels_of(np.array([k])))[0] <= 2 * k and lm_bloom.count_of(lm_bloom.levels_of(np.array([k])))[0] >= k / 2 for k in range(1, 100))
 
