@@ -383,7 +383,7 @@ def _(s, d):
     m = _main(s, d)
     p = stash(m.transform(base(s, d).withColumnRenamed("label", "gold")), "labelled")
     mixed = relops.change_points(p.where("margin > 5"), "label").select("doc_id").distinct().count()
-    c = p.groupBy("label").agg(F.count(F.lit(1)).alias("lines"), F.count_if("margin > 5").alias("sure"))
+    c = p.groupBy("label").agg(F.count(F.lit(1)).alias("lines"), F.count_if(F.col("margin") > 5).alias("sure"))
     return [*long(c, "latent", "label", ["lines", "sure"]), ("latent", "", "code_mixed_documents", mixed), *said(p, "latent", "all lines")]
 
 
