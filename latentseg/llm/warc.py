@@ -174,7 +174,8 @@ INDEX = "archive string, offset long, length long, record_type string, page_id l
 
 
 def normalise(archives: DataFrame, source: str, target: str, remove: bool = False) -> DataFrame:
-    """Rewrites each archive of `source` with a gzip member per record under `target`, with its sidecar index `<archive>.idx`; returns (archive, records)."""
+    """Rewrites each archive of `source` with a gzip member per record under `target`, with its sidecar index `<archive>.idx`; returns (archive, records). remove: the
+    original goes once archive and index are in place; a task that is run again finds the index and counts from it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         (fs, root), (out_fs, out_root) = _place(source), _place(target)
@@ -182,6 +183,11 @@ def normalise(archives: DataFrame, source: str, target: str, remove: bool = Fals
         for b in batches:
             for name in b.column("archive").to_pylist():
                 lines: list[bytes] = []
+                if remove and fs.get_file_info(f"{root}/{name}").type == pafs.FileType.NotFound:
+                    with out_fs.open_input_stream(f"{out_root}/{name}.idx", compression=None) as f:
+                        lines = f.read().split(b"\n")[:-1]
+                    yield pa.RecordBatch.from_arrays([pa.array([name], pa.string()), pa.array([len(lines)], pa.int64())], names=["archive", "records"])
+                    continue
 
                 def write(f, name: str = name, lines: list[bytes] = lines) -> None:
                     at = 0
@@ -259,7 +265,7 @@ def archive(pages: DataFrame, folder: str, least: int = 0, **cols: str) -> DataF
     """Write pages as monolithic archives, normalise them, and return the index, stashed."""
     raw, out = f"{folder}/monolithic", f"{folder}/normalised"
     written = stash(write_monolithic(grouped(spread(pages), least, **cols), raw), "written")
-    done = stash(normalise(spread(written), raw, out, remove=False), "normalised")
+    done = stash(normalise(spread(written), raw, out, remove=True), "normalised")
     return stash(read_index(done.select("archive"), out), "index")
 
 

@@ -111,6 +111,15 @@ def test_warc_round_trip(spark, tmp_path):
     assert warc.archive(df.limit(0), f"file://{tmp_path}/e").count() == 0
 
 
+def test_normaliser_can_run_again_after_removing(spark, tmp_path):
+    df = spark.createDataFrame([(i, "u", f"page {i}") for i in range(9)], "page_id long, url string, html string").coalesce(1)
+    names = warc.write_monolithic(warc.grouped(df), f"file://{tmp_path}/m").collect()
+    archives = spark.createDataFrame(names, "archive string")
+    first = warc.normalise(archives, f"file://{tmp_path}/m", f"file://{tmp_path}/n", remove=True).collect()
+    again = warc.normalise(archives, f"file://{tmp_path}/m", f"file://{tmp_path}/n", remove=True).collect()
+    assert first == again and sum(r["records"] for r in first) == 9
+
+
 def test_every_member_stands_alone(spark, tmp_path):
     df = spark.createDataFrame([(i, "u", f"page {i}" * i) for i in range(30)], "page_id long, url string, html string").coalesce(1)
     index = warc.archive(df, f"file://{tmp_path}").collect()
