@@ -38,7 +38,7 @@ HEAD = 1 << 22
 MIX = 0.4
 #: Arbitrary constants that stand for the start and the end of a text.
 START, END = np.uint64(0x5BF03635F0A31E05), np.uint64(0xC2B2AE3D27D4EB4F)
-FLUSH = 6_000_000
+FLUSH = 3_000_000
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
