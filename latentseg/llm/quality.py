@@ -21,7 +21,7 @@ from .common import SPACES, UPPER, whole, words_of
 
 BASE = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
 #: Ratio -> (least spread used for a fence, whether the low side counts too). Ratios are per mille but word_len (per cent of a character).
-RATIOS = {"r_symbols": (20, False), "r_shout": (40, False), "r_dup_lines": (100, False), "r_repeats": (100, False), "r_word_len": (80, True)}
+RATIOS = {"r_symbols": (20, False), "r_shout": (40, False), "r_dup_lines": (200, False), "r_repeats": (150, False), "r_word_len": (80, True)}
 REACH = 3
 MIN_GROUP = 50
 
