@@ -28,7 +28,7 @@ MIN_GROUP = 50
 
 def measure(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """Adds BASE, base_failed and the ratios. Whole texts, built-in functions only; no shuffle."""
-    added = {*BASE, *RATIOS, "base_failed", "_w", "_t", "_h", "_l", "_n_lines", "_shout", "_d"}
+    added = {*BASE, *RATIOS, "base_failed", "_w", "_t", "_h", "_l", "_n_lines", "_shout", "_d", "_m"}
     kept = [c for c in docs.columns if c not in added or c == text_col]
     text = F.col("_t")
     df = docs.select(*kept, whole(text_col).alias("_t"))
@@ -50,7 +50,7 @@ def measure(docs: DataFrame, text_col: str = "text") -> DataFrame:
     df = df.withColumn("_d", F.size("_h") - F.size(F.array_distinct("_h")))
     df = df.withColumn("n_repeat_words", F.when(F.col("_d") > 0, _covered(F.col("_h"))).otherwise(F.lit(0)).cast("long"))
     share = lambda a, b, unit: F.expr(f"({unit} * {a}) div greatest({b}, 1L)")
-    return df.select(
+    found = df.select(
         *kept,
         *BASE,
         ((F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))).alias("base_failed"),
@@ -60,6 +60,9 @@ def measure(docs: DataFrame, text_col: str = "text") -> DataFrame:
         share("n_repeat_words", "n_words", 1000).alias("r_repeats"),
         share("word_chars", "n_words", 100).alias("r_word_len"),
     )
+    # a generated row: filters on measures stay above it, else the optimiser would repeat their expressions inside each other
+    row = F.explode(F.array(F.struct(*[c for c in found.columns if c not in kept]))).alias("_m")
+    return found.select(*kept, row).select(*kept, "_m.*")
 
 
 def _covered(hashes: Column) -> Column:
@@ -136,7 +139,7 @@ def judge(measured: DataFrame, bounds: DataFrame, lang_col: str = "lang", source
 
 def filter_quality(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
     """The rows of docs that are kept, with the columns of docs. Texts are measured twice rather than shuffled or stored."""
-    clash = [c for c in docs.columns if c in {*BASE, *RATIOS, "base_failed", "kept"} or c[:2] in ("t_", "lo", "hi")]
+    clash = [c for c in docs.columns if c in {*BASE, *RATIOS, "base_failed", "kept"} or c[:1] == "_" or c[:2] in ("t_", "lo", "hi")]
     if clash:
         away = {c: f"x_{i}_" for i, c in enumerate(clash)}
         out = filter_quality(docs.withColumnsRenamed(away), away.get(text_col, text_col), away.get(lang_col, lang_col), away.get(source_col, source_col))
