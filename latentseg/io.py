@@ -32,6 +32,8 @@ def write_labeled(df: DataFrame, path: str, label_col: str = "label", fmt: str =
 
 def spread(df: DataFrame) -> DataFrame:
     """At least one partition per core before CPU-bound work; a scan that has enough of its own is left alone."""
+    if df.isStreaming:
+        return df
     cores = df.sparkSession.sparkContext.defaultParallelism
     return df.repartition(cores) if df.rdd.getNumPartitions() < min(cores, 8) else df
 
