@@ -24,6 +24,11 @@ BASE = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
 RATIOS = {"r_symbols": (20, False), "r_shout": (40, False), "r_dup_lines": (200, False), "r_repeats": (150, False), "r_word_len": (80, True)}
 REACH = 3
 MIN_GROUP = 50
+#: Fences of a group's own sketch alone: ratio -> (per cent from which, per cent to which) the spread is taken; the fence is REACH spreads above the second. Symbols, capitals and word
+#: length have a body of values, and junk that may be a tenth of a group, so quartiles; most documents have no repetition at all, so there the tail sets the scale.
+OWN = {"r_symbols": (25, 75), "r_shout": (25, 75), "r_dup_lines": (95, 99), "r_repeats": (95, 99), "r_word_len": (25, 75)}
+#: Stands in for a spread of zero only.
+NO_SPREAD = 5
 
 
 def measure(docs: DataFrame, text_col: str = "text") -> DataFrame:
@@ -95,34 +100,38 @@ def merge(sketches: DataFrame, groups: list[str]) -> DataFrame:
     return sketches.groupBy(*groups, "ratio", "bucket").agg(F.sum("n").alias("n"))
 
 
-def fences(sketches: DataFrame, groups: list[str]) -> DataFrame:
-    """(groups, rows, lo_<ratio>, hi_<ratio>) from the quartiles of each sketch; a window sees one sketch, at most some thousand buckets."""
-    own = Window.partitionBy(*groups, "ratio")
-    cum = sketches.withColumn("upto", F.sum("n").over(own.orderBy("bucket"))).withColumn("total", F.sum("n").over(own))
+def fences(sketches: DataFrame, groups: list[str], own: bool = False) -> DataFrame:
+    """(groups, rows, lo_<ratio>, hi_<ratio>) from the quantiles of each sketch; a window sees one sketch, at most some thousand buckets. own: the spread is the
+    sketch's, whatever its size; else that of the quartiles, and the ratio's constant at least (the rule that OP9_SQL states)."""
+    each = Window.partitionBy(*groups, "ratio")
+    cum = sketches.withColumn("upto", F.sum("n").over(each.orderBy("bucket"))).withColumn("total", F.sum("n").over(each))
     at = lambda percent: F.min(F.when(100 * F.col("upto") >= percent * F.col("total"), F.col("bucket")))
-    quart = cum.groupBy(*groups, "ratio").agg(at(25).alias("q1"), at(75).alias("q3"), F.max("total").alias("rows"))
+    quant = cum.groupBy(*groups, "ratio").agg(*[at(p).alias(f"p{p}") for p in (25, 75, 95, 99)], F.max("total").alias("rows"))
     wide = []
     for ratio, (least, low) in RATIOS.items():
-        spread = F.greatest(F.col("q3") - F.col("q1"), F.lit(least))
+        a, b = (F.col(f"p{p}") for p in (OWN[ratio] if own else (25, 75)))
+        spread = F.when(b > a, b - a).otherwise(F.lit(NO_SPREAD)) if own else F.greatest(b - a, F.lit(least))
         mine = F.col("ratio") == ratio
-        wide.append(F.max(F.when(mine, F.col("q3") + REACH * spread)).alias(f"hi_{ratio}"))
+        wide.append(F.max(F.when(mine, b + REACH * spread)).alias(f"hi_{ratio}"))
         if low:
-            wide.append(F.max(F.when(mine, F.col("q1") - REACH * spread)).alias(f"lo_{ratio}"))
-    return quart.groupBy(*groups).agg(F.max("rows").alias("rows"), *wide)
+            wide.append(F.max(F.when(mine, a - REACH * spread)).alias(f"lo_{ratio}"))
+    return quant.groupBy(*groups).agg(F.max("rows").alias("rows"), *wide)
 
 
-def thresholds(measured: DataFrame, lang_col: str = "lang", source_col: str = "source", min_group: int = MIN_GROUP) -> DataFrame:
-    """One row per (lang, source) that has rows passing the base rules, with the fences that apply to it."""
+def thresholds(measured: DataFrame, lang_col: str = "lang", source_col: str = "source", min_group: int = MIN_GROUP, own: bool = False) -> DataFrame:
+    """One row per (lang, source) that has rows passing the base rules, with the fences that apply to it. With `own`, a sketch also needs so many rows
+    that a single one is not its upper quantile."""
     groups = [F.col(lang_col).alias("t_lang"), F.col(source_col).alias("t_source")]
     fine = stash(sketch(measured.withColumns({"t_lang": groups[0], "t_source": groups[1]}), ["t_lang", "t_source"]), "sketch")
     by_lang = merge(fine, ["t_lang"])
     whole_set = merge(fine, [])
-    bounds = [c for c in fences(fine, ["t_lang", "t_source"]).columns if c[:3] in ("lo_", "hi_")]
-    a = fences(fine, ["t_lang", "t_source"])
-    b = fences(by_lang, ["t_lang"]).select(F.col("t_lang").alias("b_lang"), F.col("rows").alias("b_rows"), *[F.col(c).alias(f"b_{c}") for c in bounds])
-    c = fences(whole_set, []).select(*[F.col(x).alias(f"c_{x}") for x in bounds])
+    a = fences(fine, ["t_lang", "t_source"], own)
+    bounds = [c for c in a.columns if c[:3] in ("lo_", "hi_")]
+    b = fences(by_lang, ["t_lang"], own).select(F.col("t_lang").alias("b_lang"), F.col("rows").alias("b_rows"), *[F.col(c).alias(f"b_{c}") for c in bounds])
+    c = fences(whole_set, [], own).select(*[F.col(x).alias(f"c_{x}") for x in bounds])
     joined = a.join(b, a["t_lang"].eqNullSafe(b["b_lang"]), "left").join(F.broadcast(c))  # c is one row
-    pick = lambda x: F.when(F.col("rows") >= min_group, F.col(x)).when(F.col("b_rows") >= min_group, F.col(f"b_{x}")).otherwise(F.col(f"c_{x}")).alias(x)
+    need = {x: max(min_group, 100 // (100 - OWN[x[3:]][1]) + 1) if own else min_group for x in bounds}
+    pick = lambda x: F.when(F.col("rows") >= need[x], F.col(x)).when(F.col("b_rows") >= need[x], F.col(f"b_{x}")).otherwise(F.col(f"c_{x}")).alias(x)
     return joined.select("t_lang", "t_source", *[pick(x) for x in bounds])
 
 
@@ -138,23 +147,28 @@ def judge(measured: DataFrame, bounds: DataFrame, lang_col: str = "lang", source
 
 
 def filter_quality(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
-    """The rows of docs that are kept, with the columns of docs. Texts are measured twice rather than shuffled or stored."""
+    """The rows of docs that are kept by the fences of their group's own sketch, with the columns of docs. Texts are measured twice rather than shuffled or stored."""
     clash = [c for c in docs.columns if c in {*BASE, *RATIOS, "base_failed", "kept"} or c[:1] == "_" or c[:2] in ("t_", "lo", "hi")]
     if clash:
         away = {c: f"x_{i}_" for i, c in enumerate(clash)}
         out = filter_quality(docs.withColumnsRenamed(away), away.get(text_col, text_col), away.get(lang_col, lang_col), away.get(source_col, source_col))
         return out.withColumnsRenamed({v: k for k, v in away.items()}).select(*docs.columns)
-    bounds = stash(thresholds(measure(docs, text_col).drop(text_col), lang_col, source_col), "fences")
+    bounds = stash(thresholds(measure(docs, text_col).drop(text_col), lang_col, source_col, own=True), "fences")
     return judge(measure(docs, text_col), bounds, lang_col, source_col).where("kept").select(*docs.columns)
 
 
-def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
+def op9(spark: SparkSession, sf_dir: str, own: bool = False) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents", ["doc_id", "text", "lang", "source"])
     measured = stash(measure(docs).drop("text"), "measured")
-    out = judge(measured, stash(thresholds(measured), "fences"))
+    out = judge(measured, stash(thresholds(measured, own=own), "fences"))
     return out.select("doc_id", *BASE, "base_failed", "kept")
 
 
+def op9_own(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """op9 under the fences that the pipeline uses."""
+    return op9(spark, sf_dir, own=True)
+
+
 _METRIC = "case ratio " + " ".join(f"when '{r}' then {v[0]}" for r, v in RATIOS.items()) + " end"
 _FENCE = f"""select {{keys}} ratio, max(total) as rows, min(case when 100 * upto >= 75 * total then bucket end) as q3, min(case when 100 * upto >= 25 * total then bucket end) as q1
     from (select *, sum(n) over (partition by {{keys}} ratio order by bucket) as upto, sum(n) over (partition by {{keys}} ratio) as total

@@ -281,6 +281,34 @@ def test_sketches_merge(spark, docs):
     assert both.exceptAll(quality.sketch(m, ["lang"])).count() == 0
 
 
+def test_own_fences_follow_each_group(spark):
+    """An outlier of a ratio goes in the group where it is rare and stays where the same value is usual."""
+    usual = {"r_symbols": 40, "r_shout": 100, "r_dup_lines": 300, "r_repeats": 300, "r_word_len": 560}
+    calm = {"r_symbols": 0, "r_shout": 15, "r_dup_lines": 0, "r_repeats": 5, "r_word_len": 500}
+    rows = []
+    for k in range(200):
+        for g, mid in (("calm", calm), ("wild", usual)):
+            rows.append((len(rows), "en", g, False, *[x + k % 5 if x else 0 for x in mid.values()]))
+    planted = {}
+    for at, r in enumerate(usual):
+        for g, mid in (("calm", calm), ("wild", usual)):
+            planted[len(rows)] = (r, g)
+            rows.append((len(rows), "en", g, False, *[usual[r] if k == at else x + 2 * (x > 0) for k, x in enumerate(mid.values())]))
+    m = spark.createDataFrame(rows, "doc_id long, lang string, source string, base_failed boolean, " + ", ".join(f"{r} long" for r in usual))
+    kept = {r["doc_id"] for r in quality.judge(m, quality.thresholds(m, own=True)).where("kept").collect()}
+    assert {planted[i] for i in planted if i in kept} == {(r, "wild") for r in usual}
+    assert kept >= set(range(400))
+
+
+def test_pipeline_quality_uses_own_fences(spark):
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choice("etaoinshrdlu") for _ in range(rng.randint(2, 8)))
+    loud = lambda n: " ".join(word().upper() if k < n else word() for k in range(100))
+    rows = [(i, loud(i % 2), "en", "calm") for i in range(150)] + [(1000 + i, loud(11 + i % 2), "en", "wild") for i in range(150)] + [(500, loud(11), "en", "calm")]
+    out = {r[0] for r in quality.filter_quality(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).select("doc_id").collect()}
+    assert 500 not in out and len(out & set(range(1000, 1150))) >= 145 and len(out & set(range(150))) >= 145
+
+
 # --- 10
 def brute_groups(rows):
     def shingles(t):
