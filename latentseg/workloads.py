@@ -142,7 +142,7 @@ def dialect_data(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame
         # three varieties are starved
         for label, n in (("de-1", 16), ("de-2", 16), ("de-3", 4)):
             tr = tr.where(F.col("label") != label).unionByName(text.sample_j(tr.where(F.col("label") == label), n, 2))
-        return stash(tr, "train"), stash(text.sample_j(dl.where("bucket = 0"), 60, 1).select("row_id", F.col("label").alias("gold"), F.substring("text", 1, 80).alias("text"), "n_chars"), "test")
+        return stash(tr, "train"), stash(text.sample_j(dl.where("bucket = 0"), 60, 1).select("row_id", F.col("label").alias("gold"), "text", "n_chars"), "test")
 
     return once(spark, sf_dir, "w-dialects", make)
 
@@ -184,7 +184,7 @@ def _(s, d, sizes=(5, 50), seeds=(1, 2), systems_=("latent", "fixed_split", "avg
 @workload("w06_out_of_domain")
 def _(s, d):
     m, p = _main(s, d), pages_text(s, d)
-    out = said(m.transform(p.select("row_id", "gold", F.substring("title", 1, 40).alias("text")).where("text <> ''")), "latent", "titles") + said(m.transform(p), "latent", "pages")
+    out = said(m.transform(p.select("row_id", "gold", F.col("title").alias("text")).where("text <> ''")), "latent", "titles") + said(m.transform(p), "latent", "pages")
     c = m.transform(read_table(s, d, "conversations", ["conv_id", "turn", "text"])).groupBy("conv_id").agg(F.count(F.lit(1)).alias("n"), F.max(F.expr("1")).alias("one"), F.mode("label", True).alias("top"), F.collect_list("label").alias("l"))
     agree = c.where("n > 1").agg(F.avg(F.size(F.filter("l", lambda x: x == F.col("top"))) / F.col("n"))).first()[0]
     return [*out, ("latent", "conversations", "agreement", agree)]
@@ -201,7 +201,7 @@ def _(s, d):
 def _(s, d, rates=(50, 100, 250, 500)):
     tr, _ = train_test(s, d)
     m, n, e = _main(s, d), NgramLM.fit(tr), AvgEmbedding.fit(tr)
-    src = text.sample_j(base(s, d).where("bucket = 0"), 100, 1).select("row_id", "doc_id", "line_no", F.col("label").alias("gold"), F.substring("text", 1, 40).alias("text"))
+    src = text.sample_j(base(s, d).where("bucket = 0"), 100, 1).select("row_id", "doc_id", "line_no", F.col("label").alias("gold"), "text")
     out = []
     for r in rates:
         te = stash(text.corrupt(src, r), "noisy")
@@ -342,7 +342,7 @@ def _(s, d, copies=(1, 5)):
     out = []
     for k in copies:
         tr = stash(ciphers(src, k), "ciphers")
-        te = stash(ciphers(text.sample_j(ln.where("bucket = 0"), 20, 1).select("row_id", F.col("label").alias("gold"), F.substring("text", 1, 60).alias("text")), k, "gold"), "test")
+        te = stash(ciphers(text.sample_j(ln.where("bucket = 0"), 20, 1).select("row_id", F.col("label").alias("gold"), "text"), k, "gold"), "test")
         t = time.perf_counter()
         m = fit(tr, small_vocab(tr, 500, 3), 2)
         out.append(("latent", f"L={4 * k}", "fit_seconds", time.perf_counter() - t))
@@ -389,10 +389,10 @@ def _(s, d):
 
 @workload("w20_other_classes")
 def _(s, d):
-    docs = read_table(s, d, "documents", ["doc_id", "text", "source"]).withColumn("text", F.substring("text", 1, 400))
+    docs = read_table(s, d, "documents", ["doc_id", "text", "source"])
     lab = docs.join(read_table(s, d, "labels"), "doc_id")
     out = []
-    for name, df in (("quality", lab.withColumn("label", F.col("quality").cast("string"))), ("toxic", lab.withColumn("label", F.col("toxic").cast("string"))), ("source", docs.withColumn("label", F.col("source")).where("doc_id % 2 = 0"))):
+    for name, df in (("quality", lab.withColumn("label", F.col("quality").cast("string"))), ("toxic", lab.withColumn("label", F.col("toxic").cast("string"))), ("source", docs.withColumn("label", F.col("source")))):
         df = stash(df.select("doc_id", "label", "text", text.bucket(F.col("text")).alias("bucket")), name)
         m = fit(df.where("bucket >= 1"), small_vocab(df.where("bucket >= 1"), 500, 4), 2)
         out += said(m.transform(df.where("bucket = 0").withColumnRenamed("label", "gold")), "latent", name)
@@ -429,8 +429,8 @@ def _(s, d):
 @workload("w24_label_noise")
 def _(s, d):
     tr, te = train_test(s, d)
-    raw = read_table(s, d, "pages", ["page_id", "html"]).select(F.col("page_id").alias("row_id"), text.page_lang(F.col("html")).alias("label"), F.substring("html", 1, 300).alias("text")).where("label in ('es', 'de')")
-    en = tr.where("label = 'en'").limit(50).select("row_id", F.lit("es").alias("label"), "text")
+    raw = read_table(s, d, "pages", ["page_id", "html"]).select(F.col("page_id").alias("row_id"), text.page_lang(F.col("html")).alias("label"), F.col("html").alias("text")).where("label in ('es', 'de')")
+    en = text.sample_j(tr.where("label = 'en'"), 50, 3).select("row_id", F.lit("es").alias("label"), "text")
     noisy = tr.select("row_id", "label", "text").unionByName(raw).unionByName(en)
     v = _main(s, d).vocab
     out = []
