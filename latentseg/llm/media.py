@@ -1,7 +1,7 @@
 """Media columns: AVI with motion-JPEG.
 
-Read side: the RIFF chunks and the idx1 index of an AVI give its frames; intra frames are decoded to quantised DCT coefficients (baseline, Huffman);
-shots end where the histogram difference of neighbouring frames exceeds the mean of recent differences by a multiple of their deviation; every shot is a
+Read side: the RIFF chunks and the idx1 index of an AVI give its frames; intra frames are decoded to quantised DCT coefficients (baseline, Huffman) and
+for shots to grey values; shots end where the histogram difference of neighbouring frames exceeds the mean of recent differences by a multiple of their deviation; every shot is a
 timed clip row.
 
 Write side, used to keep a payload losslessly: the unit of baseline JPEG is the 8 x 8 block of 64 quantised coefficients, so 64 bytes make one grey block
@@ -15,6 +15,7 @@ values; an empty table gives an empty result; other columns are not read. A file
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import struct
 import zlib
@@ -111,7 +112,19 @@ def parse_avi(data: bytes) -> dict:
                 index = (at + 8, n)
             at += 8 + n + n % 2
 
-    walk(12, min(len(data), 8 + struct.unpack_from("<I", data, 4)[0]))
+    frames: list[memoryview] = []
+    top = 0
+    while data[top : top + 4] == b"RIFF" and top + 12 <= len(data):  # a large file goes on in further segments, which the index does not list
+        end = min(len(data), top + 8 + struct.unpack_from("<I", data, top + 4)[0])
+        movi, index = None, None
+        walk(top + 12, end)
+        frames += _frames_of(data, view, movi, index)
+        top = end + end % 2
+    out["frames"] = frames
+    return out
+
+
+def _frames_of(data: bytes, view: memoryview, movi: tuple[int, int] | None, index: tuple[int, int] | None) -> list[memoryview]:
     frames = []
     if movi and index:
         for at in range(index[0], index[0] + index[1] - 15, 16):
@@ -123,11 +136,43 @@ def parse_avi(data: bytes) -> dict:
         at = movi[0] + 4
         while at + 8 <= movi[1]:
             name, n = data[at : at + 4], struct.unpack_from("<I", data, at + 4)[0]
+            if name == b"LIST":  # frames may be grouped in records
+                at += 12
+                continue
             if name[2:] in (b"dc", b"db"):
                 frames.append(view[at + 8 : at + 8 + n])
             at += 8 + n + n % 2
-    out["frames"] = frames
-    return out
+    return frames
+
+
+def _codes(counts: bytes, values: bytes) -> dict[tuple[int, int], int]:
+    """Huffman codes (length, code) -> value."""
+    codes, code, k = {}, 0, 0
+    for bits in range(1, 17):
+        for _ in range(counts[bits - 1]):
+            codes[bits, code] = values[k]
+            code, k = code + 1, k + 1
+        code <<= 1
+    return codes
+
+
+@functools.cache
+def _standard_tables() -> dict[int, dict[tuple[int, int], int]]:
+    """The tables that the JPEG standard lists (K.3), for frames that carry none, as is usual in motion-JPEG."""
+    dc = [("00010501010101010100000000000000", "000102030405060708090a0b"), ("00030101010101010101010000000000", "000102030405060708090a0b")]
+    ac = [
+        (
+            "0002010303020403050504040000017d",
+            "01020300041105122131410613516107227114328191a1082342b1c11552d1f02433627282090a161718191a25262728292a3435363738393a434445464748494a535455565758595a636465666768696a737475767778797a"
+            "838485868788898a92939495969798999aa2a3a4a5a6a7a8a9aab2b3b4b5b6b7b8b9bac2c3c4c5c6c7c8c9cad2d3d4d5d6d7d8d9dae1e2e3e4e5e6e7e8e9eaf1f2f3f4f5f6f7f8f9fa",
+        ),
+        (
+            "00020102040403040705040400010277",
+            "000102031104052131061241510761711322328108144291a1b1c109233352f0156272d10a162434e125f11718191a262728292a35363738393a434445464748494a535455565758595a636465666768696a737475767778797a"
+            "82838485868788898a92939495969798999aa2a3a4a5a6a7a8a9aab2b3b4b5b6b7b8b9bac2c3c4c5c6c7c8c9cad2d3d4d5d6d7d8d9dae2e3e4e5e6e7e8e9eaf2f3f4f5f6f7f8f9fa",
+        ),
+    ]
+    return {16 * kind + k: _codes(bytes.fromhex(n), bytes.fromhex(v)) for kind, pair in enumerate((dc, ac)) for k, (n, v) in enumerate(pair)}
 
 
 def decode_frame(jpeg: bytes) -> np.ndarray:
@@ -135,7 +180,7 @@ def decode_frame(jpeg: bytes) -> np.ndarray:
     jpeg, at = bytes(jpeg), 2
     if jpeg[:2] != MARK_SOI:
         raise ValueError("not a JPEG frame")
-    tables: dict[int, dict[tuple[int, int], int]] = {}
+    tables: dict[int, dict[tuple[int, int], int]] = dict(_standard_tables())
     shape, comps, restart = (0, 0), [], 0
     while True:
         mark, n = jpeg[at + 1], struct.unpack_from(">H", jpeg, at + 2)[0]
@@ -148,13 +193,8 @@ def decode_frame(jpeg: bytes) -> np.ndarray:
             raise ValueError("only baseline frames are decoded")
         elif mark == 0xC4:
             while body:
-                counts, codes, code, k = body[1:17], {}, 0, 17
-                for bits in range(1, 17):
-                    for _ in range(counts[bits - 1]):
-                        codes[bits, code] = body[k]
-                        code, k = code + 1, k + 1
-                    code <<= 1
-                tables[body[0]] = codes
+                k = 17 + sum(body[1:17])
+                tables[body[0]] = _codes(body[1:17], body[17:k])
                 body = body[k:]
         elif mark == 0xDD:
             restart = struct.unpack(">H", body)[0]
@@ -258,10 +298,42 @@ def payload_of(data: bytes) -> tuple[bytes, list[np.ndarray]]:
     return raw.tobytes()[: avi["size"]], frames
 
 
+def _quantisers(jpeg: bytes) -> np.ndarray:
+    """The 64 steps (zigzag order) of the first component; ones if a frame has no table."""
+    jpeg, at, tables, use = bytes(jpeg), 2, {}, 0
+    while jpeg[at + 1] != 0xDA:
+        n = struct.unpack_from(">H", jpeg, at + 2)[0]
+        body = jpeg[at + 4 : at + 2 + n]
+        if jpeg[at + 1] in (0xC0, 0xC1):
+            use = body[8]
+        while jpeg[at + 1] == 0xDB and body:
+            wide = body[0] >> 4
+            tables[body[0] & 15] = np.frombuffer(body[1 : 65 + 64 * wide], ">u2" if wide else "u1").astype(np.float32)
+            body = body[65 + 64 * wide :]
+        at += 2 + n
+    return tables.get(use, np.ones(64, np.float32))
+
+
+@functools.cache
+def _inverse_dct() -> np.ndarray:
+    """[64 coefficients in zigzag order, 64 pixels]."""
+    x = np.arange(8)
+    wave = np.cos((2 * x[None, :] + 1) * x[:, None] * np.pi / 16) / 2
+    wave[0] /= np.sqrt(2)
+    zigzag = sorted(((r, c) for r in range(8) for c in range(8)), key=lambda p: (p[0] + p[1], p[0] if (p[0] + p[1]) % 2 else p[1]))
+    return np.stack([np.outer(wave[r], wave[c]).ravel() for r, c in zigzag]).astype(np.float32)
+
+
+def pixels(jpeg: bytes, coefficients: np.ndarray | None = None) -> np.ndarray:
+    """Grey values (block, 64) of the first component, from its coefficients if they are decoded already."""
+    q = decode_frame(jpeg) if coefficients is None else coefficients
+    return np.clip(np.rint((q * _quantisers(jpeg)) @ _inverse_dct() + 128), 0, 255).astype(np.uint8)
+
+
 def shots(frames: list[np.ndarray], bins: int = 32, window: int = 8, reach: float = 3.0, least: float = 0.15) -> list[tuple[int, int]]:
-    """[first, last) of each shot. The difference of two frames is half the sum of absolute differences of their normalised histograms; a cut is where it is
+    """[first, last) of each shot of frames of grey values. The difference of two frames is half the sum of absolute differences of their normalised histograms; a cut is where it is
     over `least` and over mean + reach * deviation of the last `window` differences of the running shot."""
-    hist = [np.bincount((f.ravel().astype(np.int64) + 1024) * bins // 2048 % bins, minlength=bins) / max(f.size, 1) for f in frames]
+    hist = [np.bincount(f.ravel().astype(np.int64) * bins // 256, minlength=bins) / max(f.size, 1) for f in frames]
     cuts, recent = [0], []
     for k in range(1, len(hist)):
         d = float(np.abs(hist[k] - hist[k - 1]).sum()) / 2
@@ -284,7 +356,7 @@ def clips(media: DataFrame, id_col: str, avi_col: str, **params) -> DataFrame:
             for i, data in zip(b.column("id").to_pylist(), b.column("avi"), strict=True):
                 if data.is_valid:
                     avi = parse_avi(data.as_py())
-                    found = shots([decode_frame(f) for f in avi["frames"]], **params)
+                    found = shots([pixels(f) for f in avi["frames"]], **params)
                     rows += [(i, k, lo / avi["fps"], hi / avi["fps"], hi - lo) for k, (lo, hi) in enumerate(found)]
             cols = list(zip(*rows, strict=True)) or [[]] * 5
             yield pa.RecordBatch.from_arrays([pa.array(cols[0], b.schema.field("id").type), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.float64()), pa.array(cols[3], pa.float64()), pa.array(cols[4], pa.int32())], names=["id", "clip", "start_s", "end_s", "n_frames"])
@@ -318,7 +390,8 @@ def inspect(stored: DataFrame) -> DataFrame:
             cols: list[list] = [[] for _ in range(6)]
             for data in b.column("avi").to_pylist():
                 payload, frames = payload_of(data)
-                said = ";".join(f"{lo * 1000 // FPS}-{hi * 1000 // FPS}" for lo, hi in shots(frames))
+                grey = [pixels(j, q) for j, q in zip(parse_avi(data)["frames"], frames, strict=True)]
+                said = ";".join(f"{lo * 1000 // FPS}-{hi * 1000 // FPS}" for lo, hi in shots(grey))
                 values = len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), f"frames={len(frames)};clips={said}"
                 for c, x in zip(cols, values, strict=True):
                     c.append(x)

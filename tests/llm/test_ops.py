@@ -159,6 +159,50 @@ def test_media_query_and_clips(spark, docs, none):
     assert [(r["n_frames"], r["start_s"]) for r in c] == [(5, 0.0), (5, 0.2)]
 
 
+def grey_frame(level: int, quantiser: int = 16, tables: bool = True) -> bytes:
+    """A flat 64 x 8 frame coded with the standard tables: DC differences and an end of block."""
+    dc, ac = ({v: k for k, v in media._standard_tables()[t].items()} for t in (0, 16))
+    bits, step = "", round((level - 128) * 8 / quantiser)
+    for d in [step] + [0] * 7:
+        n = abs(d).bit_length()
+        for size, code in (dc[n], (n, d if d >= 0 else d + (1 << n) - 1), ac[0]):
+            bits += f"{code:0{size}b}" if size else ""
+    bits += "1" * (-len(bits) % 8)
+    scan = bytes(int(bits[k : k + 8], 2) for k in range(0, len(bits), 8)).replace(b"\xff", b"\xff\0")
+    seg = media._segment
+    return b"\xff\xd8" + seg(0xDB, bytes([0] + [quantiser] * 64)) + seg(0xC0, b"\x08\0\x08\0\x40\x01\x01\x11\0") + seg(0xDA, b"\1\1\0\0\x3f\0") + scan + b"\xff\xd9"
+
+
+def test_cuts_between_ordinary_frames():
+    for a, b in ((0, 255), (20, 60), (150, 200)):
+        assert media.shots([media.pixels(grey_frame(x)) for x in [a] * 5 + [b] * 5]) == [(0, 5), (5, 10)]
+        assert abs(int(media.pixels(grey_frame(a))[3, 9]) - a) <= 1
+    for a, b in ((10, 60), (65, 122)):  # the stored form of a payload
+        p = media.encode_avi(bytes([a]) * 4096 * 3 + bytes([b]) * 4096 * 3)
+        assert media.shots([media.pixels(f) for f in media.parse_avi(p)["frames"]]) == [(0, 3), (3, 6)]
+
+
+def test_inverse_dct_against_its_definition():
+    rng = np.random.default_rng(1)
+    block = rng.integers(-30, 30, 64)
+    zz, r, c = {}, 0, 0
+    for k in range(64):
+        zz[r, c] = block[k]
+        up = (r + c) % 2 == 0
+        if up:
+            r, c = (r + 1, c) if c == 7 else (max(r - 1, 0), c + 1)
+        else:
+            r, c = (r, c + 1) if r == 7 else (r + 1, max(c - 1, 0))
+    s = lambda u: math.sqrt(0.5) if u == 0 else 1.0
+    want = [sum(s(u) * s(v) / 4 * zz[v, u] * math.cos((2 * x + 1) * u * math.pi / 16) * math.cos((2 * y + 1) * v * math.pi / 16) for u in range(8) for v in range(8)) for y in range(8) for x in range(8)]
+    assert np.allclose(block @ media._inverse_dct(), want, atol=1e-3)
+
+
+def test_all_riff_segments_give_frames():
+    one, two = media.encode_avi(bytes([10]) * 8192), media.encode_avi(bytes([60]) * 4096)
+    assert len(media.parse_avi(one + two[:8] + b"AVIX" + two[12:])["frames"]) == 3
+
+
 # --- 5
 def test_token_counts(spark, docs, none):
     lengths = token_counts.token_lengths(docs, P.path("byte_bpe_50k.tiktoken"), P.PATTERN, ["lang"])
