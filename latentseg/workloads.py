@@ -167,7 +167,7 @@ def _(s, d):
 
 
 @workload("w05_sample_efficiency")
-def _(s, d, sizes=(5, 50), seeds=(1, 2), systems_=("latent", "fixed_split", "avg_embedding")):
+def _(s, d, sizes=(5, 10, 25, 50, 100, 200, 300, 400, 500), seeds=(1, 2, 3, 4, 5), systems_=("latent", "fixed_split", "ngram", "avg_embedding")):
     _, te = train_test(s, d)
     pool = base(s, d).where("bucket >= 2")
     v = small_vocab(text.sample_j(pool, 200, 9), 500, 4)

@@ -48,3 +48,14 @@ def test_label_noise_takes_whole_pages_and_a_fixed_sample(spark, sf, seen):
     assert pages.exceptAll(added.select("label", "text")).count() == 0
     fixed = text.sample_j(clean.where("label = 'en'"), 50, 3)
     assert fixed.select("row_id").exceptAll(added.select("row_id")).count() == 0
+
+
+def test_sample_efficiency_runs_the_whole_grid(spark, sf, seen, monkeypatch):
+    ran = []
+    monkeypatch.setattr(workloads, "stash", lambda df, *a: df)
+    monkeypatch.setattr(workloads.text, "sample_j", lambda df, j, seed: (j, seed))
+    monkeypatch.setattr(workloads, "train_test", lambda *a: (None, None))
+    monkeypatch.setattr(workloads, "systems", lambda tr, te, v, which, *a: ran.append((*tr, which)) or [(x, "", "accuracy", 1.0) for x in which])
+    out = workloads.RUNS["w05_sample_efficiency"](spark, sf)
+    assert {r[:2] for r in ran} == {(j, k) for j in (5, 10, 25, 50, 100, 200, 300, 400, 500) for k in (1, 2, 3, 4, 5)}
+    assert {r[0] for r in out} == {"latent", "fixed_split", "ngram", "avg_embedding"} and len(out) == 9 * 4 * 2
