@@ -2,16 +2,15 @@
 
 Counting: every task hashes the words of its training texts to 64 bits, counts single words and adjacent pairs, and sends packed arrays to the part of the hash range
 that they belong to, so the shuffle carries a few large rows and no key is hot. A part adds up its counts, quantises each to a level
-1 + floor(log2 count), and enters (n-gram, 1), ..., (n-gram, level) into its blocks of a blocked Bloom filter. Bits are in proportion to the bytes of
-training text.
+1 + floor(log2 count), and enters (n-gram, 1), ..., (n-gram, level) into its blocks of a blocked Bloom filter. Bits and parts are in proportion to the bytes of
+training text, at every size.
 
-Scoring: a worker asks for level 1, 2, ... of an n-gram until one is missing; the level gives back the count within a factor of two. A word's probability mixes
-the pair's relative frequency with the word's smoothed one. The filters are broadcast; their sizes are checked: pairs whose filter would exceed MAX_BYTES are split by
-the hash of their first word into shards that are broadcast one after another, each pass scoring the words whose predecessor falls into its shard.
-The words' own filter never exceeds MAX_BYTES: from there on its error rate rises with the number of distinct words.
-
-The base score needs exact counts. Words of at least N / HEAD occurrences are fewer than HEAD by arithmetic; their counts are broadcast. All rarer words of a
-text are joined with their counts by a shuffle, in which none is hot for that very reason. Distinct words are told apart by 64-bit hashes.
+Scoring: level 1, 2, ... of an n-gram is asked for until one is missing, or the largest that its part holds; the level gives back the count within a factor
+of two. A word's probability mixes the pair's relative frequency with the word's smoothed one. Texts are scored in chunks of CHUNK tokens. The pairs' filter is broadcast
+to the workers if it has at most MAX_BYTES, a size that is known before it is built. A larger one stays where its parts are: a chunk sends its distinct pairs to
+the parts, they probe in place and send one byte for each back. Both ways give the same scores, and one shuffle is all either needs, whatever the size of the
+corpus. Words always go the second way: their exact counts, which the base score needs, come back with their levels. An n-gram is sent once for each chunk, so none
+is hot. Distinct words are told apart by 64-bit hashes, pairs of a part by KEPT_BITS.
 
 Defined cases: a null text is empty and scores its end alone; a null id counts as the empty string in the split; repeated rows are scored each; if nothing is
 in training all counts are 0; an empty table gives an empty result; other columns are not read.
@@ -20,31 +19,36 @@ in training all counts are 0; an empty table gives an empty result; other column
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..io import read_table, spread, stash
-from .common import whole, word_hashes
+from .common import hashed_words, mixed, whole
 
 BLOCK_BITS = 1 << 16
 PROBES = 3
 PAIR_BITS, WORD_BITS = 1.0, 0.25  # per byte of training text
-MAX_BYTES = 512 << 20
-HEAD = 1 << 22
+#: Training text of a part of the hash range.
+PART_BYTES = 4_000_000
+#: The pairs' filter is broadcast up to this size; each worker holds a copy.
+MAX_BYTES = 128 << 20
 MIX = 0.4
 #: Arbitrary constants that stand for the start and the end of a text.
 START, END = np.uint64(0x5BF03635F0A31E05), np.uint64(0xC2B2AE3D27D4EB4F)
-FLUSH = 3_000_000
-
-
-def mixed(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> np.uint64(31))) * np.uint64(0x7FB5D329728EA185)
-    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x81DADEF4BC2DD44D)
-    return x ^ (x >> np.uint64(33))
+#: Tokens that a task counts, or scores, at a time.
+FLUSH, CHUNK = 2_000_000, 600_000
+#: Bits of a pair's hash that are kept behind those that name its part.
+KEPT_BITS = 32
+#: Bytes of text that are cut into words at a time.
+PIECE = 1 << 20
+#: Kinds of rows: a part's word counts, its bits for words and pairs; words and pairs that a chunk asks for; a chunk's texts.
+COUNTS, WORDS, PAIRS, ASK_WORDS, ASK_PAIRS, TEXTS = range(6)
 
 
 def pair_hash(first: np.ndarray, second: np.ndarray) -> np.ndarray:
@@ -77,38 +81,70 @@ def summed(h: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return h[first], np.add.reduceat(c, first) if len(h) else c
 
 
-def pack(h: np.ndarray, c: np.ndarray) -> bytes:
-    """Hashes in order of count; counts as (count, how many)."""
+def pack(h: np.ndarray, c: np.ndarray, part_bits: int | None = None) -> bytes:
+    """Hashes in order of count; counts as (count, how many). With part_bits the part is known to the reader and KEPT_BITS more are enough."""
     order = np.argsort(c, kind="stable")
     kinds, n = np.unique(c, return_counts=True)
-    return np.array([len(kinds)], np.uint64).tobytes() + kinds.astype(np.uint64).tobytes() + n.astype(np.uint64).tobytes() + h[order].tobytes()
+    head = np.array([len(kinds)], np.uint64).tobytes() + kinds.astype(np.uint64).tobytes() + n.astype(np.uint64).tobytes()
+    return head + (h[order].tobytes() if part_bits is None else short(h[order], part_bits))
+
+
+def unpack(data: bytes, part: int = 0, part_bits: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+    k = int(np.frombuffer(data, np.uint64, 1)[0])
+    x = np.frombuffer(data, np.uint64, 2 * k, 8)
+    rest = data[8 + 16 * k :]
+    return np.frombuffer(rest, np.uint64) if part_bits is None else long(rest, part, part_bits), np.repeat(x[:k], x[k:].astype(np.int64)).astype(np.int64)
+
+
+def clipped(h: np.ndarray, part_bits: int) -> np.ndarray:
+    """The leading part_bits + KEPT_BITS of hashes. A part stands for a bounded stretch of text, so how often two of its pairs agree in them, about one in 5,000, does not grow with
+    the corpus and is small beside the filter's own error."""
+    drop = np.uint64(64 - part_bits - KEPT_BITS)
+    return h >> drop << drop
+
 
+def short(h: np.ndarray, part_bits: int) -> bytes:
+    """What a reader who knows the part lacks of clipped hashes."""
+    return (h << np.uint64(part_bits) >> np.uint64(64 - KEPT_BITS)).astype(np.uint32).tobytes()
 
-def unpack(data: bytes) -> tuple[np.ndarray, np.ndarray]:
-    x = np.frombuffer(data, np.uint64)
-    k = int(x[0])
-    return x[1 + 2 * k :], np.repeat(x[1 : 1 + k], x[1 + k : 1 + 2 * k].astype(np.int64)).astype(np.int64)
+
+def long(data: bytes, part: int, part_bits: int) -> np.ndarray:
+    x = np.frombuffer(data, np.uint32).astype(np.uint64)
+    return x << np.uint64(64 - KEPT_BITS) >> np.uint64(part_bits) | np.uint64(part << (64 - part_bits))
+
+
+def planes(x: np.ndarray, width: int = 4) -> bytes:
+    """Numbers below 256 ** width byte by byte, compressed."""
+    return pa.compress(x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width].T.tobytes(), codec="zstd", asbytes=True)
+
+
+def from_planes(data: bytes, n: int, width: int = 4) -> np.ndarray:
+    out = np.zeros((n, 8), np.uint8)
+    out[:, :width] = np.frombuffer(pa.decompress(data, decompressed_size=width * n, codec="zstd", asbytes=True), np.uint8).reshape(width, n).T
+    return out.view("<i8").ravel()
 
 
 class Filter:
-    """A blocked log-frequency Bloom filter as one byte array."""
+    """A run of blocks of a blocked log-frequency Bloom filter."""
 
-    def __init__(self, bits: np.ndarray) -> None:
-        self.bits, self.blocks = bits, len(bits) * 8 // BLOCK_BITS
+    def __init__(self, bits: np.ndarray, blocks: int, first: int = 0, top: int = 64) -> None:
+        """bits: blocks first, first + 1, ... of `blocks`; top: the largest level that was entered."""
+        self.bits, self.blocks, self.first, self.top = bits, blocks, first, top
 
     def levels(self, h: np.ndarray) -> np.ndarray:
         """Largest level such that it and all below are present. Sorted input touches the blocks in order."""
-        out = np.zeros(len(h), np.int64)
-        live, level = np.arange(len(h)), 1
-        base = slice_of(h, self.blocks) * BLOCK_BITS
-        while len(live):
+        out = np.zeros(len(h), np.uint8)
+        live = np.arange(len(h))
+        base = (slice_of(h, self.blocks) - self.first) * BLOCK_BITS
+        for level in range(1, self.top + 1):
             hit = np.ones(len(live), bool)
             for p in bit_places(h[live], level):
                 at = base[live] + p
                 hit &= (self.bits[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
             live = live[hit]
+            if not len(live):
+                break
             out[live] = level
-            level += 1
         return out
 
 
@@ -130,17 +166,41 @@ def _held_out(id_col: str):
 
 def tokens_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """Word hashes of all texts, each with its end, and the number of tokens of each."""
-    words = [t.encode("utf-8", "replace").lower().split() for t in texts]
-    sizes = np.fromiter((len(w) + 1 for w in words), np.int64, len(words))
-    out = np.empty(int(sizes.sum()), np.uint64)
-    at = 0
-    for w in words:
-        out[at : at + len(w)] = word_hashes(w)
-        out[at + len(w)] = END
-        at += len(w) + 1
+    raw = [t.encode("utf-8", "replace") + b"\n" for t in texts]
+    bounds = np.concatenate([[0], np.cumsum([len(r) for r in raw])]).astype(np.int64)
+    h, starts = hashed_words(np.frombuffer(b"".join(raw), np.uint8))
+    doc = np.searchsorted(bounds, starts, "right") - 1
+    sizes = np.bincount(doc, minlength=len(raw)) + 1
+    out = np.full(len(h) + len(raw), END, np.uint64)
+    out[np.arange(len(h)) + doc] = h
     return out, sizes
 
 
+def token_runs(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[tuple[pa.Table, np.ndarray, np.ndarray]]:
+    """(rows without the text, tokens, sizes) of consecutive rows with about `most` tokens; the text is the last column."""
+    held: list[tuple[pa.RecordBatch, np.ndarray, np.ndarray]] = []
+    n = 0
+
+    def flushed() -> tuple[pa.Table, np.ndarray, np.ndarray]:
+        return pa.Table.from_batches([h[0] for h in held]), np.concatenate([h[1] for h in held]), np.concatenate([h[2] for h in held])
+
+    for b in batches:
+        size = np.cumsum(np.fromiter((x.as_buffer().size for x in b.column(b.num_columns - 1)), np.int64, b.num_rows)) // PIECE
+        cuts = [0, *(np.flatnonzero(np.diff(size)) + 1), b.num_rows]
+        for lo, hi in zip(cuts, cuts[1:], strict=False):
+            if lo == hi:
+                continue
+            part = b.slice(lo, hi - lo)
+            tokens, sizes = tokens_of(part.column(b.num_columns - 1).to_pylist())
+            held.append((part.select(b.schema.names[:-1]), tokens, sizes))
+            n += len(tokens)
+            if n >= most:
+                yield flushed()
+                held, n = [], 0
+    if held:
+        yield flushed()
+
+
 def before(tokens: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     prev = np.empty_like(tokens)
     prev[1:] = tokens[:-1]
@@ -148,175 +208,219 @@ def before(tokens: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return prev
 
 
+def by_part(h: np.ndarray, parts: int) -> Iterator[tuple[int, slice]]:
+    """The runs of sorted hashes that belong to each part."""
+    if len(h):
+        where = slice_of(h, parts)
+        cut = np.concatenate([[0], np.flatnonzero(np.diff(where)) + 1, [len(h)]])
+        for lo, hi in zip(cut, cut[1:], strict=False):
+            yield int(where[lo]), slice(lo, hi)
+
+
+@dataclass
 class Model:
-    """What counting leaves: a stashed table of parts, its totals and the layout of the filters."""
+    """What counting leaves: a stashed table of parts (kind, part, top, data), its totals and the layout of the filters."""
+
+    table: DataFrame
+    total: int
+    distinct: int
+    texts: int
+    parts: int
+    word_own: int  # blocks of a part
+    pair_own: int
 
-    def __init__(self, parts: DataFrame, words: DataFrame, total: int, distinct: int, texts: int, shards: int) -> None:
-        self.parts, self.words, self.total, self.distinct, self.texts, self.shards = parts, words, total, distinct, texts, shards
+    def filter_bytes(self) -> int:
+        return self.parts * self.pair_own * BLOCK_BITS // 8
 
-    def filter(self, kind: int) -> bytes:
-        """The blocks of a filter put together, fetched part by part."""
-        rows = self.parts.where(F.col("kind") == kind).select("first", "data")
-        pieces = {r["first"]: bytes(r["data"]) for r in rows.toLocalIterator()}
-        return b"".join([pieces[k] for k in sorted(pieces)])
+    def pairs(self) -> tuple[bytes, int]:
+        """The pairs' filter put together, and its largest level; parts without a pair are empty blocks."""
+        size = self.pair_own * BLOCK_BITS // 8
+        out, top = bytearray(size * self.parts), 0
+        for r in self.table.where(F.col("kind") == PAIRS).select("part", "top", "data").toLocalIterator():
+            out[r["part"] * size : (r["part"] + 1) * size] = r["data"]
+            top = max(top, r["top"])
+        return bytes(out), top
 
 
-def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_bytes: int = MAX_BYTES) -> Model:
-    """kind -1: packed word counts; kind -2: bits of the words' filter; kind s >= 0: bits of shard s of the pairs' filter."""
+def _row(kind: int, part: int, top: int, data: bytes) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([part], pa.int32()), pa.array([top], pa.int32()), pa.array([data], pa.binary())], names=["kind", "part", "top", "data"])
+
+
+def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", part_bytes: int = PART_BYTES) -> Model:
     train = docs.where(~_held_out(id_col)).select(whole(text_col).alias("_text"))
     size, texts = train.agg(F.sum(F.octet_length("_text") + 1), F.count(F.lit(1))).first()
     size = size or 1
-    parts = 1
-    while parts < 256 or parts * 2_000_000 < size:
+    parts = 8
+    while parts * part_bytes < size:
         parts *= 2
-    # each filter has the same number of blocks in every part
-    word_own = max(1, int(min(size * WORD_BITS, 8 * max_bytes) / BLOCK_BITS / parts))
-    shards = max(1, -int(-size * PAIR_BITS // (8 * max_bytes)))
-    pair_own = max(1, int(size * PAIR_BITS / shards / BLOCK_BITS / parts))
-    slices = max(docs.sparkSession.sparkContext.defaultParallelism, min(parts, size // 20_000_000 + 32))
+    word_own, pair_own = (max(1, int(size * bits / BLOCK_BITS / parts)) for bits in (WORD_BITS, PAIR_BITS))
+    tasks, part_bits = max(train.sparkSession.sparkContext.defaultParallelism, parts // 4), parts.bit_length() - 1
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple[np.ndarray, np.ndarray]] = []
-        n = 0
-
-        def flush() -> Iterator[pa.RecordBatch]:
-            nonlocal held, n
-            tokens = np.concatenate([t for t, _ in held])
-            sizes = np.concatenate([s for _, s in held])
-            held, n = [], 0
-            kinds, where, data = [], [], []
-
-            def put(kind: int, h: np.ndarray) -> None:
-                h, c = np.unique(h, return_counts=True)
-                cut = np.searchsorted(slice_of(h, parts), np.arange(parts + 1))
-                for p in np.flatnonzero(np.diff(cut)):
-                    kinds.append(kind)
-                    where.append(int(p))
-                    data.append(pack(h[cut[p] : cut[p + 1]], c[cut[p] : cut[p + 1]]))
-
-            put(-1, tokens)
-            prev = before(tokens, sizes)
-            pairs = pair_hash(prev, tokens)
-            for s in range(shards):
-                put(s, pairs if shards == 1 else pairs[slice_of(mixed(prev), shards) == s])
-            yield pa.RecordBatch.from_arrays([pa.array(kinds, pa.int32()), pa.array(where, pa.int32()), pa.array(data, pa.binary())], names=["kind", "part", "data"])
-
-        for b in batches:
-            for at in range(0, b.num_rows, 1000):
-                t, s = tokens_of(b.column("_text").slice(at, 1000).to_pylist())
-                held.append((t, s))
-                n += len(t)
-                if n >= FLUSH:
-                    yield from flush()
-        if held:
-            yield from flush()
+        for _, tokens, sizes in token_runs(batches, FLUSH):
+            for kind, h in ((COUNTS, tokens), (PAIRS, clipped(pair_hash(before(tokens, sizes), tokens), part_bits))):
+                u, c = np.unique(h, return_counts=True)
+                where, data = [], []
+                for p, s in by_part(u, parts):
+                    where.append(p)
+                    data.append(pack(u[s], c[s], part_bits if kind == PAIRS else None))
+                yield pa.RecordBatch.from_arrays([pa.array([kind] * len(where), pa.int32()), pa.array(where, pa.int32()), pa.array(data, pa.binary())], names=["kind", "part", "data"])
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        got: dict[tuple[int, int], list[bytes]] = {}
-        for b in batches:
-            for kind, part, data in zip(*(b.column(c).to_pylist() for c in ("kind", "part", "data")), strict=True):
-                got.setdefault((kind, part), []).append(data)
-        while got:
-            (kind, part), blobs = got.popitem()
-            pairs = [unpack(x) for x in blobs]
-            h, c = summed(np.concatenate([p[0] for p in pairs]), np.concatenate([p[1] for p in pairs]))
-            out = []
-            if kind == -1:
-                out.append((-1, part, pack(h, c)))
-                out.append((-2, part, fill(h, c, word_own * parts, part * word_own, word_own).tobytes()))
+        """Rows come in order of part and kind, so one part of one kind is held at a time."""
+        at, held = None, []
+
+        def built() -> Iterator[pa.RecordBatch]:
+            kind, part = at
+            got = [unpack(x, part, part_bits if kind == PAIRS else None) for x in held]
+            h, c = summed(np.concatenate([x[0] for x in got]), np.concatenate([x[1] for x in got]))
+            top, own = int(levels_of(c).max(initial=0)), word_own if kind == COUNTS else pair_own
+            bits = fill(h, c, own * parts, part * own, own).tobytes()
+            if kind == COUNTS:
+                yield _row(COUNTS, part, top, pack(h, c))
+                yield _row(WORDS, part, top, bits)
             else:
-                out.append((kind, part, fill(h, c, pair_own * parts, part * pair_own, pair_own).tobytes()))
-            for row in out:
-                yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in zip(row, (pa.int32(), pa.int32(), pa.binary()), strict=True)], names=["kind", "first", "data"])
+                yield _row(PAIRS, part, top, bits)
+
+        for b in batches:
+            for kind, part, data in zip(b.column("kind").to_pylist(), b.column("part").to_pylist(), b.column("data"), strict=True):
+                if at is not None and at != (kind, part):
+                    yield from built()
+                    held = []
+                at = kind, part
+                held.append(data.as_py())
+        if held:
+            yield from built()
 
     counted = spread(train).mapInArrow(count, "kind int, part int, data binary")
-    # parts without any count still need their empty blocks
-    empty = docs.sparkSession.range(0, parts, 1, 1).select(F.explode(F.sequence(F.lit(-1), F.lit(shards - 1))).alias("kind"), F.col("id").cast("int").alias("part"), F.lit(pack(np.empty(0, np.uint64), np.empty(0, np.int64))).alias("data"))
-    built = stash(counted.union(empty).repartition(slices, "kind", "part").mapInArrow(build, "kind int, first int, data binary"), "filters")
+    ordered = counted.repartition(tasks, "part").sortWithinPartitions("part", "kind")
+    table = stash(ordered.mapInArrow(build, "kind int, part int, top int, data binary"), "filters")
 
-    def expand(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for data in b.column("data").to_pylist():
-                h, c = unpack(data)
-                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64), pa.int64()), pa.array(c, pa.int64())], names=["h", "c"])
+            counts = [unpack(x.as_py())[1] for x in b.column("data")]
+            yield pa.RecordBatch.from_arrays([pa.array([int(x.sum()) for x in counts], pa.int64()), pa.array([len(x) for x in counts], pa.int64())], names=["c", "n"])
 
-    words = built.where("kind = -1").select("data").mapInArrow(expand, "h long, c long")
-    total, distinct = words.agg(F.sum("c"), F.count(F.lit(1))).first()
-    return Model(built, words, total or 0, distinct or 0, texts, shards)
+    total, distinct = table.where(F.col("kind") == COUNTS).select("data").mapInArrow(sums, "c long, n long").agg(F.sum("c"), F.sum("n")).first()
+    return Model(table, total or 0, distinct or 0, texts, parts, word_own, pair_own)
 
 
-def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", mix: float = MIX, head: int = HEAD) -> DataFrame:
+def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", mix: float = MIX, max_bytes: int = MAX_BYTES, chunk: int = CHUNK) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score)."""
     spark = docs.sparkSession
-    total, distinct, n_texts, shards = model.total, model.distinct, model.texts, model.shards
-    cut = total // head + 1  # at least this often: fewer than `head` words
-    top = model.words.where(F.col("c") >= cut).toPandas()
-    order = np.argsort(top["h"].to_numpy().view(np.uint64))
-    sent_head = spark.sparkContext.broadcast((top["h"].to_numpy().view(np.uint64)[order], top["c"].to_numpy()[order]))
-    sent_words = spark.sparkContext.broadcast(model.filter(-2))
+    total, distinct, n_texts, parts, word_own, pair_own = model.total, model.distinct, model.texts, model.parts, model.word_own, model.pair_own
+    part_bits = parts.bit_length() - 1
+    near = model.filter_bytes() <= max_bytes
+    sent = spark.sparkContext.broadcast(model.pairs()) if near else None
     df = spread(docs.select(F.col(id_col).alias("doc_id"), _held_out(id_col).alias("held_out"), whole(text_col).alias("_text")))
-    kind = dict(df.dtypes)["doc_id"]
-    scale = np.log10(total + distinct + 1.0)
-
-    def one(shard: int) -> DataFrame:
-        sent_pairs = spark.sparkContext.broadcast(model.filter(shard))
-
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            words, pairs = Filter(np.frombuffer(sent_words.value, np.uint8)), Filter(np.frombuffer(sent_pairs.value, np.uint8))
-            top_h, top_c = sent_head.value
-            uid = TaskContext.get().partitionId() << 36
-            for whole_batch in batches:
-                for start in range(0, whole_batch.num_rows, 1000):
-                    b = whole_batch.slice(start, 1000)
-                    tokens, sizes = tokens_of(b.column("_text").to_pylist())
-                    prev = before(tokens, sizes)
-                    doc = np.repeat(np.arange(len(sizes)), sizes)
-                    u, back = np.unique(tokens, return_inverse=True)
-                    level = count_of(words.levels(u))
-                    p1 = ((level + 1) / (total + distinct + 1.0))[back]
-                    seen = np.empty(len(tokens))
-                    seen[1:] = level[back[:-1]]
-                    seen[prev == START] = n_texts
-                    own = np.ones(len(tokens), bool) if shards == 1 else slice_of(mixed(prev), shards) == shard
-                    pu, pback = np.unique(pair_hash(prev[own], tokens[own]), return_inverse=True)
-                    c2 = count_of(pairs.levels(pu))[pback]
-                    seen = seen[own]
-                    weight = np.where(seen > 0, mix, 0.0)
-                    p = (1 - weight) * p1[own] + weight * c2 / np.maximum(np.maximum(seen, c2), 1)
-                    s = np.bincount(doc[own], np.log10(p), minlength=len(sizes))
-                    arrays = [b.column("doc_id"), b.column("held_out"), pa.array(np.arange(uid, uid + len(sizes)), pa.int64()), pa.array(sizes, pa.int64()), pa.array(s, pa.float64())]
-                    uid += len(sizes)
-                    # exact counts of frequent words; the others of a text are left to the join
-                    at = np.minimum(np.searchsorted(top_h, u), max(len(top_h) - 1, 0))
-                    is_top = top_h[at] == u if len(top_h) else np.zeros(len(u), bool)
-                    logs = np.where(is_top, np.log10((top_c[at] if len(top_h) else 0) + 1.0), 0.0)
-                    known = is_top[back]
-                    arrays += [pa.array(np.bincount(doc, logs[back], minlength=len(sizes))), pa.array(np.bincount(doc, known, minlength=len(sizes)).astype(np.int64))]
-                    rare = np.unique(doc[~known] * len(u) + back[~known], return_counts=True)
-                    ends = np.searchsorted(rare[0] // max(len(u), 1), np.arange(len(sizes) + 1)).astype(np.int32)
-                    arrays.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(u[rare[0] % max(len(u), 1)].view(np.int64))))
-                    arrays.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(rare[1].astype(np.int32))))
-                    yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "held_out", "uid", "n_tokens", "score", "head_sum", "head_known", "rare", "times"])
-
-        return stash(df.mapInArrow(run, f"doc_id {kind}, held_out boolean, uid long, n_tokens long, score double, head_sum double, head_known long, rare array<long>, times array<int>"), "scored")
-
-    scored = one(0)
-    for s in range(1, shards):
-        more = one(s).select("uid", F.col("score").alias("more"))
-        scored = stash(scored.join(more, "uid").withColumn("score", F.col("score") + F.col("more")).drop("more"), "scored")
-    rare = scored.select("uid", F.explode(F.arrays_zip("rare", "times")).alias("x")).select("uid", F.col("x.rare").alias("h"), F.col("x.times").alias("t"))
-    few = model.words.where(F.col("c") < cut)
-    tail = rare.join(few, "h").groupBy("uid").agg(F.sum(F.col("t") * F.log10(F.col("c") + 1.0)).alias("tail_sum"), F.sum("t").alias("tail_known"))
-    out = scored.drop("rare", "times").join(tail, "uid", "left")
-    return out.select(
-        "doc_id",
-        "held_out",
-        "n_tokens",
-        (F.col("head_known") + F.coalesce("tail_known", F.lit(0))).alias("n_known"),
-        F.lit(total).cast("long").alias("train_tokens"),
-        (F.col("head_sum") + F.coalesce("tail_sum", F.lit(0.0)) - F.col("n_tokens") * F.lit(float(scale))).alias("base_score"),
-        "score",
-    )
+    ids = df.schema["doc_id"].dataType
+    texts_schema = T.StructType([T.StructField("ids", T.ArrayType(ids)), *T._parse_datatype_string("held array<boolean>, sizes array<int>").fields])
+    schema = T.StructType([*T._parse_datatype_string("chunk long, kind int, part int, top int, data binary, more binary").fields, *texts_schema.fields])
+    names = schema.names
+
+    def rows(chunk_id: int, kind: int, part: list[int], data: list[bytes], more: list[bytes | None] | None = None, rest: pa.Table | None = None, sizes: np.ndarray | None = None, kinds: list | None = None) -> pa.RecordBatch:
+        n = len(part)
+        if rest is None:
+            lists = [pa.nulls(n, k) for k in kinds]
+        else:
+            one = lambda c: pa.ListArray.from_arrays(pa.array([0, rest.num_rows], pa.int32()), c.combine_chunks() if not isinstance(c.combine_chunks(), pa.ChunkedArray) else c.combine_chunks().chunk(0))
+            lists = [one(rest.column(0)), one(rest.column(1)), pa.ListArray.from_arrays(pa.array([0, len(sizes)], pa.int32()), pa.array(sizes.astype(np.int32)))]
+        return pa.RecordBatch.from_arrays([pa.array([chunk_id] * n, pa.int64()), pa.array([kind] * n, pa.int32()), pa.array(part, pa.int32()), pa.nulls(n, pa.int32()), pa.array(data, pa.binary()), pa.array(more or [None] * n, pa.binary()), *lists], names=names)
+
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """A chunk's texts as places in its sorted distinct words (and pairs, or the pairs' levels); and what it asks of each part."""
+        at = TaskContext.get().partitionId() << 32
+        pairs = Filter(np.frombuffer(sent.value[0], np.uint8), parts * pair_own, 0, sent.value[1]) if near else None
+        for rest, tokens, sizes in token_runs(batches, chunk):
+            u, back = np.unique(tokens, return_inverse=True)
+            pu, pback = np.unique(clipped(pair_hash(before(tokens, sizes), tokens), part_bits), return_inverse=True)
+            kinds = [pa.list_(rest.schema.field(0).type), pa.list_(pa.bool_()), pa.list_(pa.int32())]
+            yield rows(at, TEXTS, [(at >> 32) * 31 + (at & 0xFFFF)], [planes(back)], [planes(pairs.levels(pu)[pback] if near else pback)], rest, sizes)
+            for kind, h in ((ASK_WORDS, u), (ASK_PAIRS, pu)):
+                if kind == ASK_WORDS or not near:
+                    found = list(by_part(h, parts))
+                    yield rows(at, kind, [p for p, _ in found], [h[s].tobytes() if kind == ASK_WORDS else short(h[s], part_bits) for _, s in found], kinds=kinds)
+            at += 1
+
+    def answer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come in order of part, what the part holds before what is asked of it. A part that holds nothing answers zeros; texts pass. top becomes the number of
+        answers in a row."""
+        part, have = None, {}
+        kinds = None
+        for b in batches:
+            kinds = kinds or [b.schema.field(c).type for c in ("ids", "held", "sizes")]
+            out: dict[str, list] = {x: [] for x in names[:6]}
+            passed = []
+            for k, (c, kind, p, top, data) in enumerate(zip(*(b.column(x).to_pylist() for x in names[:4]), b.column("data"), strict=True)):
+                if kind == TEXTS:
+                    passed.append(k)
+                    continue
+                if p != part:
+                    part, have = p, {}
+                raw = data.as_py()
+                if kind == COUNTS:
+                    have[kind] = unpack(raw)
+                    order = np.argsort(have[kind][0])
+                    have[kind] = tuple(x[order] for x in have[kind])
+                elif kind in (WORDS, PAIRS):
+                    own = word_own if kind == WORDS else pair_own
+                    have[kind] = Filter(np.frombuffer(raw, np.uint8), parts * own, p * own, top)
+                else:
+                    h = np.frombuffer(raw, np.uint64) if kind == ASK_WORDS else long(raw, p, part_bits)
+                    which = WORDS if kind == ASK_WORDS else PAIRS
+                    level = have[which].levels(h) if which in have else np.zeros(len(h), np.uint8)
+                    counts = np.zeros(len(h), np.int64)
+                    if kind == ASK_WORDS and COUNTS in have:
+                        known, n = have[COUNTS]
+                        place = np.minimum(np.searchsorted(known, h), len(known) - 1)
+                        counts = np.where(known[place] == h, n[place], 0)
+                    for x, v in zip(out.values(), (c, kind, p, len(h), planes(level, 1), planes(counts, 8) if kind == ASK_WORDS else None), strict=True):
+                        x.append(v)
+            if passed:
+                yield b.take(pa.array(passed))
+            n = len(out["chunk"])
+            yield pa.RecordBatch.from_arrays([*[pa.array(out[x], t) for x, t in zip(names[:6], (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary()), strict=True)], *[pa.nulls(n, t) for t in kinds]], names=names)
+
+    def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come in order of chunk: answers in order of kind and part, then the texts."""
+        got: dict[int, list[np.ndarray]] = {}
+        for b in batches:
+            for k, (kind, data, more) in enumerate(zip(b.column("kind").to_pylist(), b.column("data"), b.column("more"), strict=True)):
+                if kind != TEXTS:
+                    n = b.column("top")[k].as_py()
+                    got.setdefault(kind, []).append(from_planes(data.as_py(), n, 1))
+                    if kind == ASK_WORDS:
+                        got.setdefault(COUNTS, []).append(from_planes(more.as_py(), n, 8))
+                    continue
+                level = np.concatenate(got[ASK_WORDS])
+                exact = np.concatenate(got[COUNTS])
+                sizes = np.array(b.column("sizes")[k].as_py(), np.int64)
+                back, c2 = (from_planes(x.as_py(), int(sizes.sum())) for x in (data, more))
+                if not near:
+                    c2 = np.concatenate(got[ASK_PAIRS])[c2]
+                got = {}
+                doc = np.repeat(np.arange(len(sizes)), sizes)
+                c1, c2 = count_of(level)[back], count_of(c2)
+                seen = np.empty(len(back))
+                seen[1:] = c1[:-1]
+                seen[np.concatenate([[0], np.cumsum(sizes)[:-1]])] = n_texts
+                weight = np.where(seen > 0, mix, 0.0)
+                p = (1 - weight) * (c1 + 1) / (total + distinct + 1.0) + weight * c2 / np.maximum(np.maximum(seen, c2), 1)
+                base = (np.log10(exact + 1.0) - np.log10(total + distinct + 1.0))[back]
+                known = np.bincount(doc, (exact > 0)[back], minlength=len(sizes)).astype(np.int64)
+                add = lambda x: pa.array(np.bincount(doc, x, minlength=len(sizes)))  # noqa: B023, E731
+                n = pa.array(sizes, pa.int64())
+                yield pa.RecordBatch.from_arrays(
+                    [b.column("ids")[k].values, b.column("held")[k].values, n, pa.array(known), pa.array(np.full(len(sizes), total), pa.int64()), add(base), add(np.log10(p))],
+                    names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
+                )
+
+    tasks = max(spark.sparkContext.defaultParallelism, parts // 4)
+    held = model.table.where(F.col("kind").isin([COUNTS, WORDS] if near else [COUNTS, WORDS, PAIRS])).withColumn("chunk", F.lit(-1).cast("long"))
+    at_parts = df.mapInArrow(ask, schema).unionByName(held, allowMissingColumns=True).repartition(tasks, "part").sortWithinPartitions("part", "kind")
+    both = at_parts.mapInArrow(answer, schema).repartition(tasks, "chunk").sortWithinPartitions("chunk", "kind", "part")
+    out = T.StructType([T.StructField("doc_id", ids), *T._parse_datatype_string("held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double").fields])
+    return both.mapInArrow(finish, out)
 
 
 def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
