@@ -5,7 +5,6 @@ from __future__ import annotations
 from collections.abc import Collection
 
 import numpy as np
-import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -112,22 +111,3 @@ def hashed_words(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
             starts.append(own[first] + at)
         at = end
     return np.concatenate(hashes), np.concatenate(starts)
-
-
-#: Words whose hashes a worker remembers; a memory that is full is emptied.
-MEMORY = 1_000_000
-
-
-class _Hashes(dict):
-    def __missing__(self, word: bytes) -> int:
-        h = self[word] = xxhash.xxh3_64_intdigest(word)
-        return h
-
-
-_hashes = _Hashes()
-
-
-def word_hashes(words: list[bytes]) -> np.ndarray:
-    if len(_hashes) > MEMORY:
-        _hashes.clear()
-    return np.fromiter(map(_hashes.__getitem__, words), np.uint64, len(words))

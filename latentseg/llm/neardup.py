@@ -13,7 +13,8 @@ all its pairs. Verification compares whole shingle sets.
 
 Defined cases: a null, empty or all-space text has an empty set, is linked with nothing and kept; fewer than five words form one shingle; every row goes by its own
 text, so rows of equal id may have different components; a null id takes part but names no component unless all ids in it are null; an empty table gives an empty result; other
-columns are not read.
+columns, whatever they are called, are not read. drop_near_duplicates() leaves one row of each component: that of the smallest id, null ids last, then of the smallest text digest; of rows
+that agree in id and text one stays, by the digest of its other columns. Rows with an empty set all stay.
 """
 
 from __future__ import annotations
@@ -22,19 +23,20 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..io import read_table, spread, stash
-from .common import whole, word_hashes
+from ..io import join_small, join_spread, read_table, spread, stash
+from .common import hashed_words, named, whole
 
 WIDTH = 5
 SEED = 20_240_601
 LEFT, RIGHT, K1, K2 = 10, 10, 2, 2
 #: Candidate documents whose ids may be broadcast to fetch their texts: 8 bytes each.
 BROADCAST_IDS = 2_000_000
+#: Rows (id, digest) that go or repeat, up to which they are broadcast: some 100 bytes each.
+KEYS = 500_000
 #: Rounds in which members of mixed buckets meet one of the bucket's largest component before all that is left is paired.
 HEAD_ROUNDS = 1
 #: Most shingles whose frequency is broadcast: 16 bytes each, twice that as a dictionary entry.
@@ -42,16 +44,14 @@ FREQUENT = 1_000_000
 
 
 def shingles(text: str, width: int = WIDTH) -> np.ndarray:
-    """Distinct hashed shingles of the whole text, sorted. Splitting and folding bytes touches ASCII alone."""
-    words = text.encode("utf-8", "replace").lower().split()
-    if not words:
-        return np.empty(0, np.uint64)
-    if len(words) < width:
-        return np.array([xxhash.xxh3_64_intdigest(b" ".join(words), seed=len(words))], np.uint64)
-    h = word_hashes(words)
-    out = np.zeros(len(h) - width + 1, np.uint64)
-    for k in range(width):
-        out = out * np.uint64(0x9E3779B97F4A7C15) + h[k : len(h) - width + 1 + k]
+    """Distinct hashed shingles of the whole text, sorted; fewer words than `width` make one."""
+    h, _ = hashed_words(np.frombuffer(text.encode("utf-8", "replace"), np.uint8))
+    if not len(h):
+        return h
+    many = min(len(h), width)
+    out = np.full(len(h) - many + 1, 0 if many == width else many, np.uint64)
+    for k in range(many):
+        out = out * np.uint64(0x9E3779B97F4A7C15) + h[k : len(h) - many + 1 + k]
         out ^= out >> np.uint64(29)
     return np.unique(out)
 
@@ -170,8 +170,10 @@ def components(edges: DataFrame) -> DataFrame:
     while True:
         near = both.join(labels.select(F.col("v").alias("b"), "comp"), "b").groupBy(F.col("a").alias("v")).agg(F.min("comp").alias("near"))
         step = stash(labels.join(near, "v").select("v", F.least("comp", "near").alias("comp"), F.col("comp").alias("old")), "step")
-        jump = step.select(F.col("v").alias("comp"), F.col("comp").alias("far"))
-        new = stash(step.join(jump, "comp", "left").select("v", F.least("comp", "far").alias("comp"), "old"), "labels")
+        # labels whose own label is another one; a large component is one key, so this small side goes to the rows
+        centres = step.groupBy("comp").agg(F.count(F.lit(1)).alias("n")).select(F.col("comp").alias("centre"))
+        moved = centres.join(step.select(F.col("v").alias("centre"), F.col("comp").alias("far")), "centre").where("far < centre")
+        new = stash(join_spread(step, stash(moved, "moved"), "comp", "centre", "v", "left").select("v", F.least("comp", "far").alias("comp"), "old"), "labels")
         labels = new.select("v", "comp")
         if new.where("comp <> old").limit(1).count() == 0:
             return labels
@@ -226,8 +228,8 @@ def _mixed(buckets: DataFrame, comp: DataFrame) -> DataFrame:
     return stash(own.join(mixed, "key", "left_semi"), "mixed")
 
 
-def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75, **params) -> DataFrame:
-    """(doc_id, n_shingles, component_id) for every row of docs."""
+def _linked(docs: DataFrame, id_col: str, text_col: str, percent: int, **params) -> DataFrame:
+    """(doc_id, v, n_shingles, component_id, leads) for every row of docs; leads: the row's id and text are those that its component keeps."""
     sig = stash(signatures(docs, id_col, text_col, **params), "signatures")
     folded = sig.where("v is not null").groupBy("v").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n_shingles"), F.first("lefts").alias("lefts"), F.first("rights").alias("rights"))
     texts = stash(folded, "texts")
@@ -260,11 +262,20 @@ def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percen
     if found.limit(1).count():
         comp = components(edges.unionByName(found))
 
-    labelled = texts.select("v", "rep").join(comp, "v", "left").select("v", "rep", F.coalesce("comp", "v").alias("comp"))
-    smallest = labelled.groupBy("comp").agg(F.min("rep").alias("component_id"))
-    by_text = labelled.join(smallest, "comp").select("v", "component_id")
+    labelled = stash(texts.select("v", "rep").join(comp, "v", "left").select("v", "rep", F.coalesce("comp", "v").alias("comp")), "labelled")
+    first = F.min(F.struct(F.col("rep").isNull().alias("none"), "rep", "v"))
+    # components of one text need no join
+    several = labelled.groupBy("comp").agg(first.alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("comp").alias("centre"), "first")
+    by_text = join_spread(labelled, stash(several, "several"), "comp", "centre", "v", "left")
+    by_text = by_text.select("v", "rep", F.coalesce("first.rep", "rep").alias("component_id"), F.coalesce(F.col("first.v") == F.col("v"), F.lit(True)).alias("leads"))
     out = sig.select("doc_id", "n_shingles", "v").join(by_text, "v", "left")
-    return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    leads = F.col("v").isNull() | (F.col("leads") & F.col("doc_id").eqNullSafe(F.col("rep")))
+    return out.select("doc_id", "v", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), leads.alias("leads"))
+
+
+def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75, **params) -> DataFrame:
+    """(doc_id, n_shingles, component_id) for every row of docs."""
+    return _linked(docs, id_col, text_col, percent, **params).select("doc_id", "n_shingles", "component_id")
 
 
 def kept_ids(linked: DataFrame) -> DataFrame:
@@ -272,11 +283,18 @@ def kept_ids(linked: DataFrame) -> DataFrame:
     return linked.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
-def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75) -> DataFrame:
-    """The rows of docs whose document is kept, with the columns of docs."""
-    gone = stash(kept_ids(link(docs, id_col, text_col, percent)).where("not kept").select(F.col("doc_id").alias("_gone")).distinct(), "gone")
-    few = gone.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
-    return docs.join(F.broadcast(gone) if few else gone, docs[id_col].cast("long") == F.col("_gone"), "left_anti")
+def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75, **params) -> DataFrame:
+    """One row of each component, with the columns of docs. Rows are told by id and text digest; only rows that agree in both are shuffled."""
+    sig = _linked(docs, id_col, text_col, percent, **params).where("v is not null")
+    rows = stash(sig.groupBy(F.col("doc_id").alias("k_id"), F.col("v").alias("k_v")).agg(F.first("leads").alias("leads"), F.count(F.lit(1)).alias("n")).where("not leads or n > 1"), "rows")
+    marked = docs.select(F.struct("*").alias("row"), named(id_col).cast("long").alias("id"), _digest(text_col).alias("v"))
+    same = F.col("id").eqNullSafe(F.col("k_id")) & (F.col("v") == F.col("k_v"))
+    found = join_small(marked, rows, same, bound=KEYS).where("leads is null or leads")
+    alone = found.where("n is null").select("row.*")
+    if not rows.where("leads").limit(1).count():
+        return alone
+    again = found.where("n is not null").groupBy("id", "v").agg(F.min_by("row", F.md5(F.to_json("row"))).alias("row")).select("row.*")
+    return alone.unionByName(again)
 
 
 def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
