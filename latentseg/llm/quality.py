@@ -2,12 +2,13 @@
 
 Per document the rules look at five integer ratios. For each (lang, source) a mergeable sketch of every ratio is
 kept: counts per log-linear bucket, exact below 512 and within 1/256 above. Sketches of parts add up, so the sketch of a language or of
-everything is a sum of rows and new data only add counts. A group's quartiles give its own outlier fences; a group with too few rows
-takes the fences of its language, and that failing those of all rows. Documents are joined with the fences of their group and filtered.
+everything is a sum of rows and new data only add counts. A quantile of a group is its sketch's, drawn towards that of its language as PRIOR further rows would
+draw it, and a language's towards that of all rows; so there is no size at which the rule changes, and a group of few rows goes by its language. The fence of a ratio
+lies REACH spreads beyond the upper of two quantiles, a spread being their distance. Documents are joined with the fences of their group and filtered.
 
 Defined cases: a null text counts as empty and fails the base rules; null lang or source form groups of their own; repeated rows are
-judged alike; an empty table gives an empty result; other columns pass through, except those named like an added column, which
-are replaced.
+judged alike; an empty table gives an empty result; other columns pass through, whatever they are called, except those named (in any case) like
+an added column, which are replaced by measure() and judge() and kept by filter_quality().
 """
 
 from __future__ import annotations
@@ -17,57 +18,56 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from ..io import join_small, read_table, stash
-from .common import SPACES, UPPER, whole, words_of
+from .common import SPACES, UPPER, beside, whole, words_of
 
 BASE = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
-#: Ratio -> (least spread used for a fence, whether the low side counts too). Ratios are per mille but word_len (per cent of a character).
-RATIOS = {"r_symbols": (20, False), "r_shout": (40, False), "r_dup_lines": (200, False), "r_repeats": (150, False), "r_word_len": (80, True)}
+#: Ratio -> (lower and upper quantile in per cent, whether the low side has a fence too). Ratios are per mille but word_len (per cent of a character). Symbols and word
+#: length go by the body of their values, as junk may be a tenth of a group; most documents repeat nothing, so for repetition, as for capitals, the tail sets the scale.
+RATIOS = {"r_symbols": (25, 75, False), "r_shout": (50, 95, False), "r_dup_lines": (50, 99, False), "r_repeats": (50, 99, False), "r_word_len": (25, 75, True)}
+QUANTILES = sorted({q for a, b, _ in RATIOS.values() for q in (a, b)})
 REACH = 3
-MIN_GROUP = 50
-#: Fences of a group's own sketch alone: ratio -> (per cent from which, per cent to which) the spread is taken; the fence is REACH spreads above the second. Symbols, capitals and word
-#: length have a body of values, and junk that may be a tenth of a group, so quartiles; most documents have no repetition at all, so there the tail sets the scale.
-OWN = {"r_symbols": (25, 75), "r_shout": (25, 75), "r_dup_lines": (95, 99), "r_repeats": (95, 99), "r_word_len": (25, 75)}
+#: Rows that a parent's quantiles weigh in those of a group.
+PRIOR = 100
 #: Stands in for a spread of zero only.
 NO_SPREAD = 5
 
 
 def measure(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """Adds BASE, base_failed and the ratios. Whole texts, built-in functions only; no shuffle."""
-    added = {*BASE, *RATIOS, "base_failed", "_w", "_t", "_h", "_l", "_n_lines", "_shout", "_d", "_m"}
-    kept = [c for c in docs.columns if c not in added or c == text_col]
-    text = F.col("_t")
-    df = docs.select(*kept, whole(text_col).alias("_t"))
+    added = {*BASE, *RATIOS, "base_failed"}
+    text = F.col("t")
+    df = docs.select(beside(docs, added), whole(text_col).alias("t"))
     lines = F.filter(F.split(text, "\n", -1), lambda x: F.length(F.translate(x, SPACES, "")) > 0)
-    df = df.select(*kept, "_t", words_of(text).alias("_w"), lines.alias("_l"))
-    w, n = F.col("_w"), F.size("_w")
+    df = df.select("row", "t", words_of(text).alias("w"), lines.alias("l"))
+    w, n = F.col("w"), F.size("w")
     windows = F.when(n >= 3, F.transform(F.sequence(F.lit(0), n - 3), lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2)))).otherwise(F.array().cast("array<bigint>"))
-    gone = lambda chars: (F.length("_t") - F.length(F.translate(text, chars, ""))).cast("long")
+    gone = lambda chars: (F.length("t") - F.length(F.translate(text, chars, ""))).cast("long")
     df = df.select(
-        *kept,
+        "row",
         n.cast("long").alias("n_words"),
         F.length(F.translate(text, SPACES, "")).cast("long").alias("word_chars"),
         gone("#*$%&|<>").alias("n_symbols"),
-        gone(UPPER + "!").alias("_shout"),
-        F.size("_l").cast("long").alias("_n_lines"),
-        (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long").alias("n_dup_lines"),
-        windows.alias("_h"),
+        gone(UPPER + "!").alias("shout"),
+        F.size("l").cast("long").alias("n_lines"),
+        (F.size("l") - F.size(F.array_distinct("l"))).cast("long").alias("n_dup_lines"),
+        windows.alias("h"),
     )
-    df = df.withColumn("_d", F.size("_h") - F.size(F.array_distinct("_h")))
-    df = df.withColumn("n_repeat_words", F.when(F.col("_d") > 0, _covered(F.col("_h"))).otherwise(F.lit(0)).cast("long"))
+    df = df.withColumn("d", F.size("h") - F.size(F.array_distinct("h")))
+    df = df.withColumn("n_repeat_words", F.when(F.col("d") > 0, _covered(F.col("h"))).otherwise(F.lit(0)).cast("long"))
     share = lambda a, b, unit: F.expr(f"({unit} * {a}) div greatest({b}, 1L)")
     found = df.select(
-        *kept,
+        "row",
         *BASE,
         ((F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))).alias("base_failed"),
         share("n_symbols", "word_chars", 1000).alias("r_symbols"),
-        share("_shout", "word_chars", 1000).alias("r_shout"),
-        share("n_dup_lines", "_n_lines", 1000).alias("r_dup_lines"),
+        share("shout", "word_chars", 1000).alias("r_shout"),
+        share("n_dup_lines", "n_lines", 1000).alias("r_dup_lines"),
         share("n_repeat_words", "n_words", 1000).alias("r_repeats"),
         share("word_chars", "n_words", 100).alias("r_word_len"),
     )
     # a generated row: filters on measures stay above it, else the optimiser would repeat their expressions inside each other
-    row = F.explode(F.array(F.struct(*[c for c in found.columns if c not in kept]))).alias("_m")
-    return found.select(*kept, row).select(*kept, "_m.*")
+    made = F.explode(F.array(F.struct(*[c for c in found.columns if c != "row"]))).alias("m")
+    return found.select("row", made).select("row.*", "m.*")
 
 
 def _covered(hashes: Column) -> Column:
@@ -100,79 +100,72 @@ def merge(sketches: DataFrame, groups: list[str]) -> DataFrame:
     return sketches.groupBy(*groups, "ratio", "bucket").agg(F.sum("n").alias("n"))
 
 
-def fences(sketches: DataFrame, groups: list[str], own: bool = False) -> DataFrame:
-    """(groups, rows, lo_<ratio>, hi_<ratio>) from the quantiles of each sketch; a window sees one sketch, at most some thousand buckets. own: the spread is the
-    sketch's, whatever its size; else that of the quartiles, and the ratio's constant at least (the rule that OP9_SQL states)."""
+def quantiles(sketches: DataFrame, groups: list[str]) -> DataFrame:
+    """(groups, ratio, rows, p<q> for each of QUANTILES) of each sketch; a window sees one sketch, at most some thousand buckets."""
     each = Window.partitionBy(*groups, "ratio")
-    cum = sketches.withColumn("upto", F.sum("n").over(each.orderBy("bucket"))).withColumn("total", F.sum("n").over(each))
-    at = lambda percent: F.min(F.when(100 * F.col("upto") >= percent * F.col("total"), F.col("bucket")))
-    quant = cum.groupBy(*groups, "ratio").agg(*[at(p).alias(f"p{p}") for p in (25, 75, 95, 99)], F.max("total").alias("rows"))
+    cum = sketches.withColumn("upto", F.sum("n").over(each.orderBy("bucket"))).withColumn("rows", F.sum("n").over(each))
+    at = lambda percent: F.min(F.when(100 * F.col("upto") >= percent * F.col("rows"), F.col("bucket")))
+    return cum.groupBy(*groups, "ratio").agg(F.max("rows").alias("rows"), *[at(q).alias(f"p{q}") for q in QUANTILES])
+
+
+def drawn(own: DataFrame, parent: DataFrame, on: list[str]) -> DataFrame:
+    """The quantiles of groups, with those of their parents as PRIOR further rows. Whole numbers, so every engine agrees."""
+    up = parent.select(F.col("ratio").alias("up_ratio"), *[F.col(c).alias(f"up_{c}") for c in on], *[F.col(f"p{q}").alias(f"up{q}") for q in QUANTILES])
+    same = F.col("ratio") == F.col("up_ratio")
+    for c in on:
+        same = same & F.col(c).eqNullSafe(F.col(f"up_{c}"))
+    both = own.join(F.broadcast(up) if not on else up, same)  # without keys it is a row a ratio
+    return both.select(*[c for c in own.columns if c not in {f"p{q}" for q in QUANTILES}], *[F.expr(f"(rows * p{q} + {PRIOR} * up{q}) div (rows + {PRIOR})").alias(f"p{q}") for q in QUANTILES])
+
+
+def thresholds(measured: DataFrame, lang_col: str = "lang", source_col: str = "source") -> DataFrame:
+    """(t_lang, t_source, hi_<ratio>, lo_<ratio>): one row per (lang, source) that has rows passing the base rules."""
+    groups = ["t_lang", "t_source"]
+    fine = stash(sketch(measured.select(F.col(lang_col).alias("t_lang"), F.col(source_col).alias("t_source"), "base_failed", *RATIOS), groups), "sketch")
+    by_lang = drawn(quantiles(merge(fine, ["t_lang"]), ["t_lang"]), quantiles(merge(fine, []), []), [])
+    q = drawn(quantiles(fine, groups), by_lang, ["t_lang"])
     wide = []
-    for ratio, (least, low) in RATIOS.items():
-        a, b = (F.col(f"p{p}") for p in (OWN[ratio] if own else (25, 75)))
-        spread = F.when(b > a, b - a).otherwise(F.lit(NO_SPREAD)) if own else F.greatest(b - a, F.lit(least))
+    for ratio, (low, high, below) in RATIOS.items():
+        a, b = F.col(f"p{low}"), F.col(f"p{high}")
+        spread = REACH * F.when(b > a, b - a).otherwise(F.lit(NO_SPREAD))
         mine = F.col("ratio") == ratio
-        wide.append(F.max(F.when(mine, b + REACH * spread)).alias(f"hi_{ratio}"))
-        if low:
-            wide.append(F.max(F.when(mine, a - REACH * spread)).alias(f"lo_{ratio}"))
-    return quant.groupBy(*groups).agg(F.max("rows").alias("rows"), *wide)
-
-
-def thresholds(measured: DataFrame, lang_col: str = "lang", source_col: str = "source", min_group: int = MIN_GROUP, own: bool = False) -> DataFrame:
-    """One row per (lang, source) that has rows passing the base rules, with the fences that apply to it. With `own`, a sketch also needs so many rows
-    that a single one is not its upper quantile."""
-    groups = [F.col(lang_col).alias("t_lang"), F.col(source_col).alias("t_source")]
-    fine = stash(sketch(measured.withColumns({"t_lang": groups[0], "t_source": groups[1]}), ["t_lang", "t_source"]), "sketch")
-    by_lang = merge(fine, ["t_lang"])
-    whole_set = merge(fine, [])
-    a = fences(fine, ["t_lang", "t_source"], own)
-    bounds = [c for c in a.columns if c[:3] in ("lo_", "hi_")]
-    b = fences(by_lang, ["t_lang"], own).select(F.col("t_lang").alias("b_lang"), F.col("rows").alias("b_rows"), *[F.col(c).alias(f"b_{c}") for c in bounds])
-    c = fences(whole_set, [], own).select(*[F.col(x).alias(f"c_{x}") for x in bounds])
-    joined = a.join(b, a["t_lang"].eqNullSafe(b["b_lang"]), "left").join(F.broadcast(c))  # c is one row
-    need = {x: max(min_group, 100 // (100 - OWN[x[3:]][1]) + 1) if own else min_group for x in bounds}
-    pick = lambda x: F.when(F.col("rows") >= need[x], F.col(x)).when(F.col("b_rows") >= need[x], F.col(f"b_{x}")).otherwise(F.col(f"c_{x}")).alias(x)
-    return joined.select("t_lang", "t_source", *[pick(x) for x in bounds])
+        wide.append(F.max(F.when(mine, b + spread)).alias(f"hi_{ratio}"))
+        if below:
+            wide.append(F.max(F.when(mine, a - spread)).alias(f"lo_{ratio}"))
+    return q.groupBy(*groups).agg(*wide)
 
 
 def judge(measured: DataFrame, bounds: DataFrame, lang_col: str = "lang", source_col: str = "source") -> DataFrame:
     """Adds kept: the base rules hold and no ratio lies beyond its group's fences."""
-    on = measured[lang_col].eqNullSafe(bounds["t_lang"]) & measured[source_col].eqNullSafe(bounds["t_source"])
+    packed = measured.select(beside(measured, {"kept"}), F.col(lang_col).alias("j_lang"), F.col(source_col).alias("j_source"), "base_failed", *RATIOS)
+    on = F.col("j_lang").eqNullSafe(F.col("t_lang")) & F.col("j_source").eqNullSafe(F.col("t_source"))
     fine = F.lit(True)
-    for ratio, (_, low) in RATIOS.items():
+    for ratio, (_, _, below) in RATIOS.items():
         fine = fine & (F.col(ratio) <= F.col(f"hi_{ratio}"))
-        if low:
+        if below:
             fine = fine & (F.col(ratio) >= F.col(f"lo_{ratio}"))
-    return join_small(measured, bounds, on).withColumn("kept", ~F.col("base_failed") & F.coalesce(fine, F.lit(True)))
+    return join_small(packed, bounds, on).select("row.*", (~F.col("base_failed") & F.coalesce(fine, F.lit(True))).alias("kept"))
 
 
 def filter_quality(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
-    """The rows of docs that are kept by the fences of their group's own sketch, with the columns of docs. Texts are measured twice rather than shuffled or stored."""
-    clash = [c for c in docs.columns if c in {*BASE, *RATIOS, "base_failed", "kept"} or c[:1] == "_" or c[:2] in ("t_", "lo", "hi")]
-    if clash:
-        away = {c: f"x_{i}_" for i, c in enumerate(clash)}
-        out = filter_quality(docs.withColumnsRenamed(away), away.get(text_col, text_col), away.get(lang_col, lang_col), away.get(source_col, source_col))
-        return out.withColumnsRenamed({v: k for k, v in away.items()}).select(*docs.columns)
-    bounds = stash(thresholds(measure(docs, text_col).drop(text_col), lang_col, source_col, own=True), "fences")
-    return judge(measure(docs, text_col), bounds, lang_col, source_col).where("kept").select(*docs.columns)
+    """The rows of docs that are kept, with the columns of docs. Texts are measured once: rows that pass the base rules are written with their measures."""
+    one = docs.select(F.struct("*").alias("doc"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"), F.col(source_col).alias("source"))
+    passed = stash(measure(one).where("not base_failed").drop("text"), "measured")
+    return judge(passed, stash(thresholds(passed), "fences")).where("kept").select("doc.*")
 
 
-def op9(spark: SparkSession, sf_dir: str, own: bool = False) -> DataFrame:
+def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents", ["doc_id", "text", "lang", "source"])
     measured = stash(measure(docs).drop("text"), "measured")
-    out = judge(measured, stash(thresholds(measured, own=own), "fences"))
-    return out.select("doc_id", *BASE, "base_failed", "kept")
+    return judge(measured, stash(thresholds(measured), "fences")).select("doc_id", *BASE, "base_failed", "kept")
 
 
-def op9_own(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """op9 under the fences that the pipeline uses."""
-    return op9(spark, sf_dir, own=True)
-
-
-_METRIC = "case ratio " + " ".join(f"when '{r}' then {v[0]}" for r, v in RATIOS.items()) + " end"
-_FENCE = f"""select {{keys}} ratio, max(total) as rows, min(case when 100 * upto >= 75 * total then bucket end) as q3, min(case when 100 * upto >= 25 * total then bucket end) as q1
-    from (select *, sum(n) over (partition by {{keys}} ratio order by bucket) as upto, sum(n) over (partition by {{keys}} ratio) as total
-          from (select {{keys}} ratio, bucket, count(*) as n from b group by all)) group by all"""
+_CUM = """select {keys} ratio, max(total) as rows, {quantiles}
+    from (select *, sum(n) over (partition by {keys} ratio order by bucket) as upto, sum(n) over (partition by {keys} ratio) as total
+          from (select {keys} ratio, bucket, count(*) as n from b group by all)) group by all"""
+_CUM = _CUM.replace("{quantiles}", ", ".join(f"min(case when 100 * upto >= {q} * total then bucket end) as p{q}" for q in QUANTILES))
+_PULL = ", ".join(f"((x.rows * x.p{q} + {PRIOR} * y.p{q}) // (x.rows + {PRIOR}))::bigint as p{q}" for q in QUANTILES)
+_AT = lambda k: "case ratio " + " ".join(f"when '{r}' then p{v[k]}" for r, v in RATIOS.items()) + " end"
 OP9_SQL = f"""
 with t as (select doc_id, lang, source, coalesce(text, '') as text from documents),
 w as (select *, list_filter(regexp_split_to_array(text, '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') as w,
@@ -190,12 +183,13 @@ q as (select *, (n_words < 50 or 100 * n_repeat_words > 50 * n_words) as base_fa
 u as (unpivot (select doc_id, lang, source, r_symbols, r_shout, r_dup_lines, r_repeats, r_word_len from q where not base_failed)
       on r_symbols, r_shout, r_dup_lines, r_repeats, r_word_len into name ratio value x),
 b as (select *, (x // (1 << greatest(0, length(bin(x)) - 9))) * (1 << greatest(0, length(bin(x)) - 9)) as bucket from u),
-f1 as ({_FENCE.format(keys="lang, source,")}), f2 as ({_FENCE.format(keys="lang,")}), f3 as ({_FENCE.format(keys="")}),
-f as (select f1.lang, f1.source, ratio, case when f1.rows >= {MIN_GROUP} then f1.q1 when f2.rows >= {MIN_GROUP} then f2.q1 else f3.q1 end as q1,
-        case when f1.rows >= {MIN_GROUP} then f1.q3 when f2.rows >= {MIN_GROUP} then f2.q3 else f3.q3 end as q3
-      from f1 join f2 using (lang, ratio) join f3 using (ratio)),
-bad as (select distinct u.doc_id from u join f using (lang, source, ratio)
-        where x > q3 + {REACH} * greatest(q3 - q1, {_METRIC}) or (ratio = 'r_word_len' and x < q1 - {REACH} * greatest(q3 - q1, {_METRIC})))
+g1 as ({_CUM.format(keys="lang, source,")}), g2 as ({_CUM.format(keys="lang,")}), g3 as ({_CUM.format(keys="")}),
+f2 as (select x.lang, x.ratio, {_PULL} from g2 x join g3 y using (ratio)),
+f1 as (select x.lang, x.source, x.ratio, {_PULL} from g1 x join f2 y on x.ratio = y.ratio and x.lang is not distinct from y.lang),
+f as (select lang, source, ratio, {_AT(0)} as a, {_AT(1)} as z from f1),
+s as (select *, {REACH} * (case when z > a then z - a else {NO_SPREAD} end) as spread from f),
+bad as (select distinct u.doc_id from u join s on u.ratio = s.ratio and u.lang is not distinct from s.lang and u.source is not distinct from s.source
+        where x > z + spread or (u.ratio = 'r_word_len' and x < a - spread))
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
        (not base_failed and doc_id not in (select doc_id from bad)) as kept from q
 """

@@ -20,7 +20,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_url_graph": url_graph.op7,
         "op8_bpe": bpe.op8,
         "op9_quality": quality.op9,
-        "op9_quality_own_fences": quality.op9_own,
         "op10_near_duplicates": neardup.op10,
     }
 
