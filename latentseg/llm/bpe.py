@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..io import read_table, spread
-from .common import whole
+from .common import named, whole
 
 MEMORY = 500_000
 #: White space by Unicode, the word pattern of byte-level tokenizers, the printable stand-ins of bytes.
@@ -280,7 +280,8 @@ def encode(docs: DataFrame, path: str, text_col: str = "text", ids: bool = True,
     """Adds n_tokens and, as asked, token_ids (array<int>) or ids_sha256 and decoded_sha256; the text is dropped. No shuffle."""
     digest, sent = _sent(docs.sparkSession, path)
     added = ["n_tokens", *["token_ids"] * ids, *["ids_sha256", "decoded_sha256"] * digests]
-    df = spread(docs.select(whole(text_col).alias("_text"), *[c for c in docs.columns if c not in added and c != text_col]))
+    names = [c for c in docs.columns if c.lower() not in {*added, text_col.lower()}]
+    df = spread(docs.select(whole(text_col).alias("t"), F.struct(*([named(c) for c in names] or [F.lit(0).alias("none")])).alias("row")))
     kinds = {"n_tokens": T.LongType(), "token_ids": T.ArrayType(T.IntegerType()), "ids_sha256": T.StringType(), "decoded_sha256": T.StringType()}
     arrow = {"n_tokens": pa.int64(), "token_ids": pa.list_(pa.int32()), "ids_sha256": pa.string(), "decoded_sha256": pa.string()}
 
@@ -290,32 +291,33 @@ def encode(docs: DataFrame, path: str, text_col: str = "text", ids: bool = True,
             for at in range(0, whole_batch.num_rows, 256):
                 b = whole_batch.slice(at, 256)
                 out: dict[str, list] = {a: [] for a in added}
-                for said, n, raw in c.encode_batch(b.column("_text").to_pylist()):
+                for said, n, raw in c.encode_batch(b.column(0).to_pylist()):
                     out["n_tokens"].append(n)
                     if ids:
                         out["token_ids"].append(np.fromstring(said, dtype=np.int32, sep=",") if said else np.empty(0, np.int32))
                     if digests:
                         out["ids_sha256"].append(hashlib.sha256(said.encode()).hexdigest())
                         out["decoded_sha256"].append(hashlib.sha256(raw.decode("utf-8", "replace").encode()).hexdigest())
-                yield pa.RecordBatch.from_arrays([*b.columns[1:], *[pa.array(out[a], arrow[a]) for a in added]], names=[*b.schema.names[1:], *added])
+                yield pa.RecordBatch.from_arrays([b.column(1), *[pa.array(out[a], arrow[a]) for a in added]], names=["row", *added])
 
-    schema = T.StructType([*df.drop("_text").schema.fields, *[T.StructField(a, kinds[a]) for a in added]])
-    return df.mapInArrow(run, schema)
+    schema = T.StructType([df.schema["row"], *[T.StructField(a, kinds[a]) for a in added]])
+    return df.mapInArrow(run, schema).select(*[F.col("row")[c].alias(c) for c in names], *added)
 
 
 def decode(encoded: DataFrame, path: str, ids_col: str = "token_ids", out_col: str = "text") -> DataFrame:
     """Replaces token ids by the text they stand for; a null array gives null."""
     digest, sent = _sent(encoded.sparkSession, path)
-    rest = [c for c in encoded.columns if c not in (ids_col, out_col)]
-    df = encoded.select(F.col(ids_col).alias("_ids"), *rest)
+    rest = [c for c in encoded.columns if c.lower() not in (ids_col.lower(), out_col.lower())]
+    df = encoded.select(named(ids_col).alias("i"), F.struct(*([named(c) for c in rest] or [F.lit(0).alias("none")])).alias("row"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = codec(digest, sent.value)
         for b in batches:
-            texts = pa.array([None if i is None else c.decode(i) for i in b.column("_ids").to_pylist()], pa.string())
-            yield pa.RecordBatch.from_arrays([*b.columns[1:], texts], names=[*rest, out_col])
+            texts = pa.array([None if i is None else c.decode(i) for i in b.column(0).to_pylist()], pa.string())
+            yield pa.RecordBatch.from_arrays([b.column(1), texts], names=["row", "out"])
 
-    return df.mapInArrow(run, T.StructType([*df.drop("_ids").schema.fields, T.StructField(out_col, T.StringType())]))
+    out = df.mapInArrow(run, T.StructType([df.schema["row"], T.StructField("out", T.StringType())]))
+    return out.select(*[F.col("row")[c].alias(c) for c in rest], F.col("out").alias(out_col))
 
 
 def op8(spark: SparkSession, sf_dir: str) -> DataFrame:

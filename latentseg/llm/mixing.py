@@ -6,7 +6,8 @@ draw of a row depends on nothing but itself and its source's rate. Copies are ex
 
 Defined cases: a null or empty text has size 1; a null source is a source of its own; a source without a stated weight gets 0 when
 weights are given; repeated rows (equal id) draw alike and all their copies are kept; an empty table gives an empty result;
-other columns pass through, except those named copy, n_copies, bucket, slot and position, which are replaced.
+other columns pass through, whatever they are called, except those named (in any case) like a column that is added: n_copies by draw(), copy by
+replicate(), copy and position by mix().
 """
 
 from __future__ import annotations
@@ -16,12 +17,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from ..io import join_small, read_table, stash
-from .common import buckets_for, hex_digest, hex_to_long, identity_of, whole
+from .common import beside, buckets_for, hex_to_long, identity_of, named, whole
 
 SEED = "mix-1"
 #: Production weights: a source of size n gets n ** TEMPERATURE, normalised, so large sources are damped and small ones repeated.
 TEMPERATURE = 0.7
-#: Fixed value: 13 hex digits make a number below 2 ** 52, which a double holds exactly.
+#: Fixed value: 12 hex digits make a number below 2 ** 48, which a double holds exactly.
 DIGITS, SPAN = 12, 2.0**48
 
 
@@ -55,29 +56,30 @@ def poisson_steps(rate: Column) -> Column:
     return F.transform(steps, lambda x: F.floor(x * F.lit(SPAN)).cast("long"))
 
 
-def draw(docs: DataFrame, rate_table: DataFrame, seed: str = SEED, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text") -> DataFrame:
-    """Adds n_copies: how many thresholds of its source's distribution a row's hashed number reaches. Rates over some hundreds
+def _drawn(rows: DataFrame, rate_table: DataFrame, seed: str) -> DataFrame:
+    """Adds n_copies to rows with m_ident and m_from: how many thresholds of its source's distribution a row's hashed number reaches. Rates over some hundreds
     would underflow; they are split into equal parts, whose draws add up to the same distribution."""
-    steps = stash(rate_table.withColumn("parts", F.greatest(F.lit(1), F.ceil(F.col("rate") / 256)).cast("int")).withColumn("steps", poisson_steps(F.col("rate") / F.col("parts"))).select("m_source", "rate", "parts", "steps"), "steps")
-    base = docs.select(*[c for c in docs.columns if c != "n_copies"])
-    joined = join_small(base, steps, base[source_col].eqNullSafe(steps["m_source"]))
-    ident = identity_of(id_col, text_col)
+    steps = stash(rate_table.withColumn("m_parts", F.greatest(F.lit(1), F.ceil(F.col("rate") / 256)).cast("int")).withColumn("m_steps", poisson_steps(F.col("rate") / F.col("m_parts"))).select("m_source", "m_parts", "m_steps"), "steps")
+    joined = join_small(rows, steps, F.col("m_from").eqNullSafe(F.col("m_source")))
 
     def one(k: Column) -> Column:
-        u = hex_to_long(F.md5(F.concat(F.lit(f"{seed}:"), k.cast("string"), F.lit(":"), ident)), 1, DIGITS)
-        return F.size(F.filter(F.col("steps"), lambda x: x <= u)).cast("long")
+        u = hex_to_long(F.md5(F.concat(F.lit(f"{seed}:"), k.cast("string"), F.lit(":"), F.col("m_ident"))), 1, DIGITS)
+        return F.size(F.filter(F.col("m_steps"), lambda x: x <= u)).cast("long")
 
-    n = F.aggregate(F.sequence(F.lit(1), F.col("parts")), F.lit(0).cast("long"), lambda acc, k: acc + one(k))
-    return joined.withColumn("n_copies", n).drop("m_source", "rate", "parts", "steps")
+    n = F.aggregate(F.sequence(F.lit(1), F.col("m_parts")), F.lit(0).cast("long"), lambda acc, k: acc + one(k))
+    return joined.withColumn("n_copies", n).drop("m_source", "m_parts", "m_steps")
 
 
-def replicate(drawn: DataFrame) -> DataFrame:
-    """One row per copy, numbered from 1."""
-    return drawn.where("n_copies > 0").select(*[c for c in drawn.columns if c not in ("copy", "n_copies")], F.explode(F.sequence(F.lit(1).cast("long"), F.col("n_copies"))).alias("copy"))
+def draw(docs: DataFrame, rate_table: DataFrame, seed: str = SEED, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text") -> DataFrame:
+    """Adds n_copies."""
+    rows = docs.select(beside(docs, {"n_copies"}), identity_of(id_col, text_col).alias("m_ident"), named(source_col).alias("m_from"))
+    return _drawn(rows, rate_table, seed).select("row.*", "n_copies")
 
 
-def shuffle_key(seed: str, id_col: str, text_col: str) -> Column:
-    return F.md5(F.concat(F.lit(f"{seed}:order:"), F.col("copy").cast("string"), F.lit(":"), identity_of(id_col, text_col)))
+def replicate(drawn: DataFrame) -> DataFrame:
+    """One row per copy, numbered from 1; n_copies goes."""
+    rows = drawn.where("n_copies > 0").select(beside(drawn, {"copy", "n_copies"}), F.explode(F.sequence(F.lit(1).cast("long"), F.col("n_copies"))).alias("copy"))
+    return rows.select("row.*", "copy")
 
 
 def mix(docs: DataFrame, weights: dict[str, float] | None = None, seed: str = SEED, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", unit: str = "bytes", epochs: float = 1.0, texts: bool = True) -> DataFrame:
@@ -88,14 +90,18 @@ def mix(docs: DataFrame, weights: dict[str, float] | None = None, seed: str = SE
     rows = table.agg(F.ceil(F.sum(F.col("m_rows") * F.col("rate")))).first()[0] or 0
     n = buckets_for(rows, 1024, 20_000)
     digits = (n.bit_length() + 2) // 4
-    copies = replicate(draw(docs, table, seed, id_col, source_col, text_col)).withColumn("_key", shuffle_key(seed, id_col, text_col))
-    copies = copies.select(*[c for c in copies.columns if (texts or c != text_col) and c not in ("bucket", "slot", "position")], hex_to_long(F.col("_key"), 1, digits).alias("bucket"))
-    light = draw(docs.select(id_col, source_col, text_col), table, seed, id_col, source_col, text_col)
-    counts = replicate(light).select(hex_to_long(shuffle_key(seed, id_col, text_col), 1, digits).alias("bucket")).groupBy("bucket").agg(F.count(F.lit(1)).alias("n"))
-    starts = stash(_running(counts, n), "starts")
-    placed = copies.withColumn("slot", F.row_number().over(Window.partitionBy("bucket").orderBy("_key", id_col, "copy")) - 1)
-    out = join_small(placed, starts, "bucket").withColumn("position", F.col("start") + F.col("slot"))
-    return out.drop("bucket", "_key", "slot", "start")
+    key = F.md5(F.concat(F.lit(f"{seed}:order:"), F.col("copy").cast("string"), F.lit(":"), F.col("m_ident")))
+
+    def copies(*kept: Column) -> DataFrame:
+        light = docs.select(*kept, identity_of(id_col, text_col).alias("m_ident"), named(source_col).alias("m_from"))
+        each = replicate(_drawn(light, table, seed)).withColumn("m_key", key)
+        return each.withColumn("m_bucket", hex_to_long(F.col("m_key"), 1, digits))
+
+    starts = stash(_running(copies().groupBy(F.col("m_bucket").alias("bucket")).agg(F.count(F.lit(1)).alias("n")), n), "starts").select(F.col("bucket").alias("m_at"), F.col("start").alias("m_start"))
+    out = copies(beside(docs, {"copy", "position"} | (set() if texts else {text_col})), named(id_col).alias("m_id"))
+    slot = F.row_number().over(Window.partitionBy("m_bucket").orderBy("m_key", "m_id", "copy")) - 1
+    placed = join_small(out.withColumn("m_slot", slot), starts, F.col("m_bucket") == F.col("m_at"))
+    return placed.select("row.*", "copy", (F.col("m_start") + F.col("m_slot")).alias("position"))
 
 
 def _running(counts: DataFrame, n: int) -> DataFrame:

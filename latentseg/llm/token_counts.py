@@ -6,7 +6,7 @@ whole, cuts or drops. Totals, quantiles and truncated totals for any limit come
 lengths and then over blocks.
 
 Defined cases: a null or empty text has 0 tokens; null group values form a group of their own; repeated rows count each; an empty table gives an empty
-histogram; other columns are not read. Text that spells a special token counts as ordinary text.
+histogram; other columns are not read; a group may have any name but n_tokens and those of the columns that are added. Text that spells a special token counts as ordinary text.
 """
 
 from __future__ import annotations
@@ -19,9 +19,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
+from pyspark.sql import types as T
 
 from ..io import read_table, spread, stash
-from .common import whole
+from .common import named, whole
 
 BLOCK = 256
 _encoders: dict[str, object] = {}
@@ -47,11 +48,16 @@ def token_lengths(docs: DataFrame, vocab_path: str, pattern: str, groups: list[s
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = _encoder(digest, sent.value, pattern).encode_ordinary
         for b in batches:
-            n = pa.array([len(encode(t)) for t in b.column("_text").to_pylist()], pa.int64())
-            yield pa.RecordBatch.from_arrays([*b.columns[1:], n], names=[*b.schema.names[1:], "n_tokens"])
+            n = pa.array([len(encode(t)) for t in b.column(0).to_pylist()], pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column(1), n], names=["row", "n_tokens"])
 
-    df = spread(docs.select(whole(text_col).alias("_text"), *groups))
-    return df.mapInArrow(run, df.drop("_text").withColumn("n_tokens", F.lit(0).cast("long")).schema)
+    if not groups:
+        groups_of = F.struct(F.lit(0).alias("none")).alias("row")
+    else:
+        groups_of = F.struct(*[named(g) for g in groups]).alias("row")
+    df = spread(docs.select(whole(text_col).alias("t"), groups_of))
+    out = df.mapInArrow(run, T.StructType([df.schema["row"], T.StructField("n_tokens", T.LongType())]))
+    return out.select(*[F.col("row")[g].alias(g) for g in groups], "n_tokens")
 
 
 def histogram(lengths: DataFrame, groups: list[str]) -> DataFrame:
@@ -62,22 +68,22 @@ def histogram(lengths: DataFrame, groups: list[str]) -> DataFrame:
 def suffix_sums(hist: DataFrame, groups: list[str]) -> DataFrame:
     """Adds, for a limit of n_tokens: tokens (of exactly that length), longer_docs, longer_tokens, total_docs, total_tokens,
     truncated_tokens (all documents, each cut at the limit) and share_whole_ppm (documents that fit, per million)."""
-    h = hist.withColumn("tokens", F.col("n_tokens") * F.col("docs")).withColumn("_block", F.floor(F.col("n_tokens") / BLOCK))
+    h = hist.withColumn("tokens", F.col("n_tokens") * F.col("docs")).withColumn("block_", F.floor(F.col("n_tokens") / BLOCK))
     after = lambda c, keys, by: F.coalesce(F.sum(c).over(Window.partitionBy(*keys).orderBy(F.desc(by)).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    blocks = h.groupBy(*groups, "_block").agg(F.sum("docs").alias("_d"), F.sum("tokens").alias("_t"))
+    blocks = h.groupBy(*groups, "block_").agg(F.sum("docs").alias("d_"), F.sum("tokens").alias("t_"))
     whole_group = Window.partitionBy(*groups)
-    blocks = blocks.select(*groups, "_block", after("_d", groups, "_block").alias("_ld"), after("_t", groups, "_block").alias("_lt"), F.sum("_d").over(whole_group).alias("total_docs"), F.sum("_t").over(whole_group).alias("total_tokens"))
-    a = h.withColumn("_id", after("docs", [*groups, "_block"], "n_tokens")).withColumn("_it", after("tokens", [*groups, "_block"], "n_tokens")).alias("a")
+    blocks = blocks.select(*groups, "block_", after("d_", groups, "block_").alias("ld_"), after("t_", groups, "block_").alias("lt_"), F.sum("d_").over(whole_group).alias("total_docs"), F.sum("t_").over(whole_group).alias("total_tokens"))
+    a = h.withColumn("id_", after("docs", [*groups, "block_"], "n_tokens")).withColumn("it_", after("tokens", [*groups, "block_"], "n_tokens")).alias("a")
     b = blocks.alias("b")
-    on = F.col("a._block") == F.col("b._block")
+    on = F.col("a.block_") == F.col("b.block_")
     for g in groups:
         on = on & F.col(f"a.{g}").eqNullSafe(F.col(f"b.{g}"))
     j = a.join(b, on)
-    longer_d, longer_t = F.col("b._ld") + F.col("a._id"), F.col("b._lt") + F.col("a._it")
+    longer_d, longer_t = F.col("b.ld_") + F.col("a.id_"), F.col("b.lt_") + F.col("a.it_")
     return j.select(
         *[F.col(f"a.{g}").alias(g) for g in groups], "n_tokens", "docs", "tokens", longer_d.alias("longer_docs"), longer_t.alias("longer_tokens"), "total_docs", "total_tokens",
         (F.col("total_tokens") - longer_t + F.col("n_tokens") * longer_d).alias("truncated_tokens"),
-        F.expr("((total_docs - (b._ld + a._id)) * 1000000) div total_docs").alias("share_whole_ppm"),
+        F.expr("((total_docs - (b.ld_ + a.id_)) * 1000000) div total_docs").alias("share_whole_ppm"),
     )
 
 
