@@ -227,43 +227,53 @@ def _decode_pairs(scan: bytes, blocks: int) -> np.ndarray:
     return np.where(v >= 128, v, v - 255)
 
 
+def _lookup(codes: dict[tuple[int, int], int]) -> np.ndarray:
+    """For every 16 bits the code they begin with, as 256 * its length + its value; -1 if there is none."""
+    out = np.full(1 << 16, -1, np.int32)
+    for (n, code), v in codes.items():
+        out[code << (16 - n) : (code + 1) << (16 - n)] = n << 8 | v
+    return out
+
+
+def _pieces(scan: bytes) -> Iterator[bytes]:
+    """The stretches between restart markers, without stuffed zeros."""
+    start = at = 0
+    while (at := scan.find(b"\xff", at)) >= 0:
+        if at + 1 < len(scan) and 0xD0 <= scan[at + 1] <= 0xD7:
+            yield scan[start:at].replace(b"\xff\0", b"\xff")
+            start = at + 2
+        at += 2
+    yield scan[start:].replace(b"\xff\0", b"\xff")
+
+
 def _decode_bits(scan: bytes, shape: tuple[int, int], comps: list, use: dict, tables: dict, restart: int) -> np.ndarray:
     h, v = max(c[1] for c in comps), max(c[2] for c in comps)
     if len(comps) == 1:
         comps, h, v = [(comps[0][0], 1, 1)], 1, 1
     units = -(-shape[0] // (8 * v)) * -(-shape[1] // (8 * h))
-    pieces, piece, k = [], bytearray(), 0
-    while k < len(scan):
-        if scan[k] == 0xFF and k + 1 < len(scan):
-            if 0xD0 <= scan[k + 1] <= 0xD7:
-                pieces.append(bytes(piece))
-                piece = bytearray()
-            elif scan[k + 1] == 0:
-                piece.append(0xFF)
-            k += 2
-        else:
-            piece.append(scan[k])
-            k += 1
-    pieces.append(bytes(piece))
+    find = {k: _lookup(codes) for k, codes in tables.items()}
     out, unit = [], 0
-    for data in pieces:
-        bits, total, pos = int.from_bytes(data, "big"), 8 * len(data), 0
+    for data in _pieces(scan):
+        total, pos = 8 * len(data), 0
+        data += b"\0\0\0\0"
 
-        def take(n: int) -> int:
-            nonlocal pos
-            pos += n
-            return (bits >> (total - pos)) & ((1 << n) - 1) if pos <= total else ((bits << (pos - total)) & ((1 << n) - 1))
+        def peek(n: int) -> int:
+            """The next n (at most 16) bits, zeros behind the end; three bytes hold them, so the cost does not depend on the scan's length."""
+            at = pos >> 3
+            return (int.from_bytes(data[at : at + 3], "big") >> (24 - (pos & 7) - n)) & ((1 << n) - 1) if at < len(data) else 0
 
-        def symbol(codes: dict) -> int:
-            code = 0
-            for n in range(1, 17):
-                code = code << 1 | take(1)
-                if (n, code) in codes:
-                    return codes[n, code]
-            raise ValueError("a code that is in no table")
+        def symbol(table: np.ndarray) -> int:
+            nonlocal pos
+            found = int(table[peek(16)])
+            if found < 0 or pos > total:
+                raise ValueError("a code that is in no table")
+            pos += found >> 8
+            return found & 255
 
         def value(n: int) -> int:
-            x = take(n) if n else 0
+            nonlocal pos
+            x = peek(n) if n else 0
+            pos += n
             return x if not n or x >> (n - 1) else x - (1 << n) + 1
 
         before = dict.fromkeys(use, 0)
@@ -272,7 +282,7 @@ def _decode_bits(scan: bytes, shape: tuple[int, int], comps: list, use: dict, ta
                 break
             unit += 1
             for cid, ch, cv in comps:
-                dc, ac = tables[use[cid] >> 4], tables[16 + (use[cid] & 15)]
+                dc, ac = find[use[cid] >> 4], find[16 + (use[cid] & 15)]
                 for _ in range(ch * cv):
                     block = np.zeros(64, np.int16)
                     before[cid] += value(symbol(dc))
@@ -345,6 +355,14 @@ def shots(frames: list[np.ndarray], bins: int = 32, window: int = 8, reach: floa
     return list(zip(cuts, [*cuts[1:], len(frames)], strict=True))
 
 
+def clip_rows(grey: list[np.ndarray], fps: float, **params) -> list[dict]:
+    """The shots of frames as timed clips."""
+    return [{"clip": k, "start_s": lo / fps, "end_s": hi / fps, "n_frames": hi - lo} for k, (lo, hi) in enumerate(shots(grey, **params))]
+
+
+CLIP = pa.struct([("clip", pa.int32()), ("start_s", pa.float64()), ("end_s", pa.float64()), ("n_frames", pa.int32())])
+
+
 def clips(media: DataFrame, id_col: str, avi_col: str, **params) -> DataFrame:
     """(id, clip, start_s, end_s, n_frames): a row per shot of each AVI; a null AVI gives none."""
     df = media.select(F.col(id_col).alias("id"), F.col(avi_col).alias("avi"))
@@ -352,14 +370,12 @@ def clips(media: DataFrame, id_col: str, avi_col: str, **params) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows: list[tuple] = []
             for i, data in zip(b.column("id").to_pylist(), b.column("avi"), strict=True):
                 if data.is_valid:
                     avi = parse_avi(data.as_py())
-                    found = shots([pixels(f) for f in avi["frames"]], **params)
-                    rows += [(i, k, lo / avi["fps"], hi / avi["fps"], hi - lo) for k, (lo, hi) in enumerate(found)]
-            cols = list(zip(*rows, strict=True)) or [[]] * 5
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], b.schema.field("id").type), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.float64()), pa.array(cols[3], pa.float64()), pa.array(cols[4], pa.int32())], names=["id", "clip", "start_s", "end_s", "n_frames"])
+                    found = pa.array(clip_rows([pixels(f) for f in avi["frames"]], avi["fps"], **params), CLIP)
+                    ids = pa.array([i] * len(found), b.schema.field("id").type)
+                    yield pa.RecordBatch.from_arrays([ids, *found.flatten()], names=["id", "clip", "start_s", "end_s", "n_frames"])
 
     return df.mapInArrow(run, f"id {kind}, clip int, start_s double, end_s double, n_frames int")
 
@@ -381,24 +397,25 @@ def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
 
 def inspect(stored: DataFrame) -> DataFrame:
-    """Reads the stored bytes back: payload digests, the stored form's digests, and as feature the number of frames and the clips in milliseconds."""
-    names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
+    """Reads the stored bytes back: payload digests, the stored form's digests, as feature the number of frames and the clips in milliseconds, and the timed clips."""
+    names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "clips"]
     kind = dict(stored.dtypes)["doc_id"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            cols: list[list] = [[] for _ in range(6)]
+            cols: list[list] = [[] for _ in range(7)]
             for data in b.column("avi").to_pylist():
                 payload, frames = payload_of(data)
-                grey = [pixels(j, q) for j, q in zip(parse_avi(data)["frames"], frames, strict=True)]
-                said = ";".join(f"{lo * 1000 // FPS}-{hi * 1000 // FPS}" for lo, hi in shots(grey))
-                values = len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), f"frames={len(frames)};clips={said}"
+                avi = parse_avi(data)
+                found = clip_rows([pixels(j, q) for j, q in zip(avi["frames"], frames, strict=True)], avi["fps"])
+                said = ";".join(f"{round(c['start_s'] * 1000)}-{round(c['end_s'] * 1000)}" for c in found)
+                values = len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), f"frames={len(frames)};clips={said}", found
                 for c, x in zip(cols, values, strict=True):
                     c.append(x)
-            kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
+            kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.list_(CLIP)]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("n_bytes"), *[pa.array(c, k) for c, k in zip(cols, kinds, strict=True)]], names=names)
 
-    return stored.mapInArrow(run, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return stored.mapInArrow(run, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, clips array<struct<clip:int,start_s:double,end_s:double,n_frames:int>>")
 
 
 def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
