@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..io import fresh_path, read_table, spread, stash
+from ..io import fresh_path, join_small, read_table, spread, stash
 from .common import whole
 
 PIECE = 1 << 20
@@ -128,12 +128,12 @@ def _publish(fs: pafs.FileSystem, path: str, write) -> None:
 
 
 def grouped(pages: DataFrame, least: int = 0, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """(page_id, url, payload, digest, refers_to, revisit)."""
+    """(page_id, url, payload, digest, refers_to, revisit). Only digests that occur twice are joined back; where they are few, payloads stay where they are."""
     payload = F.encode(whole(html_col), "UTF-8")
     base = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).alias("url"), payload.alias("payload"), F.sha1(payload).alias("digest"))
-    first = base.groupBy("digest").agg(F.min("page_id").alias("first"))
-    revisit = (F.octet_length("payload") >= least) & F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
-    return base.join(first, "digest").select("page_id", "url", "payload", F.when(revisit, F.col("first")).alias("refers_to"), revisit.alias("revisit"))
+    first = base.groupBy(F.col("digest").alias("again")).agg(F.min("page_id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("again", "first")
+    revisit = F.coalesce((F.octet_length("payload") >= least) & F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first")), F.lit(False))
+    return join_small(base, stash(first, "repeated"), F.col("digest") == F.col("again")).select("page_id", "url", "payload", F.when(revisit, F.col("first")).alias("refers_to"), revisit.alias("revisit"))
 
 
 def write_monolithic(rows: DataFrame, folder: str) -> DataFrame:
