@@ -21,8 +21,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as its Poisson draw says, in a global random order."""
-    return mixing.mix(docs).select(*docs.columns)
+    """Each document as often as its Poisson draw says, in a global random order: the columns of documents, then copy and position."""
+    return mixing.mix(docs)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
