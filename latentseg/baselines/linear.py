@@ -14,8 +14,13 @@ from pyspark.sql import functions as F
 
 def char_grams(text: Column, low: int = 1, high: int = 3) -> Column:
     t = F.concat(F.lit(" "), F.lower(text), F.lit(" "))
-    parts = [F.transform(F.sequence(F.lit(1), F.greatest(F.length(t) - n + 1, F.lit(1))), lambda i, n=n: F.substring(t, i, F.lit(n))) for n in range(low, high + 1)]
-    return F.flatten(F.array(*parts))
+
+
+    def of(n: int) -> Column:
+        # a lambda with a default would take the index as its second argument
+        return F.transform(F.sequence(F.lit(1), F.greatest(F.length(t) - n + 1, F.lit(1))), lambda i: F.substring(t, i, F.lit(n)))
+
+    return F.flatten(F.array(*[of(n) for n in range(low, high + 1)]))
 
 
 @dataclass
