@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -60,6 +61,7 @@ def running_counts(stream: DataFrame, label_col: str = "label", text_col: str =
 
 
 def dedup(stream: DataFrame, key_cols: list[str], ts_col: str = "ts", watermark: str = "1 hour") -> DataFrame:
+    """First rows of each key within the watermark. The watermark of an empty state is the epoch: rows at or before it are late and dropped."""
     return stream.withWatermark(ts_col, watermark).dropDuplicatesWithinWatermark(key_cols)
 
 
@@ -110,14 +112,19 @@ def refresher(model: SegmentModel, path: str, label_col: str = "label", text_col
 
     def run(batch: DataFrame, batch_id: int) -> None:
         spark = batch.sparkSession
-        chunk_counts(batch, label_col, text_col, model.kind, model.max_chunk).write.mode("overwrite").parquet(f"{path}/counts/batch={batch_id}")
+        chunk_counts(batch, label_col, text_col, model.kind, model.prefix_space, model.unit).write.mode("overwrite").parquet(f"{path}/counts/batch={batch_id}")
+        batch.groupBy(F.col(label_col).alias("label")).agg(F.count(F.lit(1)).alias("n")).write.mode("overwrite").parquet(f"{path}/sizes/batch={batch_id}")
         touched = [r[0] for r in batch.select(label_col).distinct().collect()]  # labels
         if not touched:
             return
         counts = spark.read.parquet(f"{path}/counts").where(F.col("label").isin(touched)).groupBy("label", "chunk").agg(F.sum("n").alias("n"))
         fitted = em.fit(stash(counts, "counts"), model.vocab, rounds=rounds)
+        # the guard's sizes count rows of text, not chunks
+        sizes = spark.read.parquet(f"{path}/sizes").where(F.col("label").isin(touched)).groupBy("label").agg(F.sum("n").alias("n_samples"))
+        stats = fitted.stats.drop("n_samples").join(sizes, "label").select(*fitted.stats.columns)
         old = held["model"]
-        new = SegmentModel(model.vocab, old.theta.where(~F.col("label").isin(touched)).unionByName(fitted.theta), old.stats.where(~F.col("label").isin(touched)).unionByName(fitted.stats), None, model.kind, model.max_chunk)
+        keep = ~F.col("label").isin(touched)
+        new = replace(model, theta=old.theta.where(keep).unionByName(fitted.theta), stats=old.stats.where(keep).unionByName(stats), trace=None)
         new.save(f"{path}/model")
         held["model"] = SegmentModel.load(spark, f"{path}/model")
 

@@ -18,7 +18,7 @@ def model(spark, sf):
 @pytest.fixture(scope="module")
 def shards(spark, sf, tmp_path_factory):
     at = str(tmp_path_factory.mktemp("shards"))
-    docs = read_table(spark, sf, "documents", ["doc_id", "text", "source"]).withColumn("ts", F.timestamp_seconds(F.col("doc_id") * 600))
+    docs = read_table(spark, sf, "documents", ["doc_id", "text", "source"]).withColumn("ts", F.timestamp_seconds(F.col("doc_id") * 600 + 1))
     for k in range(3):
         docs.where(F.col("doc_id") % 3 == k).coalesce(1).write.mode("append").parquet(f"{at}/in")
     return at, docs
@@ -56,6 +56,8 @@ def test_dedup_and_refresh(spark, model, shards):
     run(docs.limit(20).select("text", F.lit("de").alias("label")), 0)
     run(docs.limit(20).select("text", F.lit("de").alias("label")), 0)
     new = SegmentModel.load(spark, f"file://{at}/refresh/model")
+    sizes = {r["label"]: r["n_samples"] for r in new.stats.collect()}
+    assert sizes["de"] == 20 and {k: v for k, v in sizes.items() if k != "de"} == {r["label"]: r["n_samples"] for r in model.stats.where("label <> 'de'").collect()}  # rows, not chunks
     assert new.labels() == model.labels() and os.path.isdir(f"{at}/refresh/counts/batch=0")
     assert spark.read.parquet(f"{at}/refresh/counts").agg(F.sum(F.length("chunk") * F.col("n"))).first()[0] == docs.limit(20).agg(F.sum(F.length("text"))).first()[0]
 
