@@ -1,13 +1,13 @@
-"""Averaged hashed n-gram embeddings with a linear softmax. Each epoch every partition runs stochastic steps on its rows from the common parameters, and the
-partitions' parameters are averaged by their row counts. What travels is the parameters: (buckets + labels) * dim numbers, whatever the corpus."""
+"""Averaged hashed n-gram embeddings with a linear softmax. In a round every partition runs some epochs of mini-batch steps on its rows from the common parameters, and the
+partitions' parameters are averaged by their row counts. What travels is the parameters: (buckets + labels) * dim numbers for each partition, whatever the corpus."""
 
 from __future__ import annotations
 
-import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -15,10 +15,68 @@ from pyspark.sql import types as T
 
 from ..io import stash
 
+BATCH = 16
+#: Epochs of a partition between two averages.
+LOCAL = 10
 
-def features(text: str, low: int, high: int, buckets: int) -> np.ndarray:
-    t = f"<{text.lower()}>"
-    return np.fromiter((zlib.crc32(t[i : i + n].encode()) % buckets for n in range(low, high + 1) for i in range(len(t) - n + 1)), np.int64)
+
+def features(texts: list[str], low: int, high: int, buckets: int) -> tuple[np.ndarray, np.ndarray]:
+    """(bucket of every n-gram, number of n-grams of each text). A text is lower-cased and put between < and >; all texts are hashed at once, from their code points."""
+    marked = [f"<{t.lower()}>" for t in texts]
+    size = np.fromiter(map(len, marked), np.int64, len(marked))
+    points = np.frombuffer("".join(marked).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    left = np.repeat(np.cumsum(size), size) - np.arange(len(points))  # characters from here to the text's end
+    owner = np.repeat(np.arange(len(texts)), size)
+    h = np.zeros(len(points), np.uint64)
+    found, whose = [], []
+    for n in range(1, high + 1):
+        shifted = np.zeros_like(points)
+        shifted[: len(points) - n + 1] = points[n - 1 :]
+        h = (h ^ (shifted + np.uint64(1))) * np.uint64(0x9E3779B97F4A7C15)
+        h ^= h >> np.uint64(29)
+        if n >= low:
+            ok = left >= n
+            found.append((h[ok] % np.uint64(buckets)).astype(np.int64))
+            whose.append(owner[ok])
+    f, w = np.concatenate(found), np.concatenate(whose)
+    order = np.argsort(w, kind="stable")
+    return f[order], np.bincount(w, minlength=len(texts))
+
+
+def means(x: np.ndarray, f: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Mean of the rows of each text; texts without any n-gram have zeros."""
+    out = np.zeros((len(size), x.shape[1]))
+    has = size > 0
+    if has.any():
+        first = np.cumsum(size) - size
+        out[has] = np.add.reduceat(x[f], first[has], axis=0) / size[has, None]
+    return out
+
+
+def train(texts: list[str], gold: np.ndarray, x: np.ndarray, y: np.ndarray, low: int, high: int, rates: list[float]) -> None:
+    """One epoch a rate, in place."""
+    batches = []
+    for at in range(0, len(texts), BATCH):
+        f, size = features(texts[at : at + BATCH], low, high, len(x))
+        batches.append((f, size, gold[at : at + BATCH]))
+    for rate in rates:
+        for f, size, g in batches:
+            h = means(x, f, size)
+            s = h @ y.T
+            p = np.exp(s - s.max(axis=1, keepdims=True))
+            p /= p.sum(axis=1, keepdims=True)
+            p[np.arange(len(g)), g] -= 1
+            back = p @ y
+            y -= rate * p.T @ h
+            step = np.repeat(rate * back / np.maximum(size, 1)[:, None], size, axis=0)
+            order = np.argsort(f, kind="stable")
+            first = np.concatenate([[0], np.flatnonzero(np.diff(f[order])) + 1]) if len(f) else np.empty(0, np.int64)
+            if len(f):
+                x[f[order][first]] -= np.add.reduceat(step[order], first, axis=0)
+
+
+def start(buckets: int, labels: int, dim: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
+    return np.random.default_rng(seed).uniform(-1 / dim, 1 / dim, (buckets, dim)), np.zeros((labels, dim))
 
 
 @dataclass
@@ -30,57 +88,72 @@ class AvgEmbedding:
     high: int
 
     @classmethod
-    def fit(cls, df: DataFrame, label_col: str = "label", text_col: str = "text", low: int = 1, high: int = 3, buckets: int = 4096, dim: int = 16, lr: float = 0.5, epochs: int = 5, seed: int = 7) -> AvgEmbedding:
+    def fit(cls, df: DataFrame, label_col: str = "label", text_col: str = "text", low: int = 1, high: int = 3, buckets: int = 4096, dim: int = 16, lr: float = 0.5, epochs: int = 100, seed: int = 7) -> AvgEmbedding:
         src = df.select(F.col(label_col).alias("label"), F.col(text_col).alias("text")).where("label is not null and text is not null")
         labels = sorted(r[0] for r in src.select("label").distinct().collect())
-        col = {x: k for k, x in enumerate(labels)}
-        parts = max(1, min(4, src.sparkSession.sparkContext.defaultParallelism))
+        col = {v: k for k, v in enumerate(labels)}
+        cores = src.sparkSession.sparkContext.defaultParallelism
+        n = src.count()
+        # a partition has enough rows of its own to learn from
+        parts = max(1, min(max(cores, n // 50_000), n // 500))
         src = stash(src.repartition(parts, F.md5("text")).sortWithinPartitions(F.md5("text")), "train")
-        rng = np.random.default_rng(seed)
-        a, b = rng.uniform(-1 / dim, 1 / dim, (buckets, dim)), np.zeros((len(labels), dim))
+        a, b = start(buckets, len(labels), dim, seed)
+        rates = [lr * (1 - e / epochs) for e in range(epochs)]
+        local = epochs if parts == 1 else LOCAL
 
-        for epoch in range(epochs):
+        for at in range(0, epochs, local):
             sent = df.sparkSession.sparkContext.broadcast((a, b))
-            rate = lr * (1 - epoch / epochs)
 
-            def run(batches: Iterator[pa.RecordBatch], sent=sent, rate=rate) -> Iterator[pa.RecordBatch]:
-                x, y = (m.copy() for m in sent.value)
-                n = 0
+            def run(batches: Iterator[pa.RecordBatch], sent=sent, own=rates[at : at + local]) -> Iterator[pa.RecordBatch]:
+                texts, gold = [], []
                 for batch in batches:
-                    for text, label in zip(batch.column("text").to_pylist(), batch.column("label").to_pylist(), strict=True):
-                        f = features(text, low, high, buckets)
-                        if len(f):
-                            h = x[f].mean(axis=0)
-                            s = y @ h
-                            p = np.exp(s - s.max())
-                            p /= p.sum()
-                            p[col[label]] -= 1
-                            g = p @ y
-                            y -= rate * np.outer(p, h)
-                            np.subtract.at(x, f, rate * g / len(f))
-                            n += 1
-                if n:
-                    yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64()), pa.array([x.tobytes()], pa.binary()), pa.array([y.tobytes()], pa.binary())], names=["n", "x", "y"])
-
-            got = src.mapInArrow(run, "n long, x binary, y binary").collect()  # parameters of at most 4 partitions
-            total = sum(r["n"] for r in got)
+                    texts += batch.column("text").to_pylist()
+                    gold += [col[v] for v in batch.column("label").to_pylist()]
+                if texts:
+                    x, y = (m.copy() for m in sent.value)
+                    train(texts, np.array(gold), x, y, low, high, own)
+                    yield pa.RecordBatch.from_arrays([pa.array([len(texts)], pa.int64()), pa.array([x.tobytes()], pa.binary()), pa.array([y.tobytes()], pa.binary())], names=["n", "x", "y"])
+
+            total, x, y = 0, np.zeros_like(a), np.zeros_like(b)
+            for r in src.mapInArrow(run, "n long, x binary, y binary").toLocalIterator():  # parameters, a partition at a time
+                total += r["n"]
+                x += np.frombuffer(r["x"]).reshape(a.shape) * r["n"]
+                y += np.frombuffer(r["y"]).reshape(b.shape) * r["n"]
             if total:
-                a = sum(np.frombuffer(r["x"]).reshape(a.shape) * r["n"] for r in got) / total
-                b = sum(np.frombuffer(r["y"]).reshape(b.shape) * r["n"] for r in got) / total
+                a, b = x / total, y / total
         return cls(a, b, labels, low, high)
 
+    def predict(self, texts: list[str | None]) -> list[str | None]:
+        f, size = features([t or "" for t in texts], self.low, self.high, len(self.inputs))
+        s = means(self.inputs, f, size) @ self.outputs.T
+        return [self.labels[int(k)] if t else None for k, t in zip(s.argmax(axis=1), texts, strict=True)]
+
     def transform(self, df: DataFrame, key: str | None = None, text_col: str = "text") -> DataFrame:
         df = df.drop("label")
-        sent = df.sparkSession.sparkContext.broadcast((self.inputs, self.outputs))
-        names, low, high = self.labels, self.low, self.high
+        sent = df.sparkSession.sparkContext.broadcast(self)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            x, y = sent.value
-            for b in batches:
-                said = []
-                for t in b.column(text_col).to_pylist():
-                    f = features(t, low, high, len(x)) if t else np.empty(0, np.int64)
-                    said.append(names[int(np.argmax(y @ x[f].mean(axis=0)))] if len(f) else None)
-                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(said, pa.string())], names=[*b.schema.names, "label"])
+            for whole in batches:
+                for at in range(0, whole.num_rows, 500):
+                    b = whole.slice(at, 500)
+                    yield pa.RecordBatch.from_arrays([*b.columns, pa.array(sent.value.predict(b.column(text_col).to_pylist()), pa.string())], names=[*b.schema.names, "label"])
 
         return df.mapInArrow(run, T.StructType([*df.schema.fields, T.StructField("label", T.StringType())]))
+
+
+def fit_runs(train_rows: DataFrame, test: DataFrame, run_cols: list[str], epochs: int = 100, low: int = 1, high: int = 3, buckets: int = 4096, dim: int = 16, lr: float = 0.5, seed: int = 7) -> DataFrame:
+    """(run_cols, gold, label): many small training sets at once, one task each, scored on the same test rows (gold, text), which are broadcast: the caller bounds them."""
+    held = train_rows.sparkSession.sparkContext.broadcast(test.select("gold", "text").toPandas())
+    kinds = dict(train_rows.dtypes)
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("text")
+        labels = sorted(pdf["label"].unique())
+        x, y = start(buckets, len(labels), dim, seed)
+        order = np.random.default_rng(seed).permutation(len(pdf))
+        train(pdf["text"].to_numpy()[order].tolist(), np.searchsorted(labels, pdf["label"].to_numpy()[order]), x, y, low, high, [lr * (1 - e / epochs) for e in range(epochs)])
+        rows = held.value
+        said = AvgEmbedding(x, y, labels, low, high).predict(rows["text"].tolist())
+        return pd.DataFrame({**{c: pdf[c].iloc[0] for c in run_cols}, "gold": rows["gold"], "label": said})
+
+    return train_rows.groupBy(*run_cols).applyInPandas(run, ", ".join(f"{c} {kinds[c]}" for c in run_cols) + ", gold string, label string")

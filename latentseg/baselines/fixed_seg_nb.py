@@ -7,10 +7,9 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..io import stash
+from ..io import join_frequent, stash
 from ..model import SegmentModel
-from ..score import segment
-from ..text import pretokenize
+from ..score import segment, whole_chunks
 
 
 @dataclass
@@ -32,14 +31,16 @@ class FixedSegNB:
     @staticmethod
     def _tokens(df: DataFrame, pooled: SegmentModel, keys: list[str]) -> DataFrame:
         """(keys, token, m): chunks are split once each and joined back."""
-        chunks = df.select(*keys, F.explode(pretokenize(F.col("text"), pooled.kind)).alias("chunk")).where("chunk <> ''").groupBy(*keys, "chunk").agg(F.count(F.lit(1)).alias("m"))
-        cut = segment(chunks.select("chunk").distinct(), pooled, "chunk").select("chunk", "tokens")
-        return chunks.join(cut, "chunk").select(*keys, F.explode("tokens").alias("token"), "m").groupBy(*keys, "token").agg(F.sum("m").alias("m"))
+        chunks = df.select(*keys, F.explode(pooled.chunks("text")).alias("chunk")).where("chunk <> ''").groupBy(*keys, "chunk").agg(F.count(F.lit(1)).alias("m"))
+        cut = segment(chunks.groupBy("chunk").agg(F.count(F.lit(1)).alias("f")), whole_chunks(pooled), "chunk").select("chunk", "tokens", "f")
+        return join_frequent(chunks, stash(cut, "cuts"), "chunk").select(*keys, F.explode("tokens").alias("token"), "m").groupBy(*keys, "token").agg(F.sum("m").alias("m"))
 
     def transform(self, df: DataFrame, key: str, text_col: str = "text") -> DataFrame:
         t = self._tokens(df.select(key, F.col(text_col).alias("text")), self.pooled, [key])
-        cells = t.select("token").distinct().join(F.broadcast(self.totals)).join(self.table, ["label", "token"], "left")  # totals: a row a label
-        cells = cells.select("token", "label", F.round(F.log((F.coalesce("c", F.lit(0)) + self.k) / (F.col("t") + self.k * self.v)) * 1_000_000).cast("long").alias("v"))
-        s = t.join(cells, "token").groupBy(key, "label").agg(F.sum(F.col("m") * F.col("v")).alias("score"))
+        t = stash(t, "tokens")
+        cells = t.groupBy("token").agg(F.count(F.lit(1)).alias("f")).join(F.broadcast(self.totals)).join(self.table, ["label", "token"], "left")  # totals: a row a label
+        value = F.round(F.log((F.coalesce("c", F.lit(0)) + self.k) / (F.col("t") + self.k * self.v)) * 1_000_000).cast("long")
+        cells = stash(cells.groupBy("token").agg(F.max("f").alias("f"), F.collect_list(F.struct("label", value.alias("v"))).alias("vs")), "cells")
+        s = join_frequent(t, cells, "token").select(key, "m", F.explode("vs").alias("x")).groupBy(key, F.col("x.label").alias("label")).agg(F.sum(F.col("m") * F.col("x.v")).alias("score"))
         best = s.groupBy(key).agg(F.min_by("label", F.struct((-F.col("score")).alias("s"), "label")).alias("label"))
         return df.drop("label").join(best, key, "left")

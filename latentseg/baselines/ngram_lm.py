@@ -7,13 +7,14 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..io import stash
+from ..io import join_frequent, stash
 
 
 def grams(df: DataFrame, keys: list[str], text_col: str, n: int) -> DataFrame:
-    """(keys, ctx, ch): every character with the n-1 before it; the text is preceded by n-1 spaces."""
-    padded = F.concat(F.lit(" " * (n - 1)), F.lower(text_col))
-    return df.select(*keys, padded.alias("_t")).select(*keys, F.explode(F.expr(f"sequence(1, length(_t) - {n - 1})")).alias("i"), "_t").select(*keys, F.expr(f"substring(_t, i, {n - 1})").alias("ctx"), F.expr(f"substring(_t, i + {n - 1}, 1)").alias("ch"))
+    """(keys, ctx, ch): every character with the n-1 before it; the text is preceded by n-1 spaces. A text is taken apart once and dropped before its grams are listed."""
+    chars = F.regexp_extract_all(F.concat(F.lit(" " * (n - 1)), F.lower(text_col)), F.lit("(?s)."), 0)
+    at = F.expr(f"transform(sequence(1, size(_c) - {n - 1}), i -> struct(array_join(slice(_c, i, {n - 1}), '') as ctx, element_at(_c, i + {n - 1}) as ch))")
+    return df.select(*keys, chars.alias("_c")).where(f"size(_c) >= {n}").select(*keys, F.explode(at).alias("_g")).select(*keys, "_g.ctx", "_g.ch")
 
 
 @dataclass
@@ -37,18 +38,39 @@ class NgramLM:
 
     def scores(self, df: DataFrame, key: str, text_col: str = "text") -> DataFrame:
         """(key, label, score), scores in millionths of nats: whole numbers add up alike in any order."""
-        g = grams(df.select(key, text_col), [key], text_col, self.n).groupBy(key, "ctx", "ch").agg(F.count(F.lit(1)).alias("m"))
-        # distinct grams meet the label set once, whatever the number of rows
-        cells = g.select("ctx", "ch").distinct().join(F.broadcast(self.labels))  # label set: a row a label
+        g = stash(grams(df.select(key, text_col), [key], text_col, self.n).groupBy(key, "ctx", "ch").agg(F.count(F.lit(1)).alias("m")), "grams")
+        return self._sparse(g, key) if self.smooth == "add_k" else self._cells(g, key)
+
+    def _sparse(self, g: DataFrame, key: str) -> DataFrame:
+        """add_k: every gram has the same value under a label that lacks its context, so only contexts and grams that a label has are joined, as what they add to that. A
+        table has a row a key with all its labels, and frequent keys are broadcast."""
+        fx = lambda p: F.round(F.log(p) * 1_000_000).cast("long")
+        none = fx(F.lit(0.0 + self.k) / (F.lit(0) + self.k * self.alphabet))
+        total = F.col("t") + self.k * self.alphabet
+        packed = lambda df, keys: df.groupBy(*keys).agg(F.collect_list(F.struct("label", "d")).alias("ds"))
+        by_ctx = packed(self.contexts.select("ctx", "label", (fx(F.lit(0.0 + self.k) / total) - none).alias("d")), ["ctx"])
+        both = self.counts.join(self.contexts, ["label", "ctx"])
+        by_gram = packed(both.select(F.concat("ctx", "ch").alias("gram"), "label", (fx((F.col("c") + self.k) / total) - fx(F.lit(0.0 + self.k) / total)).alias("d")), ["gram"])
+        g = g.withColumn("gram", F.concat("ctx", "ch"))
+        adds = []
+        for table, on in ((by_ctx, "ctx"), (by_gram, "gram")):
+            often = stash(table.join(g.groupBy(on).agg(F.count(F.lit(1)).alias("f")), on), "table")
+            hit = join_frequent(g.select(key, on, "m"), often, on).select(key, "m", F.explode("ds").alias("x"))
+            adds.append(hit.groupBy(key, F.col("x.label").alias("label")).agg(F.sum(F.col("m") * F.col("x.d")).alias("score")))
+        rows = g.groupBy(key).agg(F.sum("m").alias("m"))
+        least = rows.join(F.broadcast(self.labels)).select(key, "label", (F.col("m") * none).alias("score"))  # label set: a row a label
+        return least.unionByName(adds[0]).unionByName(adds[1]).groupBy(key, "label").agg(F.sum("score").alias("score"))
+
+    def _cells(self, g: DataFrame, key: str) -> DataFrame:
+        """Distinct grams meet the label set once, whatever the number of rows."""
+        cells = g.groupBy("ctx", "ch").agg(F.count(F.lit(1)).alias("f")).join(F.broadcast(self.labels))  # label set: a row a label
         cells = cells.join(self.counts, ["label", "ctx", "ch"], "left").join(self.contexts, ["label", "ctx"], "left")
-        c, t = F.coalesce("c", F.lit(0)), F.coalesce("t", F.lit(0))
-        p = self._prob(cells, c, t)
-        table = p.select("label", "ctx", "ch", F.round(F.log("p") * 1_000_000).cast("long").alias("v"))
-        return g.join(table, ["ctx", "ch"]).groupBy(key, "label").agg(F.sum(F.col("m") * F.col("v")).alias("score"))
+        p = self._prob(cells, F.coalesce("c", F.lit(0)), F.coalesce("t", F.lit(0)))
+        values = p.groupBy(F.concat("ctx", "ch").alias("gram")).agg(F.max("f").alias("f"), F.collect_list(F.struct("label", F.round(F.log("p") * 1_000_000).cast("long").alias("v"))).alias("vs"))
+        hit = join_frequent(g.select(key, F.concat("ctx", "ch").alias("gram"), "m"), stash(values, "table"), "gram").select(key, "m", F.explode("vs").alias("x"))
+        return hit.groupBy(key, F.col("x.label").alias("label")).agg(F.sum(F.col("m") * F.col("x.v")).alias("score"))
 
     def _prob(self, cells: DataFrame, c: Column, t: Column) -> DataFrame:
-        if self.smooth == "add_k":
-            return cells.withColumn("p", (c + self.k) / (t + self.k * self.alphabet))
         uni = self.counts.groupBy("label", "ch").agg(F.sum("c").alias("uc"))
         all_ = self.counts.groupBy("label").agg(F.sum("c").alias("ut"))
         cells = cells.join(uni, ["label", "ch"], "left").join(F.broadcast(all_), "label")

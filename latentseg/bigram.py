@@ -7,10 +7,9 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .io import stash
+from .io import join_frequent, stash
 from .model import SegmentModel
-from .score import segment
-from .text import pretokenize
+from .score import segment, whole_chunks
 
 
 @dataclass
@@ -23,9 +22,10 @@ class TokenBigram:
     @staticmethod
     def _pairs(df: DataFrame, model: SegmentModel, keys: list[str], own: bool) -> DataFrame:
         """(keys, label, a, b, m): pairs inside chunks, each distinct chunk split once per label. own: only under the row's own label."""
-        chunks = df.select(*keys, F.explode(pretokenize(F.col("text"), model.kind)).alias("chunk")).where("chunk <> ''").groupBy(*keys, "chunk").agg(F.count(F.lit(1)).alias("m"))
-        cut = segment(chunks.select("chunk").distinct(), model, "chunk").select("chunk", F.col("label").alias("under"), "tokens")
-        j = chunks.join(cut, "chunk")
+        chunks = df.select(*keys, F.explode(model.chunks("text")).alias("chunk")).where("chunk <> ''").groupBy(*keys, "chunk").agg(F.count(F.lit(1)).alias("m"))
+        cut = segment(chunks.groupBy("chunk").agg(F.count(F.lit(1)).alias("f")), whole_chunks(model), "chunk")
+        cut = stash(cut.groupBy("chunk").agg(F.max("f").alias("f"), F.collect_list(F.struct(F.col("label").alias("under"), "tokens")).alias("cuts")), "cuts")  # a row a label
+        j = join_frequent(chunks, cut, "chunk").select(*keys, "m", F.explode("cuts").alias("x")).select(*keys, "m", "x.*")
         j = j.where(F.col("label") == F.col("under")) if own else j
         p = j.select(*keys, "under", "m", F.explode(F.expr("transform(sequence(1, size(tokens)), i -> struct(if(i = 1, '', tokens[i - 2]) as a, tokens[i - 1] as b))")).alias("p"))
         return p.groupBy(*keys, "under", "p.a", "p.b").agg(F.sum("m").alias("m"))

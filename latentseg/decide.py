@@ -20,25 +20,18 @@ def margin(topk: Column) -> Column:
     return F.get(topk, F.lit(0))["score"] - F.get(topk, F.lit(1))["score"]
 
 
-def posterior(topk: Column, prior: dict[str, float] | None = None) -> Column:
-    """Map label -> probability over the listed scores, shifted by the largest before exponentials. prior None: uniform."""
-    if prior:
-        weights = F.create_map(*[F.lit(x) for kv in prior.items() for x in (kv[0], float(kv[1]))])
-        topk = F.transform(topk, lambda x: F.struct(x["label"].alias("label"), (x["score"] + F.log(F.coalesce(weights[x["label"]], F.lit(1e-300)))).alias("score")))
-    top = F.array_max(F.transform(topk, lambda x: x["score"]))
-    raised = F.transform(topk, lambda x: F.struct(x["label"].alias("label"), F.exp(x["score"] - top).alias("p")))
-    total = F.aggregate(raised, F.lit(0.0), lambda a, x: a + x["p"])
-    return F.map_from_entries(F.transform(raised, lambda x: F.struct(x["label"], x["p"] / total)))
-
-
-def decorate(scored: DataFrame, prior: dict[str, float] | None = None) -> DataFrame:
-    """Adds label, score, margin and posterior next to topk. With a prior the label is that of the largest posterior among the listed."""
+def posterior(topk: Column, log_total: Column | None = None) -> Column:
+    """Map label -> probability of the listed labels. log_total is the log of the sum of exponentials over all labels; without it the listed ones are all there are."""
+    if log_total is None:
+        top = F.array_max(F.transform(topk, lambda x: x["score"]))
+        log_total = top + F.log(F.aggregate(topk, F.lit(0.0), lambda a, x: a + F.exp(x["score"] - top)))
+    return F.map_from_entries(F.transform(topk, lambda x: F.struct(x["label"], F.exp(x["score"] - log_total))))
+
+
+def decorate(scored: DataFrame) -> DataFrame:
+    """Adds label, score, margin and posterior next to topk; takes log_total away."""
     top = F.col("topk")
-    df = scored.withColumns({"label": predict(top), "score": F.get(top, F.lit(0))["score"], "margin": margin(top), "posterior": posterior(top, prior)})
-    if prior:
-        best = F.array_max(F.transform(F.map_entries("posterior"), lambda e: F.struct(e["value"].alias("p"), e["key"].alias("label"))))
-        df = df.withColumn("label", best["label"])
-    return df
+    return scored.withColumns({"label": predict(top), "score": F.get(top, F.lit(0))["score"], "margin": margin(top), "posterior": posterior(top, F.col("log_total"))}).drop("log_total")
 
 
 def from_rows(scores: DataFrame, keys: list[str], k: int = 5) -> DataFrame:
@@ -61,7 +54,7 @@ def hierarchical(df: DataFrame, model: SegmentModel, parents: DataFrame, text_co
     final = em.m_step(pooled)
     samples = model.stats.join(parents.select("label", "family"), "label").groupBy(F.col("family").alias("label")).agg(F.sum("n_samples").alias("n_samples"))
     trace = df.sparkSession.createDataFrame([], "label string, round int, loglik double, tv double")
-    theta, stats = em.finish(stash(final, "families"), samples, trace)
+    theta, stats = em.finish(stash(final, "families"), samples, trace, seen=pooled.select("label", "token_id"))
     upper = dataclasses.replace(model, theta=stash(theta, "families"), stats=stash(stats, "families"))
     first = stash(upper.transform(df, text_col, how).withColumn("family", F.col("label")).drop("topk", "label", "score", "margin", "posterior"), "routed")
     out = None

@@ -1,7 +1,8 @@
 """Expectation-maximisation of token distributions, for all labels in one job a round.
 
-Chunks with their weights are placed once by (label, salt) and written; each round sends only the current distributions to them. A large label is
-salted, so that no task holds more than `rows_per_task` distinct chunks. Labels never meet: those that have converged leave the rounds."""
+Chunks with their weights are placed once by (label, salt) and written. Labels never meet, so a label whose distinct chunks fit one task, `rows_per_task` at most, runs all its rounds there, one
+task a label and one job for all of them. A larger label is salted and goes round by round: each round sends only the current distributions to its chunks, and labels that have converged leave.
+Both ways take the same steps."""
 
 from __future__ import annotations
 
@@ -23,7 +24,7 @@ SCALE = 1_000_000
 
 @dataclass
 class Fitted:
-    theta: DataFrame  # label, token_id, logp, logp_fx, seen, c; seen tokens only
+    theta: DataFrame  # label, token_id, logp, logp_fx, seen, c; tokens that occur in the lattices of the label, also those whose count has gone to nothing
     stats: DataFrame  # LABEL_STATS
     trace: DataFrame  # label, round, loglik, tv
 
@@ -39,16 +40,39 @@ def init_theta(vocab_size: int, how: str = "uniform", freq: dict[int, float] | N
     return out
 
 
-def prepare(chunks: DataFrame, rows_per_task: int = 50_000, max_salt: int = 4096) -> DataFrame:
-    """(label, salt, chunk, n), written in its final placement: the last shuffle that moves chunks. Salts follow the number of distinct chunks of a label."""
-    sizes = chunks.groupBy("label").agg(F.count(F.lit(1)).alias("u"))
-    salts = F.least(F.lit(max_salt), F.ceil(F.col("u") / rows_per_task)).cast("int")
+def prepare(chunks: DataFrame, rows_per_task: int = 200_000, chars_per_task: int = 2_000_000) -> DataFrame:
+    """(label, salt, chunk, n), written in its final placement: the last shuffle that moves chunks. Salts follow the number and the length of the distinct chunks of a label."""
+    sizes = chunks.groupBy("label").agg(F.count(F.lit(1)).alias("u"), F.sum(F.length("chunk")).alias("chars"))
+    salts = F.greatest(F.ceil(F.col("u") / rows_per_task), F.ceil(F.col("chars") / chars_per_task), F.lit(1)).cast("int")
     placed = chunks.join(F.broadcast(sizes), "label").select("label", F.pmod(F.xxhash64("chunk"), salts).cast("int").alias("salt"), "chunk", F.col("n").cast("double").alias("n"))
     return stash(placed.repartition("label", "salt"), "placed")
 
 
-def e_step(placed: DataFrame, vocab: DataFrame | dict[str, int], theta: DataFrame | None = None, kind: str = "soft", default: float | None = None) -> DataFrame:
-    """(label, token_id, c, loglik): expected counts of the tokens that occur, summed in the task; loglik sits on rows with token -1.
+def _tensors(chunks: pd.DataFrame, ids: dict[str, int], longest: int, most: int = 4096) -> list[tuple[np.ndarray, np.ndarray]]:
+    """(weights, lattice) of groups of at most `most` chunks of one length."""
+    weight = chunks["n"].to_numpy(float)
+    return [(weight[rows[k : k + most]], tok[k : k + most]) for rows, tok in lattice.tensors(chunks["chunk"].tolist(), ids, longest) for k in range(0, len(rows), most)]
+
+
+def _counts(parts: list[tuple[np.ndarray, np.ndarray]], logp: np.ndarray, hard: bool) -> tuple[np.ndarray, float]:
+    c, total = np.zeros(len(logp)), 0.0
+    for weight, tok in parts:
+        part, ll = lattice.expected_counts(tok, weight, logp, hard)
+        c += part
+        total += ll
+    return c, total
+
+
+def _edges(parts: list[tuple[np.ndarray, np.ndarray]], size: int) -> np.ndarray:
+    """Which tokens have an edge in some lattice."""
+    out = np.zeros(size, bool)
+    for _, tok in parts:
+        out[tok[tok >= 0]] = True
+    return out
+
+
+def e_step(placed: DataFrame, vocab: DataFrame | dict[str, int], theta: DataFrame | None = None, kind: str = "soft", default: float | None = None, occurring: bool = False) -> DataFrame:
+    """(label, token_id, c, loglik): expected counts, summed in the task; loglik sits on rows with token -1. occurring: also rows of count 0 for tokens that have an edge in some lattice.
     theta is (label, token_id, logp); tokens it lacks have `default`, and without it the start is uniform."""
     ids = vocab if isinstance(vocab, dict) else lattice.collect_vocab(vocab)
     sent = placed.sparkSession.sparkContext.broadcast(ids)
@@ -56,15 +80,9 @@ def e_step(placed: DataFrame, vocab: DataFrame | dict[str, int], theta: DataFram
     schema = "label string, token_id int, c double, loglik double"
 
     def counts(label: str, chunks: pd.DataFrame, logp: np.ndarray) -> pd.DataFrame:
-        c, total = np.zeros(size + 2), 0.0
-        weight = chunks["n"].to_numpy(float)
-        for rows, tok in lattice.tensors(chunks["chunk"].tolist(), sent.value, longest):
-            for at in range(0, len(rows), 4096):
-                part, ll = lattice.expected_counts(tok[at : at + 4096], weight[rows[at : at + 4096]], logp, kind == "hard")
-                c += part
-                total += ll
-        # seen: tokens with an edge in some lattice, whatever their count
-        some = np.flatnonzero(c[:size] > 0)
+        parts = _tensors(chunks, sent.value, longest)
+        c, total = _counts(parts, logp, kind == "hard")
+        some = np.flatnonzero((c[:size] > 0) | _edges(parts, size) if occurring else c[:size] > 0)
         return pd.DataFrame({"label": label, "token_id": np.append(some, -1).astype(np.int32), "c": np.append(c[some], 0.0), "loglik": np.append(np.zeros(len(some)), total)})
 
     if theta is None:
@@ -74,20 +92,64 @@ def e_step(placed: DataFrame, vocab: DataFrame | dict[str, int], theta: DataFram
     salted = places.join(theta.select("label", "token_id", "logp"), F.col("at_label") == F.col("label")).select("at_label", "at_salt", "token_id", "logp")
 
     def run(key: tuple, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        logp = np.full(size + 2, -np.inf if default is None else default)
-        logp[-2], logp[-1] = UNKNOWN, -np.inf
-        logp[right["token_id"].to_numpy()] = right["logp"].to_numpy()
-        return counts(key[0], left, logp) if len(left) else pd.DataFrame({"label": [], "token_id": [], "c": [], "loglik": []})
+        return counts(key[0], left, _dense(size, right, default)) if len(left) else pd.DataFrame({"label": [], "token_id": [], "c": [], "loglik": []})
 
     return placed.groupBy("label", "salt").cogroup(salted.groupBy("at_label", "at_salt")).applyInPandas(run, schema)
 
 
+def _dense(size: int, theta: pd.DataFrame, default: float | None = None) -> np.ndarray:
+    logp = np.full(size + 2, -np.inf if default is None else default)
+    logp[-2], logp[-1] = UNKNOWN, -np.inf
+    logp[theta["token_id"].to_numpy()] = theta["logp"].to_numpy()
+    return logp
+
+
+#: Smallest expected count that is kept as one.
+TINY = 1e-12
+
+
+def fit_in_task(placed: DataFrame, ids: dict[str, int], theta: DataFrame | None, rounds: int, tol: float, kind: str) -> DataFrame:
+    """All rounds of labels that fit one task: (label, token_id, c, logp, total) with c null where a token occurs but its count has gone, and the trace on rows with token -1:
+    round in `c`, log-likelihood in `logp`, total variation in `total`."""
+    sent = placed.sparkSession.sparkContext.broadcast(ids)
+    size, longest = len(ids), max(map(len, ids), default=1)
+    schema = "label string, token_id int, c double, logp double, total double"
+
+    def run(label: str, chunks: pd.DataFrame, logp: np.ndarray, uniform: bool) -> pd.DataFrame:
+        parts = _tensors(chunks, sent.value, longest)
+        trace = []
+        for r in range(1, rounds + 1):
+            c, ll = _counts(parts, logp, kind == "hard")
+            c, before = c[:size], logp[:size]
+            new = np.full(size + 2, -np.inf)
+            new[-2] = UNKNOWN
+            kept = c > TINY
+            new[:size][kept] = np.log(c[kept] / c.sum())
+            tv = 1.0 if r == 1 and uniform else float(np.abs(np.exp(new[:size]) - np.exp(before)).sum() / 2)
+            trace.append((r, ll, tv))
+            logp = new
+            if tv < tol:
+                break
+        some = np.flatnonzero(_edges(parts, size) | kept)
+        t = np.array(trace)
+        return pd.DataFrame({
+            "label": label, "token_id": np.append(some, np.full(len(t), -1)).astype(np.int32), "c": np.append(np.where(kept[some], c[some], np.nan), t[:, 0]),
+            "logp": np.append(np.where(kept[some], logp[some], np.nan), t[:, 1]), "total": np.append(np.full(len(some), c.sum()), t[:, 2]),
+        })
+
+    if theta is None:
+        start = init_theta(size)
+        return placed.groupBy("label").applyInPandas(lambda key, pdf: run(key[0], pdf, start, True), schema)
+    start_of = theta.select(F.col("label").alias("at_label"), "token_id", "logp")
+    return placed.groupBy("label").cogroup(start_of.groupBy("at_label")).applyInPandas(lambda key, a, b: run(key[0], a, _dense(size, b), False) if len(a) else pd.DataFrame({c: [] for c in ("label", "token_id", "c", "logp", "total")}), schema)
+
+
 def sum_counts(parts: DataFrame) -> DataFrame:
     """(label, token_id, c): salts added up."""
     return parts.where("token_id >= 0").groupBy("label", "token_id").agg(F.sum("c").alias("c"))
 
 
-def m_step(expected: DataFrame, tiny: float = 1e-12) -> DataFrame:
+def m_step(expected: DataFrame, tiny: float = TINY) -> DataFrame:
     """(label, token_id, c, logp): counts normalised within their label. Totals are one row a label."""
     totals = expected.groupBy("label").agg(F.sum("c").alias("total"))
     return expected.join(totals, "label").where(F.col("c") > tiny).select("label", "token_id", "c", F.log(F.col("c") / F.col("total")).alias("logp"), "total")
@@ -116,47 +178,71 @@ def fix(logp: Column) -> Column:
     return F.round(logp * SCALE).cast("long")
 
 
-def fit(chunks: DataFrame, vocab: DataFrame, rounds: int = 20, tol: float = 1e-6, init: str = "uniform", kind: str = "soft", floor: str = "expected", min_expected: float = 0.5) -> Fitted:
-    """Rounds until every label's total variation is below tol. Floors come after the last round, so the likelihood never falls before."""
-    spark = chunks.sparkSession
-    ids = lattice.collect_vocab(vocab)
-    placed = prepare(chunks)
-    active, done, trace, theta = placed, None, [], None
-    if init == "base":
+def start_theta(chunks: DataFrame, vocab: DataFrame, ids: dict[str, int], how: str) -> DataFrame | None:
+    """(label, token_id, logp) to begin with: None for uniform, two rounds over all labels together (base), or the frequency of a token as a substring (freq)."""
+    if how == "base":
         pooled = chunks.groupBy("chunk").agg(F.sum("n").alias("n")).select(F.lit("*").alias("label"), "chunk", "n")
         whole = fit(pooled, vocab, rounds=2).theta
-        theta = stash(whole.crossJoin(F.broadcast(chunks.select("label").distinct().withColumnRenamed("label", "own"))).select(F.col("own").alias("label"), "token_id", "logp"), "start")  # label set x vocabulary
-    elif init == "freq":
+        return stash(whole.crossJoin(F.broadcast(chunks.select("label").distinct().withColumnRenamed("label", "own"))).select(F.col("own").alias("label"), "token_id", "logp"), "start")  # label set x vocabulary
+    if how == "freq":
+        longest = max(map(len, ids))
         sub = chunks.select("label", "n", "chunk", F.explode(F.expr("sequence(1, length(chunk))")).alias("s"))
-        lens = sorted(map(len, ids))[-1]
-        sub = sub.select("label", "n", F.explode(F.expr(f"transform(sequence(1, least({lens}, length(chunk) - s + 1)), l -> substring(chunk, s, l))")).alias("token"))
-        theta = stash(m_step(sub.join(vocab.select("token", "token_id"), "token").groupBy("label", "token_id").agg(F.sum("n").cast("double").alias("c"))).select("label", "token_id", "logp"), "start")
-    for r in range(1, rounds + 1):
-        parts = stash(e_step(active, ids, theta, kind), "counts")
+        sub = sub.select("label", "n", F.explode(F.expr(f"transform(sequence(1, least({longest}, length(chunk) - s + 1)), l -> substring(chunk, s, l))")).alias("token"))
+        counts = sub.groupBy("label", "token").agg(F.sum("n").cast("double").alias("c"))
+        return stash(m_step(counts.join(F.broadcast(vocab.select("token", "token_id")), "token").select("label", "token_id", "c")).select("label", "token_id", "logp"), "start")
+    return None
+
+
+def fit(chunks: DataFrame, vocab: DataFrame, rounds: int = 20, tol: float = 1e-6, init: str = "uniform", kind: str = "soft", floor: str = "expected", min_expected: float = 0.5, rows_per_task: int = 200_000) -> Fitted:
+    """Rounds until every label's total variation is below tol. Floors come after the last round, so the likelihood never falls before."""
+    spark = chunks.sparkSession
+    ids = lattice.collect_vocab(vocab)
+    placed = prepare(chunks, rows_per_task)
+    start = start_theta(chunks, vocab, ids, init)
+    wide = [r[0] for r in placed.where("salt > 0").select("label").distinct().collect()]  # labels
+    own = F.col("label").isin(wide)
+    done, trace, seen = None, None, None
+    if placed.where(~own).limit(1).count():
+        got = stash(fit_in_task(placed.where(~own), ids, None if start is None else start.where(~own), rounds, tol, kind), "fitted")
+        trace = got.where("token_id = -1").select("label", F.col("c").cast("int").alias("round"), F.col("logp").alias("loglik"), F.col("total").alias("tv"))
+        rows = got.where("token_id >= 0")
+        seen = rows.select("label", "token_id")
+        done = rows.where("not isnan(c)").select("label", "token_id", "c", "logp", "total")
+    said, active, theta, still = [], placed.where(own), None if start is None else start.where(own), wide
+    for r in range(1, rounds + 1) if wide else ():
+        parts = stash(e_step(active, ids, theta, kind, occurring=r == 1), "counts")
+        if r == 1:
+            more = stash(parts.where("token_id >= 0").select("label", "token_id").distinct(), "seen")
+            seen = more if seen is None else seen.unionByName(more)
         new = stash(m_step(sum_counts(parts)), "theta")
         loglik = corpus_loglik(parts)
         gap = total_variation(new, theta) if theta is not None else loglik.select("label", F.lit(1.0).alias("tv"))
         rows = loglik.join(gap, "label", "left").collect()  # a row a label
-        trace += [(x["label"], r, x["loglik"], x["tv"]) for x in rows]
+        said += [(x["label"], r, x["loglik"], x["tv"]) for x in rows]
         still = [x["label"] for x in rows if not (x["tv"] is not None and x["tv"] < tol)]
-        over = new.where(~F.col("label").isin(still)) if still else new
-        done = over if done is None else done.unionByName(over)
+        over = new.where(~F.col("label").isin(still)) if still and r < rounds else new
+        done = over if done is None else done.unionByName(over.select(*done.columns))
         theta = new
         if not still:
             break
         if len(still) < len(rows):
             active, theta = active.where(F.col("label").isin(still)), stash(new.where(F.col("label").isin(still)), "theta")
-    final = stash(done.unionByName(theta.where(F.col("label").isin(still))) if still else done, "final")
-    said = spark.createDataFrame(trace or [("", 0, 0.0, 0.0)], "label string, round int, loglik double, tv double").where("round > 0")
+    final = stash(done, "final")
+    if said:
+        rest = spark.createDataFrame(said, "label string, round int, loglik double, tv double")
+        trace = rest if trace is None else trace.unionByName(rest)
     samples = chunks.groupBy("label").agg(F.sum("n").cast("long").alias("n_samples"))
-    return Fitted(*finish(final, samples, said, floor, min_expected), said)
+    return Fitted(*finish(final, samples, trace, floor, min_expected, seen), trace)
 
 
-def finish(final: DataFrame, samples: DataFrame, trace: DataFrame, floor: str = "expected", min_expected: float = 0.5) -> tuple[DataFrame, DataFrame]:
-    """theta with floored values, and the statistics of each label."""
+def finish(final: DataFrame, samples: DataFrame, trace: DataFrame, floor: str = "expected", min_expected: float = 0.5, seen: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """theta with floored values, and the statistics of each label. seen is (label, token_id) of the tokens that occur in a label's lattices: they keep the floor as a value of their own
+    where their count has gone; all others share the floor in the statistics."""
     stats = final.groupBy("label").agg(F.sum("c").alias("n_tokens"), F.min("logp").alias("least"))
     stats = stats.withColumn("floor", floor_of(F.col("n_tokens"), F.col("least"), floor, min_expected))
-    theta = final.join(F.broadcast(stats.select("label", "floor")), "label").select("label", "token_id", F.greatest("logp", "floor").alias("logp"), fix(F.greatest("logp", "floor")).alias("logp_fx"), F.lit(True).alias("seen"), "c")
+    rows = final.select("label", "token_id", "logp", "c") if seen is None else seen.join(final.select("label", "token_id", "logp", "c"), ["label", "token_id"], "left")
+    value = F.greatest(F.coalesce("logp", "floor"), F.col("floor"))
+    theta = rows.join(F.broadcast(stats.select("label", "floor")), "label").select("label", "token_id", value.alias("logp"), fix(value).alias("logp_fx"), F.lit(True).alias("seen"), F.coalesce("c", F.lit(0.0)).alias("c"))
     h = final.groupBy("label").agg(F.sum(-F.exp("logp") * F.col("logp")).alias("entropy"))
     last = trace.groupBy("label").agg(F.max("round").alias("rounds"), F.max_by("tv", "round").alias("tv"))
     out = stats.join(samples, "label").join(h, "label").join(last, "label", "left").select("label", "n_samples", "n_tokens", "floor", "entropy", "rounds", "tv")

@@ -6,7 +6,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, replace
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import decide
@@ -49,16 +49,24 @@ def thresholds(margins: DataFrame, stats: DataFrame, small: DataFrame, high: Dat
     if shared:
         one = margins.join(grp, "label", "left_semi").agg(F.expr(f"percentile(margin, {q_max / 100})").alias("delta"))
         return g.join(F.broadcast(one)).select("label", "grp", "q", F.coalesce("delta", F.lit(0.0)).alias("delta"))  # one row
-    # the percentile differs by label: counts per distinct margin give the order statistics without gathering a label's rows
-    from pyspark.sql import Window
+    delta = percentiles(margins, g.select("label", "q"))
+    return g.join(delta, "label", "left").select("label", "grp", "q", F.coalesce("delta", F.lit(0.0)).alias("delta"))
+
 
-    d = margins.groupBy("label", "margin").agg(F.count(F.lit(1)).alias("n")).join(F.broadcast(g.select("label", "q")), "label")
-    w = Window.partitionBy("label")
-    d = d.withColumn("upto", F.sum("n").over(w.orderBy("margin"))).withColumn("total", F.sum("n").over(w)).withColumn("pos", F.col("q") / 100 * (F.col("total") - 1))
+def percentiles(margins: DataFrame, q: DataFrame) -> DataFrame:
+    """(label, delta): for each label the exact q-th percentile of its margins, interpolated. Margins are counted in steps that grow with them, about a thousand to a doubling; only those that share a step with the
+    wanted ranks are put in order, so no task sees all rows of a label."""
+    m = margins.join(F.broadcast(q), "label").select("label", "q", "margin", F.floor(F.log2(1 + F.greatest("margin", F.lit(0.0))) * 1024).cast("long").alias("step"))
+    each = Window.partitionBy("label")
+    steps = m.groupBy("label", "q", "step").agg(F.count(F.lit(1)).alias("n"))
+    steps = steps.withColumn("upto", F.sum("n").over(each.orderBy("step"))).withColumn("pos", F.col("q") / 100 * (F.sum("n").over(each) - 1))
+    held = (F.col("upto") > F.floor("pos")) & (F.col("upto") - F.col("n") <= F.ceil("pos"))
+    near = stash(steps.where(held).select("label", "step", "pos", (F.col("upto") - F.col("n")).alias("before")), "steps")
+    d = m.join(F.broadcast(near), ["label", "step"]).groupBy("label", "step", "margin", "pos", "before").agg(F.count(F.lit(1)).alias("n"))  # two steps a label at most
+    d = d.withColumn("upto", F.col("before") + F.sum("n").over(Window.partitionBy("label", "step").orderBy("margin")))
     at = lambda p: F.min(F.when(F.col("upto") > p, F.col("margin")))
     ends = d.groupBy("label").agg(F.first("pos").alias("pos"), at(F.floor("pos")).alias("lo"), at(F.ceil("pos")).alias("hi"))
-    delta = ends.select("label", (F.col("lo") + (F.col("pos") - F.floor("pos")) * (F.col("hi") - F.col("lo"))).alias("delta"))
-    return g.join(delta, "label", "left").select("label", "grp", "q", F.coalesce("delta", F.lit(0.0)).alias("delta"))
+    return ends.select("label", (F.col("lo") + (F.col("pos") - F.floor("pos")) * (F.col("hi") - F.col("lo"))).alias("delta"))
 
 
 def reexamine(df: DataFrame, limits: DataFrame, k: int = 5, abs_limit: float = 10.0) -> DataFrame:
@@ -110,6 +118,12 @@ class Guard:
         return reexamine(scored, self.limits, self.k, self.abs_limit)
 
 
+def choose(grid: DataFrame) -> tuple[float, float]:
+    """(q_max, abs_limit) of the best macro F1 of a grid that tune() gives; ties to the smaller constants."""
+    r = grid.orderBy(F.desc("macro_f1"), "q_max", "abs_limit").first()
+    return r["q_max"], r["abs_limit"]
+
+
 def tune(valid: DataFrame, limits_by_q: dict[float, DataFrame], abs_limits: list[float], gold_col: str = "gold") -> DataFrame:
     """(q_max, abs_limit, macro_f1) per grid point over stored topk lists: nothing is scored again."""
     from . import metrics

@@ -20,6 +20,11 @@ def read_table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] |
     return df.select(*columns) if columns else df
 
 
+def write_bucketed(df: DataFrame, table: str, by: str, buckets: int, mode: str = "overwrite") -> None:
+    """A table whose files are dealt by a key: joins and sums on it later need no shuffle."""
+    df.write.bucketBy(buckets, by).sortBy(by).mode(mode).saveAsTable(table)
+
+
 def fingerprint(spark: SparkSession, path: str) -> str:
     """Names, sizes and times of the files of a table, from the file system's listing."""
     jvm = spark.sparkContext._jvm

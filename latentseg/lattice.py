@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections import deque
 from collections.abc import Iterator
 
 import numpy as np
@@ -120,29 +121,32 @@ def best_fx(tok: np.ndarray, fx: np.ndarray) -> np.ndarray:
     """Best-split scores [n, labels] in fixed point. fx[v, label]; row -1 (the last) is 'no edge', row -2 the unknown token.
     An edge relaxes all labels at once."""
     n, size, m = tok.shape
-    best = [np.zeros((n, fx.shape[1]), np.int64)]
+    best = deque([np.zeros((n, fx.shape[1]), np.int64)], maxlen=max(m, 1))  # the last m positions are all that is needed
     for e in range(1, size + 1):
         now = np.full((n, fx.shape[1]), NEVER, np.int64)
         for l in range(1, min(m, e) + 1):
             t = tok[:, e - l, l - 1]
-            if (t != -1).any():
-                np.maximum(now, best[e - l] + fx[t], out=now)
+            is_edge = t != -1
+            if is_edge.all():
+                np.maximum(now, best[-l] + fx[t], out=now)
+            elif is_edge.any():
+                now[is_edge] = np.maximum(now[is_edge], best[-l][is_edge] + fx[t[is_edge]])
         best.append(now)
-    return best[size]
+    return best[-1]
 
 
 def marginal(tok: np.ndarray, logp: np.ndarray) -> np.ndarray:
     """Log of the sum over all splits, [n, labels]."""
     n, size, m = tok.shape
-    out = [np.zeros((n, logp.shape[1]))]
+    out = deque([np.zeros((n, logp.shape[1]))], maxlen=max(m, 1))
     for e in range(1, size + 1):
         now = np.full((n, logp.shape[1]), -np.inf)
         for l in range(1, min(m, e) + 1):
             t = tok[:, e - l, l - 1]
             if (t != -1).any():
-                now = np.logaddexp(now, out[e - l] + logp[t])
+                now = np.logaddexp(now, out[-l] + logp[t])
         out.append(now)
-    return out[size]
+    return out[-1]
 
 
 def expected_counts(tok: np.ndarray, weight: np.ndarray, logp: np.ndarray, hard: bool = False) -> tuple[np.ndarray, float]:

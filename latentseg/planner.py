@@ -6,20 +6,18 @@ import re
 
 from pyspark.sql import DataFrame
 
-#: Bytes of a label block's matrix that a worker holds.
-BLOCK_BYTES = 256 << 20
+#: Bytes of a label block's matrix that is broadcast at once, and of all matrices that a worker holds in one pass.
+BLOCK_BYTES, PASS_BYTES = 128 << 20, 1 << 30
 
 
 def block_size(n_tokens: int, n_labels: int, how: str = "best", most: int = BLOCK_BYTES) -> int:
-    return max(1, min(n_labels, most // (8 * (n_tokens + 2))))
+    return max(1, min(n_labels, most // ((4 if how == "best" else 8) * (n_tokens + 2))))
 
 
 def choose_engine(n_labels: int, n_tokens: int, how: str = "best", distinct_share: float | None = None) -> str:
     """map: one scan, no shuffle, a memory of chunks in each task. dictionary pays two shuffles and wins only where a chunk's kernel is dear (many
     labels) and chunks repeat much (a known share of distinct chunks)."""
-    if distinct_share is not None and n_labels * distinct_share < n_labels / 50 and n_labels > 200:
-        return "dictionary"
-    return "map"
+    return "dictionary" if distinct_share is not None and distinct_share < 0.02 and n_labels > 200 else "map"
 
 
 def plan_text(df: DataFrame) -> str:

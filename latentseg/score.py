@@ -2,31 +2,31 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
+from dataclasses import replace
 from typing import TYPE_CHECKING
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import em, lattice, planner
-from .io import spread, stash
+from .io import join_frequent, spread, stash
 from .schemas import TOP
-from .text import pretokenize
 
 if TYPE_CHECKING:
     from .model import SegmentModel
 
-MEMORY = 200_000
+#: Bytes of chunk scores that a worker remembers for a block of labels, and cells of an intermediate sum.
+MEMORY, CELLS = 64 << 20, 1 << 22
+ADDED = ("topk", "log_total")
 _TOP_ARROW = pa.list_(pa.struct([("label", pa.string()), ("score", pa.float64())]))
 
 
-def _cut(chunk: str, most: int) -> list[str]:
-    return [chunk] if len(chunk) <= most else [chunk[i : i + most] for i in range(0, len(chunk), most)]
-
-
 class Kernel:
     """Scores of chunks for a block of labels, remembered up to a bound."""
 
@@ -34,129 +34,194 @@ class Kernel:
         self.ids, self.matrix, self.how = ids, matrix, how
         self.longest = max(map(len, ids), default=1)
         self.row: dict[str, int] = {}
-        self.table = np.empty((0, matrix.shape[1]), matrix.dtype)
+        self.table = np.empty((0, matrix.shape[1]), np.int64 if how == "best" else float)
 
-    def scores(self, chunks: list[str]) -> np.ndarray:
-        if len(self.row) > MEMORY:
-            self.row, self.table = {}, self.table[:0]
-        new = [c for c in dict.fromkeys(chunks) if c not in self.row]
+    def rows(self, chunks: list[str]) -> np.ndarray:
+        """Where the scores of different chunks stand in `table`, until the next call."""
+        if 8 * len(self.row) * self.matrix.shape[1] > MEMORY:
+            self.row = {}
+        new = [c for c in chunks if c not in self.row]
         if new:
-            made = np.zeros((len(new), self.matrix.shape[1]), self.matrix.dtype)
+            at = len(self.row)
+            if at + len(new) > len(self.table):
+                grown = np.empty((max(at + len(new), 2 * at, 1024), self.table.shape[1]), self.table.dtype)
+                grown[:at] = self.table[:at]
+                self.table = grown
             for rows, tok in lattice.tensors(new, self.ids, self.longest):
-                made[rows] = lattice.best_fx(tok, self.matrix) if self.how == "best" else lattice.marginal(tok, self.matrix)
-            at = len(self.table)
+                step = max(1, CELLS // self.matrix.shape[1])
+                for k in range(0, len(rows), step):
+                    part = tok[k : k + step]
+                    self.table[at + rows[k : k + step]] = lattice.best_fx(part, self.matrix) if self.how == "best" else lattice.marginal(part, self.matrix)
             self.row |= {c: at + k for k, c in enumerate(new)}
-            self.table = np.concatenate([self.table, made])
-        return self.table[[self.row[c] for c in chunks]]
-
+        return np.fromiter(map(self.row.__getitem__, chunks), np.int64, len(chunks))
 
-def _top(scores: np.ndarray, labels: np.ndarray, k: int, unit: float) -> list[list[dict]]:
-    """Best k by score, ties by label: labels are in order and the sort is stable."""
-    order = np.argsort(-scores, axis=1, kind="stable")[:, :k]
-    return [[{"label": labels[j], "score": float(scores[i, j]) * unit} for j in row] for i, row in enumerate(order)]
-
-
-def score_labels(df: DataFrame, model: SegmentModel, text_col: str = "text", how: str = "best", topk: int = 5, block: int | None = None, engine: str = "map") -> DataFrame:
-    """Adds topk: array of (label, score) in falling order. Labels are scored in blocks whose matrices fit a worker; a row's blocks are joined by its best entries,
-    so wide label sets cost passes, not memory."""
+    def scores(self, chunks: list[str]) -> np.ndarray:
+        rows = self.rows(list(dict.fromkeys(chunks)))
+        at = dict(zip(dict.fromkeys(chunks), rows.tolist(), strict=True))
+        return self.table[[at[c] for c in chunks]]
+
+    def sums(self, lists: pa.ListArray) -> np.ndarray:
+        """[rows, labels]: the scores of each row's chunks added up."""
+        total = np.zeros((len(lists), self.matrix.shape[1]), self.table.dtype)
+        coded = lists.flatten().dictionary_encode()
+        if not len(coded):
+            return total
+        at = self.rows(coded.dictionary.to_pylist())[coded.indices.to_numpy()]
+        owner = np.repeat(np.arange(len(lists)), np.nan_to_num(pa.compute.list_value_length(lists).to_numpy(zero_copy_only=False)).astype(np.int64))
+        step = max(1, CELLS // total.shape[1])
+        for k in range(0, len(at), step):
+            own = owner[k : k + step]
+            first = np.concatenate([[0], np.flatnonzero(np.diff(own)) + 1])
+            total[own[first]] += np.add.reduceat(self.table[at[k : k + step]], first, axis=0)
+        return total
+
+
+def _top(s: np.ndarray, labels: np.ndarray, k: int) -> tuple[list[list[dict]], np.ndarray]:
+    """Best k by score, ties by label (labels are in order and the sort is stable), and the log of the sum of all exponentials."""
+    order = np.argsort(-s, axis=1, kind="stable")[:, :k]
+    top = s[np.arange(len(s)), order[:, 0]]
+    with np.errstate(invalid="ignore"):
+        total = top + np.log(np.exp(s - top[:, None]).sum(axis=1))
+    return [[{"label": labels[j], "score": float(s[i, j])} for j in row] for i, row in enumerate(order)], total
+
+
+def _log_prior(labels: list[str], prior: dict[str, float] | None) -> np.ndarray:
+    return np.array([math.log(max(prior.get(x, 0.0), 1e-300)) if prior else 0.0 for x in labels])
+
+
+def score_labels(df: DataFrame, model: SegmentModel, text_col: str = "text", how: str = "best", topk: int = 5, block: int | None = None, engine: str = "map", prior: dict[str, float] | None = None) -> DataFrame:
+    """Adds topk, an array of (label, score) in falling order, and log_total, over all labels; a prior is added to the scores before the best are taken. Matrices are broadcast in blocks of labels. A worker
+    holds those of one pass, planner.PASS_BYTES at most; sets of labels that are wider take further passes over stored rows, and a row's passes are joined by its best entries."""
     labels = model.labels()
     if not labels:
         raise ValueError("a model without labels")
-    block = block or planner.block_size(model.vocab.count(), len(labels), how)
+    n = model.vocab.count()
+    block = block or planner.block_size(n, len(labels), how)
     groups = [labels[i : i + block] for i in range(0, len(labels), block)]
-    run = {"map": _map, "dictionary": _dictionary, "native": _native}[engine]
-    out = df.drop("topk")
-    for g, own in enumerate(groups):
-        out = run(out, model, own, text_col, how, topk, f"_top{g}")
-    if len(groups) == 1:
-        return out.withColumnRenamed("_top0", "topk")
-    both = F.concat(*[F.col(f"_top{g}") for g in range(len(groups))])
-    best = F.slice(F.transform(F.array_sort(F.transform(both, lambda x: F.struct((-x["score"]).alias("s"), x["label"].alias("label")))), lambda x: F.struct(x["label"].alias("label"), (-x["s"]).alias("score"))), 1, topk)
-    return out.withColumn("topk", best).drop(*[f"_top{g}" for g in range(len(groups))])
-
-
-def _map(df: DataFrame, model: SegmentModel, labels: list[str], text_col: str, how: str, topk: int, out: str) -> DataFrame:
-    """Engine B: one scan. Chunks are cut by built-in functions, scored in Arrow batches with a memory per task."""
+    base = df.drop(*ADDED)
+    if engine != "map":
+        return {"dictionary": _dictionary, "native": _native}[engine](base, model, groups, text_col, how, topk, prior)
+    many = max(1, planner.PASS_BYTES // ((4 if how == "best" else 8) * (n + 2) * block))
+    passes = [groups[i : i + many] for i in range(0, len(groups), many)]
+    if len(passes) == 1:
+        return _map(base, model, passes[0], text_col, how, topk, prior)
+    out, before = None, "before"
+    while before in base.columns:
+        before += "_"
+    for own in passes:
+        found = _map(base if out is None else out.select("row.*", F.struct("so_far", "total").alias(before)), model, own, text_col, how, topk, prior)
+        kept = F.struct(*[F.col(f"`{c}`") for c in base.columns]).alias("row")
+        if out is None:
+            out = found.select(kept, F.col("topk").alias("so_far"), F.col("log_total").alias("total"))
+        else:
+            both = F.concat(f"{before}.so_far", "topk")
+            big = F.greatest(f"{before}.total", "log_total")
+            out = found.select(kept, _best(both, topk).alias("so_far"), (big + F.log(F.exp(F.col(f"{before}.total") - big) + F.exp(F.col("log_total") - big))).alias("total"))
+        out = stash(out, "pass")
+    return out.select("row.*", F.col("so_far").alias("topk"), F.col("total").alias("log_total"))
+
+
+def _best(entries: Column, k: int) -> Column:
+    ordered = F.array_sort(F.transform(entries, lambda x: F.struct((-x["score"]).alias("s"), x["label"].alias("label"))))
+    return F.slice(F.transform(ordered, lambda x: F.struct(x["label"].alias("label"), (-x["s"]).alias("score"))), 1, k)
+
+
+def _cut(df: DataFrame, model: SegmentModel, text_col: str) -> Column:
+    chunks = model.chunks(F.col(f"`{text_col}`"))
+    return F.filter(chunks, lambda c: c != "") if model.kind == "none" else chunks
+
+
+def _map(df: DataFrame, model: SegmentModel, groups: list[list[str]], text_col: str, how: str, topk: int, prior: dict[str, float] | None) -> DataFrame:
+    """Engine B: one scan. Chunks are cut by built-in functions, scored in Arrow batches with a memory per task; a worker goes through the blocks of labels of a batch."""
     from .model import block_matrix
 
-    sent = df.sparkSession.sparkContext.broadcast(block_matrix(model, labels, how))
-    names, most = np.array(labels, dtype=object), model.max_chunk
-    unit = 1 / em.SCALE if how == "best" else 1.0
-    rest = df.columns
-    work = spread(df.select(*rest, pretokenize(F.col(text_col), model.kind).alias("_chunks")))
+    sc = df.sparkSession.sparkContext
+    sent = [sc.broadcast(block_matrix(model, g, how)) for g in groups]
+    names = np.array([x for g in groups for x in g], dtype=object)
+    unit, add = 1 / em.SCALE if how == "best" else 1.0, _log_prior(list(names), prior)
+    work = spread(df.select(F.struct("*").alias("row"), _cut(df, model, text_col).alias("chunks")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kernel = Kernel(*sent.value, how)
+        kernels = [Kernel(*x.value, how) for x in sent]
+        order = np.argsort(names.astype(str), kind="stable")
         for whole in batches:
-            for at in range(0, max(whole.num_rows, 1), 2000):
-                b = whole.slice(at, 2000)
-                lists = b.column("_chunks").to_pylist()
-                flat = [p for x in lists for c in (x or []) for p in _cut(c, most)]
-                owner = np.repeat(np.arange(len(lists)), [sum(-(-len(c) // most) for c in (x or []) if c) for x in lists])
-                flat = [c for c in flat if c]
-                total = np.zeros((len(lists), len(names)), kernel.matrix.dtype)
-                if flat:
-                    for k in range(0, len(flat), 50_000):
-                        np.add.at(total, owner[k : k + 50_000], kernel.scores(flat[k : k + 50_000]))
-                has = np.bincount(owner, minlength=len(lists)) > 0
-                tops = [t if h else None for t, h in zip(_top(total, names, topk, unit), has, strict=True)]
-                yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(tops, _TOP_ARROW)], names=[*rest, out])
-
-    return work.mapInArrow(run, T.StructType([*df.schema.fields, T.StructField(out, T._parse_datatype_string(TOP))]))
+            step = max(1, CELLS // len(names))
+            for at in range(0, whole.num_rows, step):
+                b = whole.slice(at, step)
+                lists = b.column("chunks")
+                total = np.concatenate([k.sums(lists) for k in kernels], axis=1) * unit + add
+                tops, z = _top(total[:, order], names[order], topk)
+                has = pa.compute.fill_null(pa.compute.greater(pa.compute.list_value_length(lists), 0), False).to_pylist()
+                tops = [t if h else None for t, h in zip(tops, has, strict=True)]
+                yield pa.RecordBatch.from_arrays([b.column("row"), pa.array(tops, _TOP_ARROW), pa.array(z, pa.float64(), mask=~np.array(has, bool))], names=["row", *ADDED])
+
+    out = work.mapInArrow(run, T.StructType([work.schema["row"], T.StructField("topk", T._parse_datatype_string(TOP)), T.StructField("log_total", T.DoubleType())]))
+    return out.select("row.*", *ADDED)
 
 
 def chunk_scores(chunks: DataFrame, model: SegmentModel, labels: list[str], how: str) -> DataFrame:
-    """(chunk, scores array) once per distinct chunk."""
+    """(chunk, scores array, f) once per distinct chunk; f: rows that have it."""
     from .model import block_matrix
 
     sent = chunks.sparkSession.sparkContext.broadcast(block_matrix(model, labels, how))
-    most, kind = model.max_chunk, "long" if how == "best" else "double"
+    kind, value = ("long", pa.int64()) if how == "best" else ("double", pa.float64())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kernel = Kernel(*sent.value, how)
-        for b in batches:
-            values = [kernel.scores(_cut(c, most)).sum(axis=0).tolist() for c in b.column("chunk").to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column("chunk"), pa.array(values, pa.list_(pa.int64() if how == "best" else pa.float64()))], names=["chunk", "scores"])
+        for whole in batches:
+            step = max(1, CELLS // len(labels))
+            for at in range(0, whole.num_rows, step):
+                b = whole.slice(at, step)
+                rows = kernel.rows(b.column("chunk").to_pylist())
+                s = kernel.table[rows]
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(s) + 1) * s.shape[1], pa.int32()), pa.array(s.ravel(), value))
+                yield pa.RecordBatch.from_arrays([b.column("chunk"), lists, b.column("f")], names=["chunk", "scores", "f"])
 
-    return chunks.select("chunk").distinct().mapInArrow(run, f"chunk string, scores array<{kind}>")
+    distinct = chunks.groupBy("chunk").agg(F.count(F.lit(1)).alias("f"))
+    return distinct.mapInArrow(run, f"chunk string, scores array<{kind}>, f long")
 
 
-def _sum_top(parts: DataFrame, labels: list[str], topk: int, how: str, out: str) -> DataFrame:
-    """(_row, top) from rows (_row, n, scores)."""
-    sums = parts.groupBy("_row").agg(*[F.sum(F.col("n") * F.col("scores")[k]).alias(f"s{k}") for k in range(len(labels))])
-    unit = F.lit(1 / em.SCALE if how == "best" else 1.0)
-    entries = F.array(*[F.struct((-F.col(f"s{k}")).alias("s"), F.lit(x).alias("label")) for k, x in enumerate(labels)])
-    return sums.select("_row", F.slice(F.transform(F.array_sort(entries), lambda x: F.struct(x["label"].alias("label"), (x["s"] * -unit).alias("score"))), 1, topk).alias(out))
+def _sum_top(parts: DataFrame, labels: list[str], topk: int, how: str, prior: dict[str, float] | None) -> DataFrame:
+    """(at, topk, log_total) from rows (at, n, scores)."""
+    sums = parts.groupBy("at").agg(*[F.sum(F.col("n") * F.col("scores")[k]).alias(f"s{k}") for k in range(len(labels))])
+    unit = 1 / em.SCALE if how == "best" else 1.0
+    value = [F.col(f"s{k}") * F.lit(unit) + F.lit(float(p)) for k, p in enumerate(_log_prior(labels, prior))]
+    entries = F.array(*[F.struct(F.lit(x).alias("label"), v.alias("score")) for x, v in zip(labels, value, strict=True)])
+    kept = sums.select("at", entries.alias("entries"))
+    top = F.array_max(F.transform("entries", lambda x: x["score"]))
+    return kept.select("at", _best(F.col("entries"), topk).alias("topk"), (top + F.log(F.aggregate("entries", F.lit(0.0), lambda a, x: a + F.exp(x["score"] - top)))).alias("log_total"))
 
 
 def _rows(df: DataFrame, model: SegmentModel, text_col: str) -> tuple[DataFrame, DataFrame]:
-    """Rows with a stable number, written once; and their chunks with counts."""
-    base = stash(df.withColumn("_row", F.monotonically_increasing_id()), "rows")
-    chunks = base.select("_row", F.explode(pretokenize(F.col(text_col), model.kind)).alias("chunk")).where("chunk <> ''").groupBy("_row", "chunk").agg(F.count(F.lit(1)).alias("n"))
-    return base, chunks
+    """(row, at) with a stable number, written once; and (at, chunk, n)."""
+    base = stash(df.select(F.struct("*").alias("row"), F.monotonically_increasing_id().alias("at"), _cut(df, model, text_col).alias("chunks")), "rows")
+    return base.drop("chunks"), base.select("at", F.explode("chunks").alias("chunk")).groupBy("at", "chunk").agg(F.count(F.lit(1)).alias("n"))
 
 
-def _dictionary(df: DataFrame, model: SegmentModel, labels: list[str], text_col: str, how: str, topk: int, out: str) -> DataFrame:
-    """Engine A: every distinct chunk of the input is scored once, then joined back; two shuffles."""
+def _dictionary(df: DataFrame, model: SegmentModel, groups: list[list[str]], text_col: str, how: str, topk: int, prior: dict[str, float] | None) -> DataFrame:
+    """Engine A: every distinct chunk of the input is scored once, then joined back; frequent chunks are broadcast, so no chunk is hot."""
     base, chunks = _rows(df, model, text_col)
-    top = _sum_top(chunks.join(chunk_scores(chunks, model, labels, how), "chunk"), labels, topk, how, out)
-    return base.join(top, "_row", "left").drop("_row")
+    labels = sorted(x for g in groups for x in g)
+    scored = stash(chunk_scores(chunks, model, labels, how), "scored")
+    top = _sum_top(join_frequent(chunks, scored, "chunk"), labels, topk, how, prior)
+    return base.join(top, "at", "left").select("row.*", *ADDED)
 
 
-def _native(df: DataFrame, model: SegmentModel, labels: list[str], text_col: str, how: str, topk: int, out: str) -> DataFrame:
-    """Engine C: the dynamic program as built-in array functions over a broadcast map; for small tables and best splits."""
+def _native(df: DataFrame, model: SegmentModel, groups: list[list[str]], text_col: str, how: str, topk: int, prior: dict[str, float] | None) -> DataFrame:
+    """Engine C: the dynamic program as built-in array functions over a broadcast map; for small models and best splits."""
     if how != "best":
         raise ValueError("the native engine takes best splits")
     from .model import block_matrix
 
+    labels = sorted(x for g in groups for x in g)
     ids, matrix = block_matrix(model, labels, how)
     if len(ids) * len(labels) > 50_000:
         raise ValueError("the native engine is for small models")
     spark, longest = df.sparkSession, max(map(len, ids), default=1)
     table = spark.createDataFrame([({t: matrix[i].tolist() for t, i in ids.items()},)], "m map<string,array<bigint>>")
-    unknown = F.array(*[F.lit(int(x)) for x in matrix[-2]])
+    unknown = F.array(*[F.lit(int(x)).cast("long") for x in matrix[-2]])
     base, chunks = _rows(df, model, text_col)
-    distinct = chunks.select("chunk").distinct().join(F.broadcast(table))  # the table is one row
+    distinct = chunks.groupBy("chunk").agg(F.count(F.lit(1)).alias("f")).join(F.broadcast(table))  # the table is one row
     never = F.array(*[F.lit(lattice.NEVER) for _ in labels])
     zero = F.array(F.array(*[F.lit(0).cast("long") for _ in labels]))
 
@@ -166,15 +231,18 @@ def _native(df: DataFrame, model: SegmentModel, labels: list[str], text_col: str
 
     def step(acc: Column, e: Column) -> Column:
         reach = F.sequence(F.lit(1), F.least(F.lit(longest), e))
-        into = F.filter(F.transform(reach, lambda l: F.zip_with(F.element_at(acc, e - l + 1), value(e - l + 1, l), lambda a, b: a + b)), lambda x: x.isNotNull())
-        return F.concat(acc, F.array(F.aggregate(into, never, lambda a, b: F.zip_with(a, b, lambda x, y: F.greatest(x, y)))))
+        into = F.filter(F.transform(reach, lambda l: F.zip_with(F.element_at(acc, -l), value(e - l + 1, l), lambda a, b: a + b)), lambda x: x.isNotNull())
+        now = F.array(F.aggregate(into, never, lambda a, b: F.zip_with(a, b, lambda x, y: F.greatest(x, y))))
+        return F.concat(F.slice(acc, -F.least(F.lit(longest), F.size(acc)), longest), now)
+
+    scored = distinct.select("chunk", F.element_at(F.aggregate(F.sequence(F.lit(1), F.length("chunk")), zero, step), -1).alias("scores"), "f")
+    top = _sum_top(join_frequent(chunks, stash(scored, "scored"), "chunk"), labels, topk, how, prior)
+    return base.join(top, "at", "left").select("row.*", *ADDED)
+
 
-    cut = model.max_chunk
-    short = distinct.where(F.length("chunk") <= cut)
-    scored = short.select("chunk", F.element_at(F.aggregate(F.sequence(F.lit(1), F.length("chunk")), zero, step), -1).alias("scores"))
-    rest = chunk_scores(distinct.where(F.length("chunk") > cut).select("chunk"), model, labels, how)
-    top = _sum_top(chunks.join(scored.unionByName(rest), "chunk"), labels, topk, how, out)
-    return base.join(top, "_row", "left").drop("_row")
+def whole_chunks(model: SegmentModel) -> SegmentModel:
+    """The model for texts that are chunks already: they are not cut again."""
+    return replace(model, kind="none", prefix_space=False, unit="codepoint")
 
 
 def sequence_logp(tokens: DataFrame, theta: DataFrame, stats: DataFrame, vocab: DataFrame) -> DataFrame:
@@ -215,18 +283,17 @@ def segment(df: DataFrame, model: SegmentModel, text_col: str = "text", labels:
 
     labels = labels or model.labels()
     sent = df.sparkSession.sparkContext.broadcast(block_matrix(model, labels, "best"))
-    most, rest = model.max_chunk, [c for c in df.columns if c not in ("label", "tokens", "score_fx")]
-    work = df.select(*rest, pretokenize(F.col(text_col), model.kind).alias("_chunks"))
+    work = df.drop("label", "tokens", "score_fx").select(F.struct("*").alias("row"), _cut(df, model, text_col).alias("chunks"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, matrix = sent.value
         longest = max(map(len, ids), default=1)
         for b in batches:
             take, names, tokens, scores = [], [], [], []
-            for i, chunks in enumerate(b.column("_chunks").to_pylist()):
+            for i, chunks in enumerate(b.column("chunks").to_pylist()):
                 for k, label in enumerate(labels):
                     said, total = [], 0
-                    for c in (p for x in chunks or [] for p in _cut(x, most)):
+                    for c in chunks or []:
                         t, s = lattice.segment_one(c, ids, longest, matrix[:, k])
                         said += t
                         total += s
@@ -234,9 +301,7 @@ def segment(df: DataFrame, model: SegmentModel, text_col: str = "text", labels:
                     names.append(label)
                     tokens.append(said)
                     scores.append(total)
-            base = pa.Table.from_batches([b.select(rest)]).take(pa.array(take, pa.int64())).combine_chunks()
-            cols = [base.column(c).combine_chunks() if isinstance(base.column(c), pa.ChunkedArray) else base.column(c) for c in rest]
-            cols = [c.chunk(0) if isinstance(c, pa.ChunkedArray) else c for c in cols]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(names, pa.string()), pa.array(tokens, pa.list_(pa.string())), pa.array(scores, pa.int64())], names=[*rest, "label", "tokens", "score_fx"])
+            yield pa.RecordBatch.from_arrays([b.column("row").take(pa.array(take, pa.int64())), pa.array(names, pa.string()), pa.array(tokens, pa.list_(pa.string())), pa.array(scores, pa.int64())], names=["row", "label", "tokens", "score_fx"])
 
-    return work.mapInArrow(run, T.StructType([*[df.schema[c] for c in rest], *T._parse_datatype_string("label string, tokens array<string>, score_fx long").fields]))
+    out = work.mapInArrow(run, T.StructType([work.schema["row"], *T._parse_datatype_string("label string, tokens array<string>, score_fx long").fields]))
+    return out.select("row.*", "label", "tokens", "score_fx")

@@ -14,21 +14,24 @@ from pyspark.sql import functions as F
 from . import em, lattice
 from .model import SegmentModel, block_matrix
 from .schemas import TOP
-from .score import Kernel, _cut
+from .score import Kernel
 
 
 class Scorer:
     """Scores single texts in a worker; the pattern is that of the built-in pre-tokeniser."""
 
-    def __init__(self, parts: tuple, labels: list[str], most: int) -> None:
+    def __init__(self, parts: tuple, labels: list[str], kind: str, prefix_space: bool, unit: str) -> None:
         import regex
 
-        self.kernel, self.labels, self.most = Kernel(*parts, "best"), labels, most
+        self.kernel, self.labels, self.kind, self.prefix_space, self.unit = Kernel(*parts, "best"), labels, kind, prefix_space, unit
         # built-in patterns know ASCII white space only
-        self.pattern = regex.compile(r" ?\p{L}+| ?[^ \t\n\x0b\f\r\p{L}]+|[ \t\n\x0b\f\r]+")
+        self.pattern = regex.compile(r" ?\p{L}+| ?[^ \t\n\x0b\f\r\p{L}]+|[ \t\n\x0b\f\r]+" if kind == "regex" else r" ?[^ \t\n\x0b\f\r]+|[ \t\n\x0b\f\r]+")
 
     def chunks(self, text: str) -> list[str]:
-        return [p for c in self.pattern.findall(text) for p in _cut(c, self.most)]
+        if self.prefix_space and text and not text.startswith(" "):
+            text = f" {text}"
+        found = [text] if self.kind == "none" else self.pattern.findall(text)
+        return [c.encode().decode("latin-1") for c in found] if self.unit == "byte" else found
 
     def scores(self, text: str | None) -> np.ndarray | None:
         if not text:
@@ -43,12 +46,12 @@ class Scorer:
 def register(spark: SparkSession, model: SegmentModel) -> None:
     """Registers the functions for a session. Nulls and empty texts give nulls."""
     labels = model.labels()
-    sent, most = spark.sparkContext.broadcast(block_matrix(model, labels, "best")), model.max_chunk
+    sent, how = spark.sparkContext.broadcast(block_matrix(model, labels, "best")), (model.kind, model.prefix_space, model.unit)
     held: dict[str, Scorer] = {}
 
     def scorer() -> Scorer:
         if "s" not in held:
-            held["s"] = Scorer(sent.value, labels, most)
+            held["s"] = Scorer(sent.value, labels, *how)
         return held["s"]
 
     @F.pandas_udf("string")
@@ -101,7 +104,7 @@ def register(spark: SparkSession, model: SegmentModel) -> None:
     @F.udtf(returnType="label string, score double, rank int")
     class LabelScores:
         def __init__(self) -> None:
-            self.s = Scorer(sent.value, labels, most)
+            self.s = Scorer(sent.value, labels, *how)
 
         def eval(self, text: str) -> Iterator[tuple]:
             for k, (a, b) in enumerate(self.s.ranked(text) or []):
@@ -110,7 +113,7 @@ def register(spark: SparkSession, model: SegmentModel) -> None:
     @F.udtf(returnType="chunk string, place int")
     class Chunks:
         def __init__(self) -> None:
-            self.s = Scorer(sent.value, labels, most)
+            self.s = Scorer(sent.value, labels, *how)
 
         def eval(self, text: str) -> Iterator[tuple]:
             for k, c in enumerate(self.s.chunks(text or "")):

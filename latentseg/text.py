@@ -43,14 +43,12 @@ def lines(docs: DataFrame, label_col: str = "lang", text_col: str = "text") -> D
 
 
 def pretokenize(text: Column, kind: str = "regex", prefix_space: bool = False, unit: str = "codepoint") -> Column:
-    """Array of chunks that no token crosses: none (the whole text), space, or regex. unit byte maps every byte to one character."""
+    """Array of chunks that no token crosses: none (the whole text), space, or regex. prefix_space: a text begins with a space. unit byte: chunks are found in the text, then each of
+    their UTF-8 bytes becomes one character."""
     if prefix_space:
-        text = F.when(text.startswith(" "), text).otherwise(F.concat(F.lit(" "), text))
-    if unit == "byte":
-        text = F.decode(F.encode(text, "UTF-8"), "ISO-8859-1")
-    if kind == "none":
-        return F.array(text)
-    return F.regexp_extract_all(text, F.lit(CHUNK if kind == "regex" else r" ?\S+|\s+"), 0)
+        text = F.when(text.startswith(" ") | (text == ""), text).otherwise(F.concat(F.lit(" "), text))
+    chunks = F.array(text) if kind == "none" else F.regexp_extract_all(text, F.lit(CHUNK if kind == "regex" else r" ?\S+|\s+"), 0)
+    return F.transform(chunks, lambda c: F.decode(F.encode(c, "UTF-8"), "ISO-8859-1")) if unit == "byte" else chunks
 
 
 def units(text: Column, mode: str = "codepoint") -> Column:
@@ -58,15 +56,14 @@ def units(text: Column, mode: str = "codepoint") -> Column:
     return F.split(text, "") if mode == "codepoint" else F.regexp_extract_all(F.hex(F.encode(text, "UTF-8")), F.lit(".."), 0)
 
 
-def detokenize(tokens: Column) -> Column:
-    return F.array_join(tokens, "")
+def detokenize(tokens: Column, unit: str = "codepoint") -> Column:
+    joined = F.array_join(tokens, "")
+    return F.decode(F.encode(joined, "ISO-8859-1"), "UTF-8") if unit == "byte" else joined
 
 
-def chunk_counts(df: DataFrame, label_col: str = "label", text_col: str = "text", kind: str = "regex", max_chunk: int = 64) -> DataFrame:
-    """(label, chunk, n): equal chunks are added up before anything is computed on them. A longer chunk is cut at max_chunk characters."""
-    pieces = df.select(F.col(label_col).alias("label"), F.explode(pretokenize(F.col(text_col), kind)).alias("c"))
-    cut = F.transform(F.sequence(F.lit(0), F.floor((F.length("c") - 1) / max_chunk).cast("int")), lambda i: F.substring(F.col("c"), i * max_chunk + 1, F.lit(max_chunk)))
-    pieces = pieces.where("c <> ''").select("label", F.explode(F.when(F.length("c") <= max_chunk, F.array("c")).otherwise(cut)).alias("chunk"))
+def chunk_counts(df: DataFrame, label_col: str = "label", text_col: str = "text", kind: str = "regex", prefix_space: bool = False, unit: str = "codepoint") -> DataFrame:
+    """(label, chunk, n): equal chunks are added up before anything is computed on them. Chunks are whole, however long."""
+    pieces = df.select(F.col(label_col).alias("label"), F.explode(pretokenize(F.col(text_col), kind, prefix_space, unit)).alias("chunk")).where("chunk <> ''")
     return pieces.groupBy("label", "chunk").agg(F.count(F.lit(1)).alias("n"))
 
 

@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+import base64
+import json
+from collections.abc import Iterator
+
 import numpy as np
-import pandas as pd
-from pyspark.sql import DataFrame, SparkSession, Window
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import em, lattice
-from .io import stash
+from .io import spread, stash
 from .text import hash8
 
 
@@ -41,13 +45,67 @@ def seed(chunks: DataFrame, size: int, max_len: int = 16, min_count: int = 2) ->
     return number(chars.unionByName(top))
 
 
-def load(spark: SparkSession, path: str, fmt: str = "csv", base: DataFrame | None = None) -> DataFrame:
-    """A borrowed vocabulary: text or csv with one token a line, or json with a field token. Characters of `base` (token) that it lacks are added."""
-    raw = spark.read.text(path).select(F.col("value").alias("token")) if fmt in ("csv", "text") else spark.read.json(path).select("token")
-    t = raw.where("token is not null and token <> ''")
+#: Largest tokenizer file that is parsed, on the driver.
+MOST_BYTES = 256 << 20
+
+
+def load(spark: SparkSession, path: str, fmt: str = "text", base: DataFrame | None = None, unit: str = "codepoint") -> DataFrame:
+    """A borrowed vocabulary. fmt: text or csv (a token a line), tsv (token and anything behind a tab), json (lines with a field token), tokenizer (a tokenizer's JSON: a model with a
+    map or a list of tokens), or ranks (base64 tokens with ranks). With unit byte, tokens of the last two are bytes, one character each. Characters of `base` (token) that it lacks are added,
+    so that every text has a split; coverage() says how many there were."""
+    if fmt in ("tokenizer", "ranks"):
+        size = spark.read.format("binaryFile").load(path).select("length").first()[0]
+        if size > MOST_BYTES:
+            raise ValueError(f"{path} has {size} bytes; {MOST_BYTES} are read")
+        raw = bytes(spark.read.format("binaryFile").load(path).select("content").first()[0])
+        tokens = _of_tokenizer(raw, unit) if fmt == "tokenizer" else _of_ranks(raw, unit)
+        t = spark.createDataFrame([(x,) for x in tokens], "token string").where("token <> ''")
+    elif fmt == "json":
+        t = spark.read.json(path).select("token").where("token is not null and token <> ''")
+    else:
+        t = spark.read.text(path).select((F.split("value", "\t")[0] if fmt == "tsv" else F.col("value")).alias("token")).where("token <> ''")
     return number(t.unionByName(base.select("token")) if base is not None else t)
 
 
+def byte_letters() -> dict[str, int]:
+    """The printable stand-ins of bytes in byte-level tokenizers: printable Latin-1 characters stand for themselves, the others for 256, 257, ..."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in plain]
+    return {chr(b): b for b in plain} | {chr(256 + k): b for k, b in enumerate(rest)}
+
+
+def _of_tokenizer(raw: bytes, unit: str) -> list[str]:
+    model = json.loads(raw)["model"]
+    tokens = list(model["vocab"]) if isinstance(model["vocab"], dict) else [x[0] for x in model["vocab"]]
+    letters = byte_letters()
+    if not all(c in letters for t in tokens[:1000] for c in t):  # not byte-level: tokens are text, with a mark for a space
+        plain = [t.replace("\u2581", " ") for t in tokens]
+        return [t.encode().decode("latin-1") for t in plain] if unit == "byte" else plain
+    return _texts([bytes(letters[c] for c in t) for t in tokens if all(c in letters for c in t)], unit)
+
+
+def _of_ranks(raw: bytes, unit: str) -> list[str]:
+    return _texts([base64.b64decode(x.split()[0]) for x in raw.splitlines() if x], unit)
+
+
+def _texts(tokens: list[bytes], unit: str) -> list[str]:
+    """Tokens as characters: one a byte, or as the text they spell, without those that are parts of a character."""
+    if unit == "byte":
+        return [t.decode("latin-1") for t in tokens]
+    out = []
+    for t in tokens:
+        try:
+            out.append(t.decode())
+        except UnicodeDecodeError:
+            continue
+    return out
+
+
+def byte_alphabet(spark: SparkSession) -> DataFrame:
+    """(token): the 256 characters that stand for bytes."""
+    return spark.createDataFrame([(chr(b),) for b in range(256)], "token string")
+
+
 def coverage(chunks: DataFrame, vocab: DataFrame) -> DataFrame:
     """One row: characters, and how many of them are tokens."""
     c = substrings(chunks, 1).join(vocab.select("token", F.lit(1).alias("known")), "token", "left")
@@ -61,73 +119,111 @@ def sample_per_label(df: DataFrame, n: int = 1000, label_col: str = "label", tex
 
 
 def prune_loss(chunks: DataFrame, vocab: DataFrame, mode: str = "resplit", rounds: int = 2) -> DataFrame:
-    """(token_id, token, loss): what the corpus log-likelihood falls by if a token goes. exact computes it anew without each token; resplit takes the
-    expected count times the gap between the token's own log-probability and that of its best other split."""
-    pooled = chunks.groupBy("chunk").agg(F.sum("n").alias("n")).select(F.lit("all").alias("label"), "chunk", "n")
+    """(token_id, token, loss): what the corpus log-likelihood falls by, at the present estimate, if a token goes. exact takes the sum over all splits of every chunk that has the token, with and without
+    it; resplit takes the token's expected count times the gap between its log-probability and that of its best other split. Characters are not listed: they stay. A token
+    that nothing else spells has an infinite loss."""
+    pooled = stash(chunks.groupBy("chunk").agg(F.sum("n").alias("n")).select(F.lit("all").alias("label"), "chunk", "n"), "pooled")
     fitted = em.fit(pooled, vocab, rounds=rounds)
     ids = lattice.collect_vocab(vocab)
+    longest = max(map(len, ids))
     logp = np.full(len(ids) + 2, -np.inf)
-    logp[-2] = -40.0
-    counts: dict[int, float] = {}
-    for r in fitted.theta.select("token_id", "logp", "c").collect():  # a vocabulary's worth of rows
+    counts = np.zeros(len(ids))
+    for r in fitted.theta.where("c > 0").select("token_id", "logp", "c").collect():  # a vocabulary's worth of rows
         logp[r[0]], counts[r[0]] = r[1], r[2]
-    names = {i: t for t, i in ids.items()}
-    longest = max(map(len, ids))
-    rows = []
-    if mode == "resplit":
-        for i, t in names.items():
-            if len(t) > 1 and counts.get(i, 0) > 0:
-                (_, tok), = lattice.tensors([t], ids, longest)
+    sent = chunks.sparkSession.sparkContext.broadcast((ids, logp, counts))
+
+    def resplit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table, value, c = sent.value
+        for b in batches:
+            tokens = b.column("token").to_pylist()
+            gap = np.zeros(len(tokens))
+            for rows, tok in lattice.tensors(tokens, table, longest):
+                own = np.array([table[tokens[k]] for k in rows])
                 tok = tok.copy()
-                tok[0, 0, len(t) - 1] = -1
-                other = lattice.marginal(tok, logp[:, None])[0, 0]
-                rows.append((i, t, float(counts[i] * (logp[i] - other))))
-    else:
-        base = [(r[0], r[1]) for r in pooled.select("chunk", "n").limit(100_001).collect()]
-        if len(base) > 100_000:
-            raise ValueError("exact losses are for small vocabularies and at most 100,000 chunks")
-        weight = np.array([n for _, n in base], float)
-        parts = list(lattice.tensors([c for c, _ in base], ids, longest))
-        whole = sum(float((lattice.marginal(tok, logp[:, None])[:, 0] * weight[rows_]).sum()) for rows_, tok in parts)
-        for i, t in names.items():
-            if len(t) > 1:
-                less = sum(float((lattice.marginal(np.where(tok == i, -1, tok), logp[:, None])[:, 0] * weight[rows_]).sum()) for rows_, tok in parts)
-                rows.append((i, t, whole - less))
-    return vocab.sparkSession.createDataFrame(rows, "token_id int, token string, loss double")
-
-
-def learn(chunks: DataFrame, size: int = 100_000, max_len: int = 16, keep: float = 0.75, em_rounds: int = 2, seed_factor: int = 4) -> DataFrame:
-    """Alternates fitting and pruning from the seed down to `size` tokens; characters always stay."""
-    vocab = stash(seed(chunks, size * seed_factor, max_len), "vocab")
+                tok[:, 0, tok.shape[1] - 1] = -1
+                other = _best(tok, value)
+                with np.errstate(invalid="ignore"):
+                    gap[rows] = np.where(c[own] > 0, c[own] * (value[own] - other), 0.0)
+            yield pa.RecordBatch.from_arrays([b.column("token_id"), b.column("token"), pa.array(gap)], names=["token_id", "token", "loss"])
+
+    def exact(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table, value, _ = sent.value
+        for b in batches:
+            loss: dict[int, float] = {}
+            texts, weight = b.column("chunk").to_pylist(), b.column("n").to_numpy()
+            for rows, tok in lattice.tensors(texts, table, longest):
+                whole = lattice.marginal(tok, value[:, None])[:, 0]
+                for t in np.unique(tok[tok >= 0]):
+                    has = (tok == t).any(axis=(1, 2))
+                    part = tok[has]
+                    less = lattice.marginal(np.where(part == t, -1, part), value[:, None])[:, 0]
+                    loss[int(t)] = loss.get(int(t), 0.0) + float(((whole[has] - less) * weight[rows[has]]).sum())
+            yield pa.RecordBatch.from_arrays([pa.array(list(loss), pa.int32()), pa.array(list(loss.values()), pa.float64())], names=["token_id", "loss"])
+
+    long = vocab.where("not is_base")
+    if mode == "resplit":
+        return spread(long.select("token_id", "token")).mapInArrow(resplit, "token_id int, token string, loss double")
+    part = spread(pooled.select("chunk", F.col("n").cast("double").alias("n"))).mapInArrow(exact, "token_id int, loss double")
+    return long.select("token_id", "token").join(part.groupBy("token_id").agg(F.sum("loss").alias("loss")), "token_id", "left").na.fill({"loss": 0.0})
+
+
+def _best(tok: np.ndarray, value: np.ndarray) -> np.ndarray:
+    """Log-probability of the best split of each lattice; minus infinity where there is none."""
+    n, size, m = tok.shape
+    best = [np.zeros(n)]
+    for e in range(1, size + 1):
+        now = np.full(n, -np.inf)
+        for l in range(1, min(m, e) + 1):
+            t = tok[:, e - l, l - 1]
+            now = np.maximum(now, np.where(t >= 0, best[e - l] + value[np.maximum(t, 0)], -np.inf))
+        best.append(now)
+    return best[size]
+
+
+def learn(chunks: DataFrame, size: int = 100_000, max_len: int = 16, keep: float = 0.75, em_rounds: int = 2, seed_factor: int = 4, start: DataFrame | None = None) -> DataFrame:
+    """Alternates fitting and pruning from the seed, or from a vocabulary to start with, down to `size` tokens; characters always stay."""
+    vocab = start if start is not None else stash(seed(chunks, size * seed_factor, max_len), "vocab")
     while True:
         n, base = vocab.agg(F.count(F.lit(1)), F.count_if("is_base")).first()
         if n <= size or n == base:
             return vocab
-        want = max(size, int(n * keep), base)
+        want = max(size, min(n - 1, int(n * keep)), base)
         loss = prune_loss(chunks, vocab, "resplit", em_rounds)
         ranked = vocab.join(loss.select("token_id", "loss"), "token_id", "left").orderBy(F.desc("is_base"), F.desc(F.coalesce("loss", F.lit(-1.0))), "token").limit(want)
         vocab = stash(number(ranked), "vocab")
 
 
-def learn_merges(chunks: DataFrame, n_merges: int = 100, per_round: int = 20) -> tuple[DataFrame, list[tuple[str, str]]]:
-    """A merge-list vocabulary: in each round the most frequent adjacent pairs (no two sharing a symbol, so they cannot interfere) are joined
-    in all distinct chunks. Returns the vocabulary and the merges in order."""
-    words = stash(chunks.groupBy("chunk").agg(F.sum("n").alias("n")).withColumn("syms", F.split("chunk", "")), "words")
+def learn_merges(chunks: DataFrame, n_merges: int = 100, per_round: int = 50) -> tuple[DataFrame, list[tuple[str, str]]]:
+    """A merge-list vocabulary: the most frequent adjacent pair is joined in all distinct chunks, ties by name, again and again. A round makes as many merges as are certain to come next in that order: those
+    at the head of the list that share no symbol and are more frequent than any pair that the merges before them can make, which no triple through the merged pair allows to be more frequent
+    than itself. Returns the vocabulary and the merges in order."""
+    words = stash(chunks.groupBy("chunk").agg(F.sum("n").alias("n")).withColumn("syms", F.regexp_extract_all("chunk", F.lit("(?s)."), 0)), "words")
     symbols = words.select(F.explode("syms").alias("token")).distinct()
+    spark = chunks.sparkSession
     merges: list[tuple[str, str]] = []
     while len(merges) < n_merges:
-        top = pair_counts(words).orderBy(F.desc("c"), "a", "b").limit(4 * per_round).collect()
+        top = pair_counts(words).orderBy(F.desc("c"), "a", "b").limit(per_round + 1).collect()
         used: set[str] = set()
-        batch = []
-        for r in top:
-            if r["c"] > 1 and not {r["a"], r["b"]} & used and len(merges) + len(batch) < n_merges and len(batch) < per_round:
-                batch.append((r["a"], r["b"]))
-                used |= {r["a"], r["b"], r["a"] + r["b"]}
+        batch: list[tuple[str, str, int]] = []
+        for r in top[:per_round]:
+            fresh = {r["a"], r["b"], r["a"] + r["b"]}
+            if r["c"] <= 1 or fresh & used or len(merges) + len(batch) >= n_merges:
+                break
+            batch.append((r["a"], r["b"], r["c"]))
+            used |= fresh
         if not batch:
             break
-        merges += batch
-        words = stash(words.withColumn("syms", _merged(batch)(F.col("syms"))), "words")
-    spark = chunks.sparkSession
+        if len(batch) > 1:
+            made = _made(words, spark.createDataFrame(batch, "a string, b string, c long"))
+            bound, sure = 0, []
+            for a, b, c in batch:
+                if sure and c <= bound:
+                    break
+                sure.append((a, b, c))
+                bound = max(bound, made.get((a, b), 0))
+            batch = sure
+        merges += [(a, b) for a, b, _ in batch]
+        words = stash(words.select("chunk", "n", _merged([(a, b) for a, b, _ in batch])(F.col("syms")).alias("syms")), "words")
     made = spark.createDataFrame([(a + b,) for a, b in merges], "token string") if merges else symbols.limit(0)
     return number(symbols.unionByName(made)), merges
 
@@ -138,20 +234,26 @@ def pair_counts(words: DataFrame) -> DataFrame:
     return p.groupBy("p.a", "p.b").agg(F.sum("n").alias("c"))
 
 
+def _made(words: DataFrame, pairs: DataFrame) -> dict[tuple[str, str], int]:
+    """For each pair, the count of its most frequent neighbour on either side: no pair that its merge makes is more frequent."""
+    at = F.expr("transform(sequence(1, size(syms) - 1), i -> struct(element_at(syms, i) as a, element_at(syms, i + 1) as b, get(syms, i - 2) as x, get(syms, i + 1) as y))")
+    near = words.where("size(syms) > 2").select("n", F.explode(at).alias("p")).select("n", "p.*").join(F.broadcast(pairs.select("a", "b")), ["a", "b"])  # some dozen pairs
+    sides = near.select("a", "b", "n", F.explode(F.array(F.struct(F.lit("x").alias("side"), F.col("x").alias("s")), F.struct(F.lit("y").alias("side"), F.col("y").alias("s")))).alias("o")).where("o.s is not null")
+    most = sides.groupBy("a", "b", "o.side", "o.s").agg(F.sum("n").alias("m")).groupBy("a", "b").agg(F.max("m").alias("m"))
+    return {(r["a"], r["b"]): r["m"] for r in most.collect()}
+
+
 def _merged(batch: list[tuple[str, str]]):
-    pairs = set(batch)
-
-    @F.pandas_udf("array<string>")
-    def apply(col: pd.Series) -> pd.Series:
-        def one(s) -> list[str]:
-            out: list[str] = []
-            for x in s:
-                if out and (out[-1], x) in pairs:
-                    out[-1] += x
-                else:
-                    out.append(x)
-            return out
-
-        return col.map(one)
+    """Joins the pairs of a batch from left to right, by built-in functions."""
+
+    def apply(syms: Column) -> Column:
+        def step(acc: Column, x: Column) -> Column:
+            last = F.get(acc, F.size(acc) - 1)
+            joins = F.lit(False)
+            for a, b in batch:
+                joins = joins | ((last == a) & (x == b))
+            return F.when((F.size(acc) > 0) & F.coalesce(joins, F.lit(False)), F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(F.concat(last, x)))).otherwise(F.concat(acc, F.array(x)))
+
+        return F.aggregate(syms, F.array().cast("array<string>"), step)
 
     return apply

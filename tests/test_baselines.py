@@ -1,9 +1,17 @@
+import numpy as np
 from latentseg import metrics, workloads
-from latentseg.baselines import linear
+from latentseg.baselines import avg_embedding, linear
 from latentseg.baselines.avg_embedding import AvgEmbedding
 from latentseg.baselines.fixed_seg_nb import FixedSegNB
 from latentseg.baselines.ngram_lm import NgramLM
 from latentseg.bigram import TokenBigram
+from pyspark.sql import functions as F
+
+
+def test_character_grams_are_grams(spark):
+    got = spark.createDataFrame([("abC",), ("",)], "t string").select(linear.char_grams(F.col("t"), 1, 3).alias("g")).collect()
+    assert got[0]["g"] == [" ", "a", "b", "c", " ", " a", "ab", "bc", "c ", " ab", "abc", "bc "]
+    assert got[1]["g"] == [" ", " ", "  ", "  "]
 
 
 def test_all_beat_chance(spark, sf):
@@ -12,6 +20,39 @@ def test_all_beat_chance(spark, sf):
     acc = lambda p: metrics.macro(metrics.evaluate(p)).first()["accuracy"]
     assert acc(NgramLM.fit(tr).transform(te, "row_id")) > 0.8
     assert acc(FixedSegNB.fit(tr, v, rounds=2).transform(te, "row_id")) > 0.8
-    assert acc(AvgEmbedding.fit(tr, epochs=5).transform(te)) > 0.5
-    assert acc(linear.tfidf_linear(tr, iters=8).transform(te)) > 0.6
+    assert acc(AvgEmbedding.fit(tr).transform(te)) > 0.8
+    assert acc(linear.tfidf_linear(tr, iters=8).transform(te)) > 0.8
+    assert acc(linear.svm_family(tr, iters=8).transform(te)) > 0.8
+    assert acc(linear.shallow_ffn(tr, iters=30).transform(te)) > 0.5
     assert acc(TokenBigram.fit(tr, workloads.fit(tr, v, 2)).transform(te, "row_id")) > 0.8
+
+
+def test_embedding_gradient_is_that_of_the_loss():
+    rng = np.random.default_rng(0)
+    texts, gold = ["abc", "xyz b"], np.array([0, 1])
+    f, size = avg_embedding.features(texts, 1, 2, 32)
+    x, y = rng.normal(size=(32, 4)), rng.normal(size=(2, 4))
+
+    def loss(x, y):
+        s = avg_embedding.means(x, f, size) @ y.T
+        return float((np.log(np.exp(s).sum(axis=1)) - s[np.arange(2), gold]).sum())
+
+    a, b = x.copy(), y.copy()
+    avg_embedding.train(texts, gold, a, b, 1, 2, [1e-6])
+    for old, new, k in ((x, a, 0), (y, b, 1)):
+        for _ in range(6):
+            at = tuple(rng.integers(n) for n in old.shape)
+            up, down = old.copy(), old.copy()
+            up[at] += 1e-5
+            down[at] -= 1e-5
+            slope = (loss(up, y) - loss(down, y)) / 2e-5 if k == 0 else (loss(x, up) - loss(x, down)) / 2e-5
+            assert abs((old[at] - new[at]) / 1e-6 - slope) < 1e-4
+    assert size.tolist() == [5 + 4, 7 + 6]
+
+
+def test_runs_at_once_equal_one_by_one(spark, sf):
+    tr, te = workloads.train_test(spark, sf, 20, 10, 20)
+    both = tr.withColumn("j", F.lit(1)).unionByName(tr.withColumn("j", F.lit(2)))
+    out = avg_embedding.fit_runs(both.select("j", "label", "text"), te, ["j"], epochs=20)
+    got = {r["j"]: (r["a"], r["n"]) for r in out.groupBy("j").agg(metrics.right().alias("a"), F.count(F.lit(1)).alias("n")).collect()}
+    assert got[1] == got[2] and got[1][1] == te.count() and got[1][0] > 0.5

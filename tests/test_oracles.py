@@ -15,7 +15,12 @@ def con(sf):
     return c
 
 
-@pytest.mark.parametrize("name", ["lines", "snippets", "chunk_frequencies", "vocab_base_topk", "path_counts", "em_round2_theta", "best_score_words", "thresholds", "predict_guarded", "ngram_lm_addk", "macro_metrics", "composition_cube", "events_sessions"])
+@pytest.mark.parametrize("name", [
+    "lines", "snippets", "chunk_frequencies", "bytes_with_prefix_space", "vocab_base_topk", "vocab_seed", "path_counts", "segmentations", "em_round1_expected", "em_round2_theta", "corpus_loglik_r2", "model_theta", "unseen_tokens",
+    "init_by_frequency", "best_score_chunks", "marginal_chunks", "segmentation_chunks", "predict_documents", "posterior_documents", "margin_documents", "prior_snippets", "label_subset_predict", "marginal_predict", "high_entropy_group",
+    "predict_capped", "thresholds", "thresholds_shared", "predict_guarded", "predict_guarded_documents", "ngram_lm_addk", "ngram_lm_interp", "ngram_lm_backoff", "ngram_margins", "fixed_seg_nb", "accuracy_by_corruption", "macro_metrics",
+    "composition_cube", "events_sessions", "events_shuffle_hash", "sketch_distinct", "sketch_top_sources", "sketch_percentiles",
+])
 def test_equal(spark, sf, con, name):
     df = queries.queries()[name](spark, sf)
     cols = sorted(df.columns)

@@ -42,7 +42,7 @@ def test_other_classes_see_whole_documents(spark, sf, seen):
 
 def test_label_noise_takes_whole_pages_and_a_fixed_sample(spark, sf, seen):
     workloads.RUNS["w24_label_noise"](spark, sf)
-    clean, noisy = seen["fit"]
+    (noisy,), clean = seen["fit"], workloads.train_test(spark, sf)[0]
     added = noisy.exceptAll(clean.select("row_id", "label", "text"))
     pages = read_table(spark, sf, "pages").select(text.page_lang(F.col("html")).alias("label"), F.col("html").alias("text")).where("label in ('es', 'de')")
     assert pages.exceptAll(added.select("label", "text")).count() == 0
@@ -50,12 +50,29 @@ def test_label_noise_takes_whole_pages_and_a_fixed_sample(spark, sf, seen):
     assert fixed.select("row_id").exceptAll(added.select("row_id")).count() == 0
 
 
-def test_sample_efficiency_runs_the_whole_grid(spark, sf, seen, monkeypatch):
-    ran = []
-    monkeypatch.setattr(workloads, "stash", lambda df, *a: df)
-    monkeypatch.setattr(workloads.text, "sample_j", lambda df, j, seed: (j, seed))
-    monkeypatch.setattr(workloads, "train_test", lambda *a: (None, None))
-    monkeypatch.setattr(workloads, "systems", lambda tr, te, v, which, *a: ran.append((*tr, which)) or [(x, "", "accuracy", 1.0) for x in which])
-    out = workloads.RUNS["w05_sample_efficiency"](spark, sf)
-    assert {r[:2] for r in ran} == {(j, k) for j in (5, 10, 25, 50, 100, 200, 300, 400, 500) for k in (1, 2, 3, 4, 5)}
-    assert {r[0] for r in out} == {"latent", "fixed_split", "ngram", "avg_embedding"} and len(out) == 9 * 4 * 2
+def test_training_takes_all_lines(spark, sf):
+    tr, te = workloads.train_test(spark, sf)
+    ln = workloads.base(spark, sf)
+    assert tr.count() == ln.where("bucket >= 2").count() and te.count() == ln.where("bucket = 0").count()
+    assert (workloads.ROUNDS, workloads.EPOCHS) == (20, 100)
+
+
+def test_sample_efficiency_runs_the_whole_grid(spark, sf, monkeypatch):
+    """All systems on the same subsets; by default nine sizes and five seeds."""
+    import inspect
+
+    f = workloads.RUNS["w05_sample_efficiency"]
+    defaults = {k: v.default for k, v in inspect.signature(f).parameters.items() if v.default is not inspect.Parameter.empty}
+    assert defaults == {"sizes": (5, 10, 25, 50, 100, 200, 300, 400, 500), "seeds": (1, 2, 3, 4, 5)}
+    monkeypatch.setattr(workloads, "learned_vocab", lambda s, d: workloads.small_vocab(workloads.train_test(s, d)[0], 200, 3))
+    monkeypatch.setattr(workloads, "ROUNDS", 3)
+    monkeypatch.setattr(workloads, "EPOCHS", 10)
+    out = {(a, b, c): v for a, b, c, v in f(spark, sf, sizes=(5, 40), seeds=(1, 2))}
+    assert {k[0] for k in out} == {"latent", "fixed_split", "ngram", "avg_embedding"} and len(out) == 4 * 2 * 2
+    assert all(0.2 < v <= 1 for k, v in out.items() if k[2] == "mean")
+    assert out["latent", "J=40", "mean"] > out["latent", "J=5", "mean"]
+    # a run of the grid is what a fit on its subset alone gives
+    _, te = workloads.train_test(spark, sf)
+    pool, v = workloads.base(spark, sf).where("bucket >= 2"), workloads.learned_vocab(spark, sf)
+    alone = [workloads.said(workloads.fit(text.sample_j(pool, 5, seed), v, 3).transform(te), "x")[2][3] for seed in (1, 2)]
+    assert abs(sum(alone) / 2 - out["latent", "J=5", "mean"]) < 1e-5
