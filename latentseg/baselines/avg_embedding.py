@@ -45,11 +45,11 @@ def features(texts: list[str], low: int, high: int, buckets: int) -> tuple[np.nd
 
 def means(x: np.ndarray, f: np.ndarray, size: np.ndarray) -> np.ndarray:
     """Mean of the rows of each text; texts without any n-gram have zeros."""
-    out = np.zeros((len(size), x.shape[1]))
+    out = np.zeros((len(size), x.shape[1]), x.dtype)
     has = size > 0
     if has.any():
         first = np.cumsum(size) - size
-        out[has] = np.add.reduceat(x[f], first[has], axis=0) / size[has, None]
+        out[has] = np.add.reduceat(x[f], first[has], axis=0) / size[has, None].astype(x.dtype)
     return out
 
 
@@ -58,9 +58,12 @@ def train(texts: list[str], gold: np.ndarray, x: np.ndarray, y: np.ndarray, low:
     batches = []
     for at in range(0, len(texts), BATCH):
         f, size = features(texts[at : at + BATCH], low, high, len(x))
-        batches.append((f, size, gold[at : at + BATCH]))
+        order = np.argsort(f, kind="stable")
+        first = np.flatnonzero(np.diff(f[order], prepend=-1))
+        owner = np.repeat(np.arange(len(size)), size)[order]
+        batches.append((f, size, gold[at : at + BATCH], owner, first, f[order][first]))
     for rate in rates:
-        for f, size, g in batches:
+        for f, size, g, owner, first, rows in batches:
             h = means(x, f, size)
             s = h @ y.T
             p = np.exp(s - s.max(axis=1, keepdims=True))
@@ -68,15 +71,13 @@ def train(texts: list[str], gold: np.ndarray, x: np.ndarray, y: np.ndarray, low:
             p[np.arange(len(g)), g] -= 1
             back = p @ y
             y -= rate * p.T @ h
-            step = np.repeat(rate * back / np.maximum(size, 1)[:, None], size, axis=0)
-            order = np.argsort(f, kind="stable")
-            first = np.concatenate([[0], np.flatnonzero(np.diff(f[order])) + 1]) if len(f) else np.empty(0, np.int64)
             if len(f):
-                x[f[order][first]] -= np.add.reduceat(step[order], first, axis=0)
+                step = rate * back / np.maximum(size, 1)[:, None].astype(x.dtype)
+                x[rows] -= np.add.reduceat(step[owner], first, axis=0)
 
 
 def start(buckets: int, labels: int, dim: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
-    return np.random.default_rng(seed).uniform(-1 / dim, 1 / dim, (buckets, dim)), np.zeros((labels, dim))
+    return np.random.default_rng(seed).uniform(-1 / dim, 1 / dim, (buckets, dim)).astype(np.float32), np.zeros((labels, dim), np.float32)
 
 
 @dataclass
@@ -114,13 +115,13 @@ class AvgEmbedding:
                     train(texts, np.array(gold), x, y, low, high, own)
                     yield pa.RecordBatch.from_arrays([pa.array([len(texts)], pa.int64()), pa.array([x.tobytes()], pa.binary()), pa.array([y.tobytes()], pa.binary())], names=["n", "x", "y"])
 
-            total, x, y = 0, np.zeros_like(a), np.zeros_like(b)
+            total, x, y = 0, np.zeros(a.shape), np.zeros(b.shape)
             for r in src.mapInArrow(run, "n long, x binary, y binary").toLocalIterator():  # parameters, a partition at a time
                 total += r["n"]
-                x += np.frombuffer(r["x"]).reshape(a.shape) * r["n"]
-                y += np.frombuffer(r["y"]).reshape(b.shape) * r["n"]
+                x += np.frombuffer(r["x"], np.float32).reshape(a.shape) * float(r["n"])
+                y += np.frombuffer(r["y"], np.float32).reshape(b.shape) * float(r["n"])
             if total:
-                a, b = x / total, y / total
+                a, b = (x / total).astype(np.float32), (y / total).astype(np.float32)
         return cls(a, b, labels, low, high)
 
     def predict(self, texts: list[str | None]) -> list[str | None]:

@@ -528,10 +528,10 @@ def _(s, d):
     return j.groupBy("label").agg(F.round(F.avg(F.col("logp") - F.col("best")), 6).alias("mean_gap"), F.count(F.lit(1)).alias("chunks"), F.count_if(F.col("logp") < F.col("best") - 0.0001).alias("below"))
 
 
-@query("predict_documents", sql("select row_id as doc_id, label, round(score, 4) as score from top", *_DOCS))
+@query("predict_documents", sql("select row_id as doc_id, label, fx as score_fx from ranked where r = 1", *_DOCS))
 def _(s, d):
     """Whole documents, by the classifier as it is used."""
-    return document_top(s, d).where("label is not null").select("doc_id", "label", F.round("score", 4).alias("score"))
+    return document_top(s, d).where("label is not null").select("doc_id", "label", F.round(F.col("score") * 1e6).cast("long").alias("score_fx"))
 
 
 @query("margin_documents", sql("select row_id as doc_id, margin_fx::bigint as margin from top", *_DOCS))
