@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..io import join_small, join_spread, read_table, spread, stash
+from ..io import join_frequent, join_small, join_spread, read_table, spread, stash
 from .common import hashed_words, named, whole
 
 WIDTH = 5
@@ -231,9 +231,9 @@ def _mixed(buckets: DataFrame, comp: DataFrame) -> DataFrame:
 def _linked(docs: DataFrame, id_col: str, text_col: str, percent: int, **params) -> DataFrame:
     """(doc_id, v, n_shingles, component_id, leads) for every row of docs; leads: the row's id and text are those that its component keeps."""
     sig = stash(signatures(docs, id_col, text_col, **params), "signatures")
-    folded = sig.where("v is not null").groupBy("v").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n_shingles"), F.first("lefts").alias("lefts"), F.first("rights").alias("rights"))
+    folded = sig.where("v is not null").groupBy("v").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n_shingles"), F.first("lefts").alias("lefts"), F.first("rights").alias("rights"), F.count(F.lit(1)).alias("f"))
     texts = stash(folded, "texts")
-    buckets = table_rows(texts.drop("rep"))
+    buckets = table_rows(texts.drop("rep", "f"))
     sources = stash(texts_of(docs, stash(buckets.select("v").distinct(), "wanted"), text_col), "sources")
 
     heads = buckets.groupBy("key").agg(F.min(F.struct("v", "n")).alias("head"))
@@ -262,13 +262,16 @@ def _linked(docs: DataFrame, id_col: str, text_col: str, percent: int, **params)
     if found.limit(1).count():
         comp = components(edges.unionByName(found))
 
-    labelled = stash(texts.select("v", "rep").join(comp, "v", "left").select("v", "rep", F.coalesce("comp", "v").alias("comp")), "labelled")
+    labelled = stash(texts.select("v", "rep", "f").join(comp, "v", "left").select("v", "rep", "f", F.coalesce("comp", "v").alias("comp")), "labelled")
     first = F.min(F.struct(F.col("rep").isNull().alias("none"), "rep", "v"))
     # components of one text need no join
     several = labelled.groupBy("comp").agg(first.alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("comp").alias("centre"), "first")
     by_text = join_spread(labelled, stash(several, "several"), "comp", "centre", "v", "left")
-    by_text = by_text.select("v", "rep", F.coalesce("first.rep", "rep").alias("component_id"), F.coalesce(F.col("first.v") == F.col("v"), F.lit(True)).alias("leads"))
-    out = sig.select("doc_id", "n_shingles", "v").join(by_text, "v", "left")
+    by_text = by_text.select("v", "f", "rep", F.coalesce("first.rep", "rep").alias("component_id"), F.coalesce(F.col("first.v") == F.col("v"), F.lit(True)).alias("leads"))
+    # a text with many copies is one key: frequent texts are broadcast
+    rows = sig.select("doc_id", "n_shingles", "v")
+    told = join_frequent(rows.where("v is not null"), stash(by_text, "told"), "v")
+    out = told.unionByName(rows.where("v is null"), allowMissingColumns=True)
     leads = F.col("v").isNull() | (F.col("leads") & F.col("doc_id").eqNullSafe(F.col("rep")))
     return out.select("doc_id", "v", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), leads.alias("leads"))
 
