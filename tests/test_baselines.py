@@ -56,3 +56,35 @@ def test_runs_at_once_equal_one_by_one(spark, sf):
     out = avg_embedding.fit_runs(both.select("j", "label", "text"), te, ["j"], epochs=20)
     got = {r["j"]: (r["a"], r["n"]) for r in out.groupBy("j").agg(metrics.right().alias("a"), F.count(F.lit(1)).alias("n")).collect()}
     assert got[1] == got[2] and got[1][1] == te.count() and got[1][0] > 0.5
+
+
+def test_frequencies_are_those_of_hashed_grams(spark):
+    """One long text among odd ones: grams cost time in proportion to a text's length, and keep the places that HashingTF gives them."""
+    from pyspark.ml.feature import HashingTF
+
+    texts = ["", "a", "Aß😀 ñ", "x\u0000y", "The cat, the hat", "e" * 60_000]
+    df = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "id int, t string")
+    want = HashingTF(inputCol="g", outputCol="v", numFeatures=4096).transform(df.where("id < 5").withColumn("g", linear.char_grams(F.col("t"), 1, 3)))
+    got = {r["id"]: r["_tf"] for r in linear.term_frequencies(df, "t", 1, 3, 4096).collect()}
+    assert all(got[r["id"]] == r["v"] for r in want.collect())
+    assert sum(got[5].values) == 60_002 + 60_001 + 60_000 and len(got[5].values) == 8
+
+
+def test_batches_of_counts_survive_packing():
+    texts = ["ab", "", "e" * 300, "e" * 70_000] * 5
+    made = avg_embedding.batches_of(texts, 1, 2, 64)
+    assert [len(size) for _, _, size in made] == [16, 4]
+    for rows, n, size in made:
+        (rows2, n2, size2), gold = avg_embedding.unpack(avg_embedding.pa.py_buffer(avg_embedding.pack((rows, n, size), np.arange(len(size)))))
+        assert (rows2 == rows).all() and n2.dtype == n.dtype and (n2 == n).all() and (size2 == size).all() and (n2.sum(axis=1) == size).all() and len(gold) == len(size)
+
+
+def test_partitions_are_trained_side_by_side(spark, sf, monkeypatch):
+    """An iterator over a frame runs a partition at a time, so no training may hang on one."""
+    kind, plans = type(spark.range(1)), []
+    old = kind.toLocalIterator
+    monkeypatch.setattr(kind, "toLocalIterator", lambda self, *a, **kw: plans.append(self._jdf.queryExecution().toString()) or old(self, *a, **kw))
+    tr, te = workloads.train_test(spark, sf)
+    m = AvgEmbedding.fit(tr, epochs=10)
+    assert plans and not any("MapInArrow" in x for x in plans)
+    assert metrics.macro(metrics.evaluate(m.transform(te))).first()["accuracy"] > 0.8
