@@ -399,3 +399,34 @@ def test_hierarchical_and_prior(fitted, spark):
     assert h.count() == te.count() and metrics.macro(metrics.evaluate(h)).first()["accuracy"] > 0.6
     one = m.transform(te, prior={"de": 1.0})
     assert one.where("label <> 'de'").count() == 0
+
+
+def test_expected_counts_of_improbable_chunks_go_through_logs():
+    ids = {c: k for k, c in enumerate(["a", "b", "ab", "ba", "aba"])}
+    chunks = ["abab", "abxa", "x" * 4, "ab" * 700, "abx" * 400, "a"]
+    for rows, tok in lattice.tensors(chunks, ids, 3):
+        logp, w = em.init_theta(len(ids)), np.arange(1.0, len(rows) + 1)
+        c, ll = lattice.expected_counts(tok, w, logp)
+        want, ll2 = lattice._by_logs(tok, w, logp, False)
+        assert np.allclose(c, want, rtol=1e-9) and abs(ll - ll2) < 1e-9 * abs(ll2) and c[-1] == 0
+
+
+def test_packed_lattices_fit_as_salted_chunks_and_single_tasks_do(spark, sf, monkeypatch):
+    tr, _ = workloads.train_test(spark, sf, 60, 40, 20)
+    chunks, v = stash(text.chunk_counts(tr), "chunks"), workloads.small_vocab(tr, 200, 3)
+
+    def fitted(**kw):
+        f = em.fit(chunks, v, rounds=4, **kw)
+        return {(r["label"], r["token_id"]): (r["logp_fx"], round(r["c"], 6)) for r in f.theta.collect()}, {(r["label"], r["round"]): (round(r["loglik"], 4), round(r["tv"], 9)) for r in f.trace.collect()}
+
+    def close(a, b):
+        assert a.keys() == b.keys() and all(abs(x - y) <= 2e-6 * max(1, abs(x)) for k in a for x, y in zip(a[k], b[k], strict=True))
+
+    for how in ({}, {"init": "freq"}, {"kind": "hard"}):
+        alone, packed = fitted(**how), fitted(rows_per_task=50, **how)
+        with monkeypatch.context() as m:
+            m.setattr(em, "DENSE_CELLS", 0)
+            salted = fitted(rows_per_task=50, **how)
+        for x in (packed, salted):
+            close(alone[0], x[0])
+            close(alone[1], x[1])
