@@ -23,10 +23,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..cluster import lean, slices
 from ..io import join_frequent, join_small, join_spread, read_table, spread, stash
 from .common import hashed_words, named, whole
 
@@ -39,6 +41,8 @@ BROADCAST_IDS = 2_000_000
 KEYS = 500_000
 #: Rounds in which members of mixed buckets meet one of the bucket's largest component before all that is left is paired.
 HEAD_ROUNDS = 1
+#: Shingles of the sets that a worker remembers while it verifies pairs, 8 bytes each; texts count by their characters in eights.
+REMEMBERED = 2_000_000
 #: Most shingles whose frequency is broadcast: 16 bytes each, twice that as a dictionary entry.
 FREQUENT = 1_000_000
 
@@ -93,7 +97,7 @@ def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     schema = "doc_id long, v binary, n_shingles long, lefts array<long>, rights array<long>"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             vs, ns, lefts, rights = [], [], [], []
             for t, v in zip(b.column("_text").to_pylist(), b.column("v").to_pylist(), strict=True):
                 s = shingles(t)
@@ -103,7 +107,7 @@ def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
                 rights.append(fold(minhashes(s, ra, rb), k2) if len(s) else None)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(vs, pa.binary()), pa.array(ns, pa.int64()), pa.array(lefts, pa.list_(pa.int64())), pa.array(rights, pa.list_(pa.int64()))], names=["doc_id", "v", "n_shingles", "lefts", "rights"])
 
-    return df.mapInArrow(run, schema)
+    return df.mapInArrow(lean(run), schema)
 
 
 def _meeting(texts: DataFrame, col: str) -> DataFrame:
@@ -136,30 +140,41 @@ def texts_of(docs: DataFrame, wanted: DataFrame, text_col: str) -> DataFrame:
     return source.join(F.broadcast(wanted) if few else wanted, "v", "left_semi").groupBy("v").agg(F.first("text").alias("text"))
 
 
+class Sets:
+    """The shingles of texts, with a memory of those seen lately that is bounded by their size, not by their number."""
+
+    def __init__(self, most: int = REMEMBERED) -> None:
+        self.known: dict[str, np.ndarray] = {}
+        self.most, self.held = most, 0
+
+    def __getitem__(self, text: str) -> np.ndarray:
+        if (s := self.known.get(text)) is None:
+            s = shingles(text)
+            size = max(len(s), len(text) // 8)
+            if self.held + size > self.most:
+                self.known, self.held = {}, 0
+            if size <= self.most:
+                self.known[text] = s
+                self.held += size
+        return s
+
+
 def verify(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) whose whole sets are similar enough. Each side's text is joined in; a side with many partners is split by the join."""
     with_b = pairs.join(texts.select(F.col("v").alias("b"), F.col("text").alias("text_b")), "b")
     both = with_b.join(texts.select(F.col("v").alias("a"), F.col("text").alias("text_a")), "a").select("a", "b", "text_a", "text_b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known: dict[str, np.ndarray] = {}  # sets of texts seen lately
-
-        def set_of(text: str) -> np.ndarray:
-            if (s := known.get(text)) is None:
-                if len(known) >= 2048:
-                    known.clear()
-                s = known[text] = shingles(text)
-            return s
-
-        for batch in batches:
+        known = Sets()
+        for batch in slices(batches):
             keep = []
             for ta, tb in zip(batch.column("text_a").to_pylist(), batch.column("text_b").to_pylist(), strict=True):
-                sets, other = set_of(ta), set_of(tb)
+                sets, other = known[ta], known[tb]
                 common = len(np.intersect1d(sets, other, assume_unique=True))
                 keep.append(common > 0 and 100 * common >= percent * (len(sets) + len(other) - common))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return both.mapInArrow(run, "a binary, b binary")
+    return both.mapInArrow(lean(run), "a binary, b binary")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -179,33 +194,37 @@ def components(edges: DataFrame) -> DataFrame:
             return labels
 
 
+def _rarest(own: np.ndarray, often: np.ndarray, times: np.ndarray, percent: int) -> np.ndarray:
+    """The first n - ceil(percent n / 100) + 1 of a set's n shingles by frequency, then value. often, in order, with times; others count as 0."""
+    freq = np.zeros(len(own), np.int64)
+    if len(often):
+        at = np.minimum(np.searchsorted(often, own), len(often) - 1)
+        freq = np.where(often[at] == own, times[at], 0)
+    return own[np.lexsort((own, freq))][: len(own) - -(-percent * len(own) // 100) + 1]
+
+
 def prefix_pairs(texts: DataFrame, percent: int) -> DataFrame:
     """(a, b): every pair of texts (v, text, comp) of different components that can be similar enough, and few others. Two such sets of n and m shingles
     share one within the first n - ceil(percent n / 100) + 1 of one and the like of the other, in any common order of all shingles. The order
     is by frequency, rare ones first, so a passage that many texts share brings none of them together unless it makes up most of them. Frequent shingles, fewer than
     FREQUENT by their threshold, are broadcast with their counts."""
-    split = texts.mapInArrow(_explode_shingles, "v binary, comp binary, hs array<long>")
+    split = texts.mapInArrow(lean(_explode_shingles), "v binary, comp binary, hs array<long>")
     split = stash(split, "shingles")
     counts = split.select(F.explode("hs").alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("f"))
     total = split.agg(F.coalesce(F.sum(F.size("hs")), F.lit(0))).first()[0]
-    often = counts.where(F.col("f") >= max(16, total // FREQUENT + 1)).toPandas()
-    sent = texts.sparkSession.sparkContext.broadcast(dict(zip(often["h"].tolist(), often["f"].tolist(), strict=True)))
+    often = counts.where(F.col("f") >= max(16, total // FREQUENT + 1)).toPandas().sort_values("h")
+    sent = texts.sparkSession.sparkContext.broadcast((often["h"].to_numpy(np.int64), often["f"].to_numpy(np.int64)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        freq = sent.value
-        for b in batches:
-            take, hs, ns, places = [], [], [], []
-            for k, own in enumerate(b.column("hs").to_pylist()):
-                n = len(own)
-                first = sorted(own, key=lambda h: (freq.get(h, 0), h))[: n - -(-percent * n // 100) + 1]
-                take += [k] * len(first)
-                hs += first
-                ns += [n] * len(first)
-                places += range(len(first))
-            at = pa.array(take, pa.int64())
-            yield pa.RecordBatch.from_arrays([b.column("v").take(at), b.column("comp").take(at), pa.array(hs, pa.int64()), pa.array(ns, pa.int64()), pa.array(places, pa.int64())], names=["v", "comp", "h", "n", "i"])
-
-    rows = stash(split.mapInArrow(run, "v binary, comp binary, h long, n long, i long"), "prefixes")
+        for b in slices(batches):
+            found = [_rarest(own.values.to_numpy(), *sent.value, percent) for own in b.column("hs")]
+            size = np.array([len(first) for first in found])
+            at = pa.array(np.repeat(np.arange(len(size)), size))
+            ns = np.repeat(pa.compute.list_value_length(b.column("hs")).to_numpy(), size).astype(np.int64)
+            places = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+            yield pa.RecordBatch.from_arrays([b.column("v").take(at), b.column("comp").take(at), pa.array(np.concatenate(found)), pa.array(ns), pa.array(places)], names=["v", "comp", "h", "n", "i"])
+
+    rows = stash(split.mapInArrow(lean(run), "v binary, comp binary, h long, n long, i long"), "prefixes")
     shared = rows.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("h")
     rows = stash(rows.join(shared, "h", "left_semi"), "prefixes")
     x, y = rows.alias("x"), rows.alias("y")
@@ -216,7 +235,7 @@ def prefix_pairs(texts: DataFrame, percent: int) -> DataFrame:
 
 
 def _explode_shingles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
+    for b in slices(batches):
         hs = [shingles(t).view(np.int64) for t in b.column("text").to_pylist()]
         yield pa.RecordBatch.from_arrays([b.column("v"), b.column("comp"), pa.array(hs, pa.list_(pa.int64()))], names=["v", "comp", "hs"])
 
