@@ -1,6 +1,6 @@
 import numpy as np
 from latentseg import metrics, workloads
-from latentseg.baselines import avg_embedding, linear
+from latentseg.baselines import avg_embedding, linear, ngram_lm
 from latentseg.baselines.avg_embedding import AvgEmbedding
 from latentseg.baselines.fixed_seg_nb import FixedSegNB
 from latentseg.baselines.ngram_lm import NgramLM
@@ -88,3 +88,27 @@ def test_partitions_are_trained_side_by_side(spark, sf, monkeypatch):
     m = AvgEmbedding.fit(tr, epochs=10)
     assert plans and not any("MapInArrow" in x for x in plans)
     assert metrics.macro(metrics.evaluate(m.transform(te))).first()["accuracy"] > 0.8
+
+
+def test_counted_grams_are_those_listed_one_by_one(spark, monkeypatch):
+    """Odd texts, repeated keys, a null key and texts over several windows; for grams of any length."""
+    rows = [("a", "The cat, the hat"), ("a", "the"), ("b", ""), ("b", None), (None, "Aß😀 ñ\u0000İΣ"), ("c", "e" * 5_000), ("c", "\U0010ffff " * 40), ("a", "the cat")]
+    df = spark.createDataFrame(rows, "k string, t string").coalesce(1)
+    for n in (1, 2, 3, 7):
+        want = ngram_lm.grams(df, ["k"], "t", n).groupBy("k", "ctx", "ch").agg(F.count(F.lit(1)).alias("m"))
+        got = ngram_lm.gram_counts(df, "k", "t", n).groupBy("k", "ctx", "ch").agg(F.sum("m").alias("m"))
+        assert got.exceptAll(want).count() == 0 and got.count() == want.count()
+    text = "".join(chr(0x4E00 + k * k % 20_000) for k in range(20_000))  # more than 63 bits for 7 of these
+    owner, ctx, ch, m = ngram_lm.counted(np.array([0]), [text], 7)
+    assert m.sum() == 20_000 and len(m) == len({(" " * 6 + text)[k : k + 7] for k in range(20_000)}) == len(set(zip(ctx, ch, strict=True)))
+
+
+def test_grams_are_counted_before_they_are_listed(spark, sf):
+    """A row for each place of a text is what made the fit slow: all that leaves the kernel is a row for each different gram of a window."""
+    tr, te = workloads.train_test(spark, sf)
+    listed = tr.agg(F.sum(F.length("text"))).first()[0]
+    made = ngram_lm.gram_counts(tr, "label", "text", 3)
+    assert made.agg(F.sum("m")).first()[0] == listed and made.count() < listed / 5
+    m = ngram_lm.NgramLM.fit(tr)
+    assert m.counts.agg(F.sum("c")).first()[0] == listed
+    assert metrics.macro(metrics.evaluate(m.transform(te, "row_id"))).first()["accuracy"] > 0.95
