@@ -112,3 +112,14 @@ def test_grams_are_counted_before_they_are_listed(spark, sf):
     m = ngram_lm.NgramLM.fit(tr)
     assert m.counts.agg(F.sum("c")).first()[0] == listed
     assert metrics.macro(metrics.evaluate(m.transform(te, "row_id"))).first()["accuracy"] > 0.95
+
+
+def test_epochs_are_fitted_from_one_count(spark, sf, monkeypatch):
+    """Several numbers of epochs give what each gives by itself, and n-grams are counted once."""
+    tr, _ = workloads.train_test(spark, sf, 20, 10, 20)
+    alone = [AvgEmbedding.fit(tr, epochs=e) for e in (1, 12)]
+    kind, kept = type(tr), []
+    old = kind.persist
+    monkeypatch.setattr(kind, "persist", lambda self, *a: kept.append(1) or old(self, *a))
+    both = AvgEmbedding.fit_each(tr, (1, 12))
+    assert kept == [1] and all((a.inputs == b.inputs).all() and (a.outputs == b.outputs).all() for a, b in zip(alone, both, strict=True))
