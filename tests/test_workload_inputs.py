@@ -76,3 +76,37 @@ def test_sample_efficiency_runs_the_whole_grid(spark, sf, monkeypatch):
     pool, v = workloads.base(spark, sf).where("bucket >= 2"), workloads.learned_vocab(spark, sf)
     alone = [workloads.said(workloads.fit(text.sample_j(pool, 5, seed), v, 3).transform(te), "x")[2][3] for seed in (1, 2)]
     assert abs(sum(alone) / 2 - out["latent", "J=5", "mean"]) < 1e-5
+
+
+def test_systems_are_fitted_side_by_side_and_once(spark, sf, monkeypatch):
+    """The embeddings and the other systems wait for each other; what they share is made once."""
+    import threading
+
+    both, made = threading.Barrier(2, timeout=60), []
+
+    def fitted(name, tr, v=None):
+        made.append(name)
+        if name in ("avg_embedding", "ngram"):
+            both.wait()
+        return lambda te: te
+
+    workloads.train_test(spark, sf)
+    monkeypatch.setattr(workloads, "train", fitted)
+    monkeypatch.setattr(workloads, "once", lambda s, d, name, make: workloads_once(s, d, f"side-{name}", make) if "system" in name else workloads_once(s, d, name, make))
+    workloads.ready(spark, sf, ("ngram", "avg_embedding"))
+    assert sorted(made) == ["avg_embedding", "ngram"]
+    seen = []
+    workloads.side_by_side(*[lambda: workloads_once(spark, sf, "side-one", lambda: seen.append(1) or 1)] * 4)
+    assert seen == [1]
+
+
+def test_three_labels_fit_each_system_once(spark, sf, seen, monkeypatch):
+    names = []
+    monkeypatch.setattr(workloads, "train", lambda name, tr, v=None: names.append(name) or (lambda te: te))
+    stub = type("Stub", (), {"vocab": None, "transform": lambda self, df: df, "subset": lambda self, labels: self})()
+    monkeypatch.setattr(workloads, "_main", lambda s, d: stub)
+    workloads.RUNS["w02_label_subset"](spark, sf)
+    assert sorted(names) == ["avg_embedding", "ffn", "latent", "ngram"]
+
+
+workloads_once = workloads.once
