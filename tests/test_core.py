@@ -430,3 +430,41 @@ def test_packed_lattices_fit_as_salted_chunks_and_single_tasks_do(spark, sf, mon
         for x in (packed, salted):
             close(alone[0], x[0])
             close(alone[1], x[1])
+
+
+def test_a_trie_of_lattices_counts_as_tensors_do():
+    rng = np.random.default_rng(5)
+    tokens = ["a", "b", "ab", "ba", "aba", "bb", "aab", "c" * 3, "abababab"]
+    ids = {c: k for k, c in enumerate(tokens)}
+    chunks = sorted({"".join(rng.choice(list("abc"), rng.integers(1, 12))) for _ in range(200)} | {"a" * 64, "x" * 15, "xyz" * 20, "\x00", "a\x00", "é", "😀a"}, key=lambda x: x[::-1])
+    trie = lattice.Trie.of(chunks, lattice.Suffixes(ids))
+    assert trie.level[-1] < sum(map(len, chunks))
+    trie = lattice.Trie.from_bytes(trie.to_bytes())
+    w, logp = np.arange(1.0, len(chunks) + 1), em.init_theta(len(ids))
+    logp[:5] += rng.normal(size=5)
+    want, ll2 = np.zeros(len(logp)), 0.0
+    for rows, tok in lattice.tensors(chunks, ids, 8):
+        c, ll = lattice._by_logs(tok, w[rows], logp, False)
+        want, ll2 = want + c, ll2 + ll
+    c, ll = trie.expected_counts(w, logp)
+    assert np.allclose(c, want, rtol=1e-9) and abs(ll - ll2) < 1e-9 * abs(ll2) and c[-1] == 0
+    again = {chunks[k]: t for rows, tok in trie.tensors(np.arange(len(chunks))) for k, t in zip(rows, tok, strict=True)}
+    for rows, tok in lattice.tensors(chunks, ids, 64):
+        assert all((again[chunks[k]] == t).all() for k, t in zip(rows, tok, strict=True))
+
+
+def test_vocabularies_and_merges_within_a_task_are_those_of_rounds(spark, sf, monkeypatch):
+    chunks = stash(text.chunk_counts(workloads.base(spark, sf).where("doc_id < 40")), "c")
+    tokens = lambda v: sorted((r["token_id"], r["token"]) for r in v.collect())
+    with monkeypatch.context() as m:  # neither a job for each pruning step nor one for each round of merges
+        m.delattr(vocab, "prune_loss")
+        m.delattr(vocab, "pair_counts")
+        start = vocab.learn(chunks, 400, 4)
+        learned = tokens(start), tokens(vocab.learn(chunks, 250, 4, start=start))
+        v, merges = vocab.learn_merges(chunks, 40)
+    monkeypatch.setattr(vocab, "TASK_ROWS", 0)
+    monkeypatch.setattr(vocab, "MERGE_CHARS", 0)
+    again = vocab.learn(chunks, 400, 4)
+    assert learned == (tokens(again), tokens(vocab.learn(chunks, 250, 4, start=again)))
+    w, rounds = vocab.learn_merges(chunks, 40)
+    assert merges == rounds and tokens(v) == tokens(w) and len(merges) == 40
