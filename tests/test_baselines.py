@@ -123,3 +123,24 @@ def test_epochs_are_fitted_from_one_count(spark, sf, monkeypatch):
     monkeypatch.setattr(kind, "persist", lambda self, *a: kept.append(1) or old(self, *a))
     both = AvgEmbedding.fit_each(tr, (1, 12))
     assert kept == [1] and all((a.inputs == b.inputs).all() and (a.outputs == b.outputs).all() for a, b in zip(alone, both, strict=True))
+
+
+def test_ngram_model_scores_texts_in_one_scan(spark, monkeypatch):
+    """The same labels as by joins; characters that no training text has, ties, nulls and texts over a window among them."""
+    tr = spark.createDataFrame([("a", "abcabcäxy"), ("b", "bcdx yz\n𝄞"), ("c", "zzz zz"), ("d", "zzz zz"), ("c", None), ("a", "é\x00")], "label string, text string")
+    texts = ["abc", "ABC xyz", "zzzz", "zz 漢字", "漢", "", None, "bcd\n𝄞𝄞", "ab" * 50, "é\x00 z"]
+    df = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "row_id long, text string").repartition(3)
+    m = ngram_lm.NgramLM.fit(tr)
+    by = {}
+    for how, held, numbers, window in (("scan", 8_000_000, 1 << 22, 1 << 20), ("sorted", 8_000_000, 1, 7), ("joins", 0, 1, 1 << 20)):
+        for name, v in (("HELD", held), ("NUMBERS", numbers), ("WINDOW", window)):
+            monkeypatch.setattr(ngram_lm, name, v)
+        own = ngram_lm.NgramLM(m.counts, m.contexts, m.labels, m.n, m.alphabet)
+        out = own.transform(df, "row_id")
+        assert ("Join" in out._jdf.queryExecution().optimizedPlan().toString()) == (how == "joins")
+        by[how] = sorted(map(tuple, out.select("row_id", "text", "label").collect()))
+    assert by["scan"] == by["joins"] == by["sorted"]
+    monkeypatch.undo()
+    v = m.values()
+    s = {(r["row_id"], r["label"]): r["score"] for r in m.scores(df, "row_id").collect()}
+    assert s == {(k, x): t for k, row in enumerate(v.scores([(t or "").lower() for t in texts]).tolist()) for x, t in zip(v.labels, row, strict=True) if texts[k]}
