@@ -144,3 +144,33 @@ def test_ngram_model_scores_texts_in_one_scan(spark, monkeypatch):
     v = m.values()
     s = {(r["row_id"], r["label"]): r["score"] for r in m.scores(df, "row_id").collect()}
     assert s == {(k, x): t for k, row in enumerate(v.scores([(t or "").lower() for t in texts]).tolist()) for x, t in zip(v.labels, row, strict=True) if texts[k]}
+
+
+def test_fixed_split_counts_and_scores_as_by_joins(spark, monkeypatch):
+    """Splits, token counts and labels of the kernels are those of segment() and of joins, with characters that the vocabulary lacks."""
+    from latentseg import lattice
+    from latentseg.baselines import fixed_seg_nb
+    from latentseg.score import SplitKernel
+
+    rng = np.random.default_rng(5)
+    ids = {t: i for i, t in enumerate(["a", "b", "ab", "ba", "aba", "bb", "c"])}
+    fx = rng.integers(-4, 0, (len(ids) + 2, 3)).astype(np.int32)  # ties are common
+    values = rng.integers(-99, 0, (len(ids) + 2, 4))
+    chunks, split = ["".join(rng.choice(list("abcd"), n)) for n in rng.integers(1, 9, 60)], np.array([2, 0, 1, 0])
+    got = SplitKernel(ids, fx, values, split).scores(chunks)
+    for c, row in zip(chunks, got, strict=True):
+        want = [lattice.segment_one(c, ids, 3, fx[:, k])[0] for k in range(3)]
+        assert row.tolist() == [sum(int(values[ids.get(t, -2), j]) for t in want[split[j]]) for j in range(4)]
+    v = spark.createDataFrame([(0, "a", 1, True), (1, "ab", 2, False), (2, "b", 1, True), (3, "ba", 2, False)], "token_id int, token string, token_len int, is_base boolean")
+    tr = spark.createDataFrame([("x", "abab ba é"), ("y", "bba ab bb"), ("z", "éé ab"), ("w", "éé ab")], "label string, text string")
+    te = spark.createDataFrame(list(enumerate(["ab", "bb ba", "é", "漢 ab", "", None, "ba" * 40])), "row_id long, text string")
+    m = FixedSegNB.fit(tr, v, rounds=3)
+    want = FixedSegNB._tokens(tr.withColumnRenamed("label", "gold"), m.pooled, ["gold"])
+    assert sorted(map(tuple, m.table.select("label", "token", "c").collect())) == sorted(map(tuple, want.collect()))
+    by = []
+    for held in (fixed_seg_nb.HELD, 0):
+        monkeypatch.setattr(fixed_seg_nb, "HELD", held)
+        out = m.transform(te, "row_id")
+        assert ("Join" in out._jdf.queryExecution().optimizedPlan().toString()) == (held == 0)
+        by.append(sorted(map(tuple, out.select("row_id", "text", "label").collect())))
+    assert by[0] == by[1]

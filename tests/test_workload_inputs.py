@@ -1,6 +1,7 @@
 """What the experiments hand to the model: whole texts and all rows."""
 
 import pytest
+import numpy as np
 from latentseg import text, workloads
 from latentseg.io import read_table
 from pyspark.sql import functions as F
@@ -110,3 +111,46 @@ def test_three_labels_fit_each_system_once(spark, sf, seen, monkeypatch):
 
 
 workloads_once = workloads.once
+
+
+def test_runs_are_scored_in_one_scan_as_by_joins(spark, monkeypatch):
+    """Sample efficiency: the best label of each run from a scan is that from rows of labels, with texts that have none and a label that a run lacks."""
+    from latentseg import planner
+    from latentseg.baselines import avg_embedding, fixed_seg_nb, ngram_lm
+
+    src = [("x", "abab ba é"), ("x", "ab ab"), ("y", "bba ab bb"), ("z", "éé ab"), ("w", "éé ab")]
+    rows = spark.createDataFrame([(j, seed, x, t, f"{x}|{j}|{seed}") for j in (1, 2) for seed in (1, 2) for k, (x, t) in enumerate(src) if k % (seed + 1) or j == 2], "j int, seed int, label string, text string, own string")
+    te = spark.createDataFrame([(k, "x", t) for k, t in enumerate(["ab", "bb ba", "é", "漢 ab", "", None, "ba" * 40])], "row_id long, gold string, text string")
+    v = spark.createDataFrame([(0, "a", 1, True), (1, "ab", 2, False), (2, "b", 1, True), (3, "ba", 2, False)], "token_id int, token string, token_len int, is_base boolean")
+    own = rows.select(F.col("own").alias("label"), "text")
+    m, n = workloads.fit(own, v, 3), ngram_lm.NgramLM.fit(own)
+    pooled = workloads.fit(rows.select(F.concat_ws("|", F.lit("*"), F.col("j").cast("string"), F.col("seed").cast("string")).alias("label"), "text"), v, 3)
+    by = []
+    for bound in (8_000_000, 0):
+        for module, name in ((planner, "PASS_BYTES"), (fixed_seg_nb, "HELD"), (ngram_lm, "HELD")):
+            monkeypatch.setattr(module, name, bound)
+        n._known.clear()
+        found = [workloads._picked_latent(m, te, 4), workloads._picked_ngram(n, te), workloads._fixed_runs(rows, te, pooled, v)]
+        by.append([sorted(tuple(map(str, r)) for r in df.select("j", "seed", "gold", "label").collect()) for df in found])
+    assert by[0] == by[1] and [len(x) for x in by[0]] == [20, 20, 20]
+    x, y = avg_embedding.start(64, 3, 4, 1)
+    y += np.arange(12).reshape(3, 4) % 5
+    texts = np.array(["ab", None, "", "ba é"] * 300, dtype=object)
+    assert avg_embedding.Held(texts, texts, 1, 3, 64).predict(x, y, ["a", "b", "c"]) == avg_embedding.AvgEmbedding(x, y, ["a", "b", "c"], 1, 3).predict(texts.tolist())
+    made = avg_embedding.fit_runs(rows, te.where("text is not null"), ["j", "seed"], 2)
+    assert made.groupBy("j", "seed").count().count() == 4 and "RepartitionByExpression" in made._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_systems_are_tested_while_others_are_fitted(spark, sf, monkeypatch):
+    """The embeddings are not ready before the others have been tested; results are in the order of the systems."""
+    import threading
+
+    tested = {x: threading.Event() for x in ("ngram", "fixed_split", "tfidf")}
+
+    def fitted(spark, sf, name):
+        assert name != "avg_embedding" or all(e.wait(60) for e in tested.values())
+        return lambda te: te
+
+    monkeypatch.setattr(workloads, "system", fitted)
+    names = ("avg_embedding", "ngram", "fixed_split", "tfidf")
+    assert workloads.ready(spark, sf, names, lambda name: [tested[name].set() if name in tested else None, name]) == [[None, x] for x in names]
