@@ -145,12 +145,12 @@ def test_systems_are_tested_while_others_are_fitted(spark, sf, monkeypatch):
     """The embeddings are not ready before the others have been tested; results are in the order of the systems."""
     import threading
 
-    tested = {x: threading.Event() for x in ("ngram", "fixed_split", "tfidf")}
+    tested = {x: threading.Event() for x in ("ngram", "fixed_split", "latent")}
 
     def fitted(spark, sf, name):
         assert name != "avg_embedding" or all(e.wait(60) for e in tested.values())
         return lambda te: te
 
     monkeypatch.setattr(workloads, "system", fitted)
-    names = ("avg_embedding", "ngram", "fixed_split", "tfidf")
+    names = ("avg_embedding", "ngram", "fixed_split", "latent")
     assert workloads.ready(spark, sf, names, lambda name: [tested[name].set() if name in tested else None, name]) == [[None, x] for x in names]
