@@ -154,3 +154,28 @@ def test_systems_are_tested_while_others_are_fitted(spark, sf, monkeypatch):
     monkeypatch.setattr(workloads, "system", fitted)
     names = ("avg_embedding", "ngram", "fixed_split", "latent")
     assert workloads.ready(spark, sf, names, lambda name: [tested[name].set() if name in tested else None, name]) == [[None, x] for x in names]
+
+
+def test_corrupted_texts_of_all_rates_meet_a_system_once(spark, sf, monkeypatch):
+    """Each rate has the texts that a corruption by itself gives, rows keep keys of their own, and a system scores them in one scan."""
+    lines = [(1, 0, "Ab c  é漢 🙂."), (1, 1, ""), (2, 0, None), (None, 3, "\tq\n r"), (10**12, 7, "x" * 1200)]
+    src = spark.createDataFrame(lines, "doc_id long, line_no int, text string")
+    rates = (0, 50, 500, 1000)
+    got = text.corrupt_each(src, rates)
+    for r in rates:
+        assert sorted(map(str, got.where(F.col("per_mille") == r).select(*src.columns).collect())) == sorted(map(str, text.corrupt(src, r).collect()))
+    scored = []
+
+    def fitted(spark, sf, name):
+        return lambda te: scored.append((name, te)) or te.withColumn("label", F.lit("en"))
+
+    monkeypatch.setattr(workloads, "system", fitted)
+    out = workloads.RUNS["w08_corruption"](spark, sf)
+    assert sorted(x for x, _ in scored) == sorted(workloads.MAIN) and len(out) == 16
+    te = scored[0][1]
+    src = workloads.base(spark, sf).where("bucket = 0")
+    assert te.select("row_id").distinct().count() == te.count() == 4 * src.count()
+    one = text.corrupt(src, 250).select("doc_id", "line_no", "text")
+    assert te.where("per_mille = 250").select("doc_id", "line_no", "text").exceptAll(one).count() == 0
+    share = src.where("label = 'en'").count() / src.count()
+    assert all(abs(v - share) < 1e-6 for *_, v in out) and [r[1] for r in out[:5]] == ["rate=0.05"] * 4 + ["rate=0.1"]
