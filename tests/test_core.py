@@ -468,3 +468,16 @@ def test_vocabularies_and_merges_within_a_task_are_those_of_rounds(spark, sf, mo
     assert learned == (tokens(again), tokens(vocab.learn(chunks, 250, 4, start=again)))
     w, rounds = vocab.learn_merges(chunks, 40)
     assert merges == rounds and tokens(v) == tokens(w) and len(merges) == 40
+
+
+def test_merges_of_parts_are_proposed_and_checked(spark, sf, monkeypatch):
+    """From a poor head the proposals are often wrong; the merges are still those of one task, in some passes over all chunks and none for each merge."""
+    chunks = stash(text.chunk_counts(workloads.base(spark, sf).where("doc_id < 40")), "c")
+    odd = spark.createDataFrame([("x", "aaaa", 9), ("x", "aaa", 5), ("x", "zq", 1), ("x", "漢字漢字漢", 4)], "label string, chunk string, n long")
+    want = [vocab.learn_merges(df, n)[1] for df, n in ((chunks, 60), (odd, 50))]
+    one, passes = vocab._one_task, []
+    monkeypatch.setattr(vocab, "_one_task", lambda *a: passes.append(1) or one(*a))
+    for name, bound in (("MERGE_CHARS", 0), ("MERGE_PART", 3000), ("MERGE_HEAD", 2000)):
+        monkeypatch.setattr(vocab, name, bound)
+    assert [vocab.learn_merges(df, n)[1] for df, n in ((chunks, 60), (odd, 50))] == want
+    assert 2 < len(passes) < 40 and len(want[0]) == 60 and want[1][0] == ("a", "a")

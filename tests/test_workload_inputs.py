@@ -179,3 +179,14 @@ def test_corrupted_texts_of_all_rates_meet_a_system_once(spark, sf, monkeypatch)
     assert te.where("per_mille = 250").select("doc_id", "line_no", "text").exceptAll(one).count() == 0
     share = src.where("label = 'en'").count() / src.count()
     assert all(abs(v - share) < 1e-6 for *_, v in out) and [r[1] for r in out[:5]] == ["rate=0.05"] * 4 + ["rate=0.1"]
+
+
+def test_borrowed_vocabularies_are_made_when_asked_for(spark, sf, monkeypatch):
+    """Neither merges nor characters are learned for a vocabulary that needs none, and each is learned once."""
+    made = []
+    monkeypatch.setattr(workloads.vocab, "learn_merges", lambda ch, n: made.append(n) or (workloads.vocab.substrings(ch, 1).select("token"), []))
+    monkeypatch.setattr(workloads, "once", lambda s, d, name, make: workloads_once(s, d, f"asked-{name}" if "borrowed" in name else name, make))
+    found = workloads.borrowed(spark, sf)
+    assert list(found)[-6:] == ["merges_en", "merges_all", "far_words", "characters", "bytes", "trigrams"] and made == []
+    assert found["bytes"]()[0].count() == 256 and made == []
+    assert found["merges_en"]()[0].count() == workloads.borrowed(spark, sf)["merges_en"]()[0].count() > 20 and made == [300]
