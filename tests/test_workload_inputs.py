@@ -190,3 +190,18 @@ def test_borrowed_vocabularies_are_made_when_asked_for(spark, sf, monkeypatch):
     assert list(found)[-6:] == ["merges_en", "merges_all", "far_words", "characters", "bytes", "trigrams"] and made == []
     assert found["bytes"]()[0].count() == 256 and made == []
     assert found["merges_en"]()[0].count() == workloads.borrowed(spark, sf)["merges_en"]()[0].count() > 20 and made == [300]
+
+
+def test_in_domain_works_in_two_chains(spark, sf, monkeypatch):
+    """Curated lines and borrowed vocabularies do not wait for all systems, three vocabularies alone are asked for, and rows keep their order."""
+    import threading
+
+    asked, both = [], threading.Barrier(2, timeout=60)
+    stub = type("Stub", (), {"transform": lambda self, te: te})()
+    monkeypatch.setattr(workloads, "system", lambda s, d, name: lambda te: te)
+    monkeypatch.setattr(workloads, "said", lambda pred, name, setting="": [(name, setting, "x", 0.0)])
+    monkeypatch.setattr(workloads, "borrowing", lambda s, d, name, *a: asked.append(name) or (len(asked) == 1 and both.wait(), ([(*a, "", "x", 0.0)], None))[1])
+    monkeypatch.setattr(workloads.AvgEmbedding, "fit", lambda *a, **kw: both.wait() is not None and stub)
+    names = [r[0] for r in workloads.RUNS["w01_in_domain"](spark, sf)]
+    assert asked == list(workloads.borrowed(spark, sf))[:3] and both.broken is False
+    assert names == [*workloads.MAIN, "fixed_split", "ngram_interp", "ngram_backoff", "tfidf", "svm", "ffn", "majority", "avg_embedding_curated", *[f"latent, {x}" for x in asked]]
