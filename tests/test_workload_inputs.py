@@ -205,3 +205,24 @@ def test_in_domain_works_in_two_chains(spark, sf, monkeypatch):
     names = [r[0] for r in workloads.RUNS["w01_in_domain"](spark, sf)]
     assert asked == list(workloads.borrowed(spark, sf))[:3] and both.broken is False
     assert names == [*workloads.MAIN, "fixed_split", "ngram_interp", "ngram_backoff", "tfidf", "svm", "ffn", "majority", "avg_embedding_curated", *[f"latent, {x}" for x in asked]]
+
+
+def test_ranges_of_grams_are_fitted_side_by_side(spark, sf, monkeypatch):
+    """All ranges are under way at once, each with all numbers of epochs; rows are in the order of epochs, then of ranges."""
+    import threading
+
+    all_, te = threading.Barrier(3, timeout=60), spark.range(1)
+
+    class Fitted:
+        def __init__(self, *what):
+            self.what = what
+
+        def transform(self, df):
+            return self.what
+
+    monkeypatch.setattr(workloads, "dialect_data", lambda s, d: (te, te))
+    monkeypatch.setattr(workloads.AvgEmbedding, "fit_each", lambda tr, epochs, low, high: all_.wait() is not None and [Fitted(e, low, high) for e in epochs])
+    monkeypatch.setattr(workloads, "said", lambda pred, name, setting: [(name, setting, k, pred) for k in ("macro_f1", "accuracy")])
+    out = workloads.RUNS["w15_epochs"](spark, sf)
+    assert [x[3] for x in out] == [(e, lo, hi) for e in (1, 5, 25, 100) for lo, hi in ((1, 2), (1, 3), (2, 4))]
+    assert out[4] == ("avg_embedding", "epochs=5,n=1-3", "macro_f1", (5, 1, 3))
